@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from raydescent.llm.common import table
 
@@ -14,7 +15,32 @@ def op5_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return assign_owners(docs).select("doc_id", "keep_id", "group_size", "kept", "text_sha256")
 
 
-QUERIES = {"op5_exact_dedup": op5_exact_dedup}
+def op1_host_reputation(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Outcomes: the labels of the document with a page's number; good is quality without toxicity."""
+    from raydescent.llm.url_reputation import judge_urls
+
+    labels = table(spark, sf_dir, "labels")
+    good = labels.select(F.col("doc_id").alias("page_id"), ((F.col("quality") == 1) & (F.col("toxic") == 0)).cast("int").alias("good"))
+    judged = judge_urls(table(spark, sf_dir, "pages").select("page_id", "url"), good)
+    return judged.withColumn("good_upper", F.round("good_upper", 6))
+
+
+def op6_license_votes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from raydescent.llm.license_votes import scan_licenses
+
+    return scan_licenses(table(spark, sf_dir, "documents").select("doc_id", "text")).withColumn("score", F.round("score", 6))
+
+
+def op10_language_bayes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from raydescent.llm.language_bayes import fit, learned_rows, predict
+
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text", "lang")
+    model = fit(docs.where(learned_rows(F.col("doc_id"))))
+    found = predict(docs.select("doc_id", "text"), model)
+    return found.select("doc_id", (~learned_rows(F.col("doc_id"))).alias("held_out"), "lang_pred", "score")
+
+
+QUERIES = {f.__name__: f for f in (op1_host_reputation, op5_exact_dedup, op6_license_votes, op10_language_bayes)}
 
 ORACLES = {
     "op5_exact_dedup": r"""
