@@ -8,6 +8,12 @@ from pyspark.sql import functions as F
 from raydescent.llm.common import table
 
 
+def op4_bpe_automaton(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from raydescent.llm.bpe_automaton import encode_digests
+
+    return encode_digests(table(spark, sf_dir, "documents").select("doc_id", "text"), tokenizer("byte_bpe_50k.json"))
+
+
 def op5_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     from raydescent.llm.patricia_dedup import assign_owners
 
@@ -15,6 +21,12 @@ def op5_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return assign_owners(docs).select("doc_id", "keep_id", "group_size", "kept", "text_sha256")
 
 
+def tokenizer(name: str) -> str:
+    import public_tokenizers
+
+    return public_tokenizers.path(name)
+
+
 def op1_host_reputation(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Outcomes: the labels of the document with a page's number; good is quality without toxicity."""
     from raydescent.llm.url_reputation import judge_urls
@@ -31,6 +43,12 @@ def op6_license_votes(spark: SparkSession, sf_dir: str) -> DataFrame:
     return scan_licenses(table(spark, sf_dir, "documents").select("doc_id", "text")).withColumn("score", F.round("score", 6))
 
 
+def op8_histogram_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from raydescent.llm.histogram_packing import pack_documents
+
+    return pack_documents(table(spark, sf_dir, "documents").select("doc_id", "text"), tokenizer("word_bpe_49k.json"))
+
+
 def op10_language_bayes(spark: SparkSession, sf_dir: str) -> DataFrame:
     from raydescent.llm.language_bayes import fit, learned_rows, predict
 
@@ -40,7 +58,7 @@ def op10_language_bayes(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", (~learned_rows(F.col("doc_id"))).alias("held_out"), "lang_pred", "score")
 
 
-QUERIES = {f.__name__: f for f in (op1_host_reputation, op5_exact_dedup, op6_license_votes, op10_language_bayes)}
+QUERIES = {f.__name__: f for f in (op1_host_reputation, op4_bpe_automaton, op5_exact_dedup, op6_license_votes, op8_histogram_packing, op10_language_bayes)}
 
 ORACLES = {
     "op5_exact_dedup": r"""
