@@ -43,6 +43,12 @@ def op6_license_votes(spark: SparkSession, sf_dir: str) -> DataFrame:
     return scan_licenses(table(spark, sf_dir, "documents").select("doc_id", "text")).withColumn("score", F.round("score", 6))
 
 
+def op7_simhash_planes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from raydescent.llm.simhash_dedup import simhash_components
+
+    return simhash_components(table(spark, sf_dir, "documents").select("doc_id", "text"))
+
+
 def op8_histogram_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     from raydescent.llm.histogram_packing import pack_documents
 
@@ -58,7 +64,7 @@ def op10_language_bayes(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", (~learned_rows(F.col("doc_id"))).alias("held_out"), "lang_pred", "score")
 
 
-QUERIES = {f.__name__: f for f in (op1_host_reputation, op4_bpe_automaton, op5_exact_dedup, op6_license_votes, op8_histogram_packing, op10_language_bayes)}
+QUERIES = {f.__name__: f for f in (op1_host_reputation, op4_bpe_automaton, op5_exact_dedup, op6_license_votes, op7_simhash_planes, op8_histogram_packing, op10_language_bayes)}
 
 ORACLES = {
     "op5_exact_dedup": r"""
