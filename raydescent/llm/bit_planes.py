@@ -124,3 +124,20 @@ def join_labels(label: np.ndarray, i: np.ndarray, j: np.ndarray) -> np.ndarray:
                 break
             label = up
     return label
+
+
+def spanning(label: np.ndarray, i: np.ndarray, j: np.ndarray, d: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Labels after the pairs, and places of pairs that span them, the nearest first."""
+    picked = []
+    for level in np.unique(d):
+        at = np.flatnonzero(d == level)
+        while True:
+            a, b = label[i[at]], label[j[at]]
+            apart = a != b
+            if not apart.any():
+                break
+            at, a, b = at[apart], a[apart], b[apart]
+            _, first = np.unique(np.maximum(a, b), return_index=True)  # one pair for each class that joins a smaller one
+            picked.append(at[first])
+            label = join_labels(label, i[at[first]], j[at[first]])
+    return label, np.concatenate(picked) if picked else np.zeros(0, np.int64)

@@ -8,6 +8,12 @@ from pyspark.sql import functions as F
 from raydescent.llm.common import table
 
 
+def op2_nn_descent(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from raydescent.llm.nn_descent import vector_components
+
+    return vector_components(table(spark, sf_dir, "embeddings").select("vec_id", "embedding"))
+
+
 def op4_bpe_automaton(spark: SparkSession, sf_dir: str) -> DataFrame:
     from raydescent.llm.bpe_automaton import encode_digests
 
@@ -64,7 +70,7 @@ def op10_language_bayes(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", (~learned_rows(F.col("doc_id"))).alias("held_out"), "lang_pred", "score")
 
 
-QUERIES = {f.__name__: f for f in (op1_host_reputation, op4_bpe_automaton, op5_exact_dedup, op6_license_votes, op7_simhash_planes, op8_histogram_packing, op10_language_bayes)}
+QUERIES = {f.__name__: f for f in (op1_host_reputation, op2_nn_descent, op4_bpe_automaton, op5_exact_dedup, op6_license_votes, op7_simhash_planes, op8_histogram_packing, op10_language_bayes)}
 
 ORACLES = {
     "op5_exact_dedup": r"""

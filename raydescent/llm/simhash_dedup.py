@@ -20,7 +20,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from raydescent.llm.bit_planes import close_pairs, distances, join_labels
+from raydescent.llm.bit_planes import close_pairs, distances, spanning
 from raydescent.llm.common import ASCII_LOWER, cut, skew_safe_lookup
 from raydescent.llm.components import connected_components
 
@@ -122,23 +122,6 @@ def _nearest(i: np.ndarray, j: np.ndarray, d: np.ndarray, most: int) -> np.ndarr
     return np.unique(at[order[rank < most]])
 
 
-def _forest(label: np.ndarray, i: np.ndarray, j: np.ndarray, d: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Labels after the pairs, and places of pairs that span them, the nearest first."""
-    picked = []
-    for level in np.unique(d):
-        at = np.flatnonzero(d == level)
-        while True:
-            a, b = label[i[at]], label[j[at]]
-            apart = a != b
-            if not apart.any():
-                break
-            at, a, b = at[apart], a[apart], b[apart]
-            _, first = np.unique(np.maximum(a, b), return_index=True)  # one pair for each class that joins a smaller one
-            picked.append(at[first])
-            label = join_labels(label, i[at[first]], j[at[first]])
-    return label, np.concatenate(picked) if picked else np.zeros(0, np.int64)
-
-
 def close_links(nodes: DataFrame, tables: list[list[int]], radius: int, nearest: int = 0) -> DataFrame:
     """a, b (node numbers): links within radius bits that span the classes of every bucket, and each row's nearest ones."""
     dealt = _dealt(_keyed(nodes, tables)).repartition("bucket", "x", "y")
@@ -162,7 +145,7 @@ def close_links(nodes: DataFrame, tables: list[list[int]], radius: int, nearest:
         label = np.arange(len(node))
         for i, j in close_pairs(prints, group, radius, cross):
             d = distances(prints, i, j)
-            label, at = _forest(label, i, j, d)
+            label, at = spanning(label, i, j, d)
             if nearest:
                 at = np.union1d(at, _nearest(i, j, d, nearest))
             a, b = node[i[at]], node[j[at]]
