@@ -14,6 +14,15 @@ def op2_nn_descent(spark: SparkSession, sf_dir: str) -> DataFrame:
     return vector_components(table(spark, sf_dir, "embeddings").select("vec_id", "embedding"))
 
 
+def op3_separator_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """documents as flat streams of the byte-level vocabulary with its end-of-text id, then counted by the scan."""
+    from raydescent.llm.separator_scan import count_tokens, flat_stream
+
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    counted = count_tokens(flat_stream(docs, tokenizer("byte_bpe_50k.json"), 50_256), 50_256)
+    return counted.select(F.col("receipt").alias("doc_id"), "n_tokens")
+
+
 def op4_bpe_automaton(spark: SparkSession, sf_dir: str) -> DataFrame:
     from raydescent.llm.bpe_automaton import encode_digests
 
@@ -61,6 +70,12 @@ def op8_histogram_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pack_documents(table(spark, sf_dir, "documents").select("doc_id", "text"), tokenizer("word_bpe_49k.json"))
 
 
+def op9_stupid_backoff(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from raydescent.llm.backoff_lm import backoff_scores
+
+    return backoff_scores(table(spark, sf_dir, "documents").select("doc_id", "text"), tokenizer("byte_bpe_50k.json"))
+
+
 def op10_language_bayes(spark: SparkSession, sf_dir: str) -> DataFrame:
     from raydescent.llm.language_bayes import fit, learned_rows, predict
 
@@ -70,7 +85,7 @@ def op10_language_bayes(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", (~learned_rows(F.col("doc_id"))).alias("held_out"), "lang_pred", "score")
 
 
-QUERIES = {f.__name__: f for f in (op1_host_reputation, op2_nn_descent, op4_bpe_automaton, op5_exact_dedup, op6_license_votes, op7_simhash_planes, op8_histogram_packing, op10_language_bayes)}
+QUERIES = {f.__name__: f for f in (op1_host_reputation, op2_nn_descent, op3_separator_scan, op4_bpe_automaton, op5_exact_dedup, op6_license_votes, op7_simhash_planes, op8_histogram_packing, op9_stupid_backoff, op10_language_bayes)}
 
 ORACLES = {
     "op5_exact_dedup": r"""
