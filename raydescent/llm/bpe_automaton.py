@@ -7,9 +7,8 @@ to spell a word in tokens, only the one that the merges produce. Written out, th
 50,000 x 50,000 bits, so a gadget is kept as three table entries (entered as, exits as, arc cut), and an arc is looked
 up by going back through the gadgets; arcs once looked up stay in a transition table.
 
-Encoding walks a word from left to right. Every prefix has just one valid spelling, so one state per position is enough:
-from each position the token trie (a table of byte transitions) offers the tokens that start there, and the arc from
-the position's state decides. Words come from the tokenizer's own splitting rule.
+Encoding walks a word from left to right: from each position the token trie (a table of byte transitions) offers the
+tokens that start there, and the arc from the state decides. Words come from the tokenizer's own splitting rule.
 """
 
 from __future__ import annotations
@@ -100,31 +99,46 @@ class TokenAutomaton:
                 a = self.exits_as[a]
 
     def encode_word(self, word: bytes) -> list[int]:
-        n = len(word)
-        last, start = [-1] * (n + 1), [0] * (n + 1)
-        trie, token_at, arcs, size = self.trie, self.token_at, self.arcs, self.size
-        for at in range(n):
-            state = last[at]
-            node, i = 0, at
+        """Run along the word, the longest token first; where no arc leads on, go back and take the next shorter one.
+
+        As a prefix has one valid spelling, no position is reached twice, and the steps are bounded by the word's length
+        times that of the longest token.
+        """
+        n, trie, token_at, arcs, size = len(word), self.trie, self.token_at, self.arcs, self.size
+        path: list[int] = []
+        choices: list[list[tuple[int, int]]] = []
+        at, state = 0, -1
+        starts: list[int] = []
+        while at < n:
+            node, i, here = 0, at, []
             while i < n:
                 node = trie.get(node << 8 | word[i])
                 if node is None:
                     break
                 i += 1
-                token = token_at[node]
-                if token >= 0 and last[i] < 0:
+                if token_at[node] >= 0:
+                    here.append((token_at[node], i))
+            while True:
+                while here:
+                    token, end = here.pop()
                     if state >= 0:
                         ok = arcs.get(state * size + token)
                         if ok is None:
                             ok = self.arc(state, token)
                         if not ok:
                             continue
-                    last[i], start[i] = token, at
-        out, at = [], n
-        while at:
-            out.append(last[at])
-            at = start[at]
-        return out[::-1]
+                    break
+                else:
+                    here, at = choices.pop(), starts.pop()
+                    path.pop()
+                    state = path[-1] if path else -1
+                    continue
+                break
+            choices.append(here)
+            starts.append(at)
+            path.append(token)
+            at, state = end, token
+        return path
 
 
 class ByteBpe:
@@ -180,13 +194,15 @@ class _Words(dict):
 
     def __init__(self, automaton: TokenAutomaton, most: int):
         self.automaton, self.most = automaton, most
+        self.wire = [i.to_bytes(4, "little") for i in range(automaton.size)]
 
     def __missing__(self, word: str) -> bytes:
         if len(self) >= self.most:
             self.clear()
         if len(self.automaton.arcs) > 4 * self.most:
             self.automaton.arcs.clear()
-        made = np.array(self.automaton.encode_word(word.encode("utf-8", "surrogatepass")), "<u4").tobytes()
+        wire = self.wire
+        made = b"".join([wire[t] for t in self.automaton.encode_word(word.encode("utf-8", "surrogatepass"))])
         if len(word) <= 64:
             self[word] = made
         return made
@@ -216,7 +232,7 @@ def encode_digests(docs, vocabulary: str, id_col: str = "doc_id", text_col: str
         import pyarrow as pa
 
         bpe = compiled(held.value)
-        for batch in batches:
+        for batch in (b.slice(i, 500) for b in batches for i in range(0, b.num_rows, 500)):
             rows = []
             for text in batch.column("text").to_pylist():
                 ids = bpe.encode(text or "")
