@@ -10,6 +10,7 @@ ranked within their part, and the parts of a length are added up, so that a leng
 
 from __future__ import annotations
 
+import os
 import re
 import zlib
 from bisect import bisect_left, insort
@@ -83,7 +84,8 @@ class WordBpe:
     Other texts and those that may hold a special token go through the library whole.
     """
 
-    def __init__(self, source: str, most_words: int = 600_000):
+    def __init__(self, source: str, most_words: int = 400_000):
+        os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")  # a task has one core, and the batches are small
         from tokenizers import Tokenizer
 
         self.library = Tokenizer.from_str(source)
@@ -98,20 +100,16 @@ class WordBpe:
         if _BEYOND.search(text) or "<|" in text or "İ" in text:
             return b"".join(i.to_bytes(4, "little") for i in self.library.encode(text, add_special_tokens=False).ids)
         words, known = self.rule.findall(text.lower()), self.words
-        try:
-            return b"".join(map(known.__getitem__, words))
-        except KeyError:
-            pass
-        fresh = list({w for w in words if w not in known})
-        if len(known) + len(fresh) > self.most:
-            known.clear()
-            fresh = list(set(words))
-        for w, e in zip(fresh, self.library.encode_batch(fresh, add_special_tokens=False)):
-            known[w] = b"".join(i.to_bytes(4, "little") for i in e.ids)
-        out = b"".join(map(known.__getitem__, words))
-        if len(known) > self.most:
-            known.clear()
-        return out
+        fresh = [w for w in set(words) if w not in known]
+        if fresh:
+            if len(known) + len(fresh) > self.most:
+                known.clear()
+                fresh = list(set(words))
+            made = self.library.encode(fresh, is_pretokenized=True, add_special_tokens=False)
+            ids, edges = np.array(made.ids, "<u4").tobytes(), np.searchsorted(made.word_ids, np.arange(len(fresh) + 1)) * 4
+            for w, a, b in zip(fresh, edges[:-1].tolist(), edges[1:].tolist()):
+                known[w] = ids[a:b]
+        return b"".join(map(known.__getitem__, words))
 
 
 @lru_cache(maxsize=2)
@@ -129,7 +127,7 @@ def cut_pieces(docs: DataFrame, vocabulary: str, capacity: int = 4096, end_id: i
 
     def run(batches):
         bpe = _word_bpe(held.value)
-        for batch in batches:
+        for batch in (b.slice(i, 500) for b in batches for i in range(0, b.num_rows, 500)):
             out = []
             for row, doc, text in zip(*(batch.column(c).to_pylist() for c in ("_row", "id", "text"))):
                 ids = bpe.encode(text or "") + end
