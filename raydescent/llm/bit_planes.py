@@ -48,7 +48,7 @@ def survivors(planes: np.ndarray, bits: np.ndarray, query: np.ndarray, block: np
     counters = [np.full(len(query), ALL if start >> k & 1 else 0, np.uint64) for k in range(slices)]
     width = planes.shape[0]
     for at in range(0, width, 3):
-        d = [planes[p][block] ^ (np.uint64(0) - bits[p][query]) for p in range(at, min(at + 3, width))]
+        d = [planes[p][block] ^ (np.uint64(0) - bits[p][query].astype(np.uint64)) for p in range(at, min(at + 3, width))]
         if len(d) == 3:
             half = d[0] ^ d[1]
             carry = (d[0] & d[1]) | (half & d[2])
@@ -81,7 +81,7 @@ def close_pairs(prints: np.ndarray, group: np.ndarray, radius: int, cross: np.nd
     end = np.repeat(ends, np.diff(np.r_[0, ends]))
     rows = np.arange(n)
     wide = unpacked(prints)
-    planes, bits = planes_of(wide), np.ascontiguousarray(wide.T).astype(np.uint64)
+    planes, bits = planes_of(wide), np.ascontiguousarray(wide.T)
     first, last = (rows + 1) // 64, (end - 1) // 64
     many = np.where(end - rows > 1, last - first + 1, 0)
     upto = np.cumsum(many)

@@ -144,7 +144,7 @@ class TokenAutomaton:
 class ByteBpe:
     """Texts to ids and back with a byte-level vocabulary file of the tokenizers library (its JSON text)."""
 
-    def __init__(self, source: str, specials_are_text: bool = False, most_words: int = 400_000):
+    def __init__(self, source: str, specials_are_text: bool = False, most_words: int = 300_000):
         spec = json.loads(source)
         vocab, merges = spec["model"]["vocab"], spec["model"]["merges"]
         symbols = byte_symbols()
@@ -199,7 +199,7 @@ class _Words(dict):
     def __missing__(self, word: str) -> bytes:
         if len(self) >= self.most:
             self.clear()
-        if len(self.automaton.arcs) > 4 * self.most:
+        if len(self.automaton.arcs) > 2 * self.most:
             self.automaton.arcs.clear()
         wire = self.wire
         made = b"".join([wire[t] for t in self.automaton.encode_word(word.encode("utf-8", "surrogatepass"))])

@@ -26,6 +26,7 @@ from raydescent.llm.components import connected_components
 
 #: Rows of one bucket that are compared in one task; larger buckets are split into pairs of parts.
 BUCKET_ROWS = 20_000
+PORTION_ROWS = 20_000
 _NO_ID = (1 << 63) - 1
 _STEP = 1 << 15
 
@@ -122,6 +123,17 @@ def _nearest(i: np.ndarray, j: np.ndarray, d: np.ndarray, most: int) -> np.ndarr
     return np.unique(at[order[rank < most]])
 
 
+def _portion(group, node, prints, cross, radius: int, nearest: int):
+    label = np.arange(len(node))
+    for i, j in close_pairs(prints, group, radius, cross):
+        d = distances(prints, i, j)
+        label, at = spanning(label, i, j, d)
+        if nearest:
+            at = np.union1d(at, _nearest(i, j, d, nearest))
+        a, b = node[i[at]], node[j[at]]
+        yield pa.RecordBatch.from_arrays([pa.array(np.maximum(a, b)), pa.array(np.minimum(a, b))], ["a", "b"])
+
+
 def close_links(nodes: DataFrame, tables: list[list[int]], radius: int, nearest: int = 0) -> DataFrame:
     """a, b (node numbers): links within radius bits that span the classes of every bucket, and each row's nearest ones."""
     dealt = _dealt(_keyed(nodes, tables)).repartition("bucket", "x", "y")
@@ -142,14 +154,12 @@ def close_links(nodes: DataFrame, tables: list[list[int]], radius: int, nearest:
         size = np.diff(np.r_[np.flatnonzero(new), len(group)])
         keep = np.repeat(size > 1, size)  # most buckets have a single row
         group, node, prints, cross = group[keep], node[keep], prints[keep], np.where(x == y, -1 - np.arange(len(x)), side)[keep]
-        label = np.arange(len(node))
-        for i, j in close_pairs(prints, group, radius, cross):
-            d = distances(prints, i, j)
-            label, at = spanning(label, i, j, d)
-            if nearest:
-                at = np.union1d(at, _nearest(i, j, d, nearest))
-            a, b = node[i[at]], node[j[at]]
-            yield pa.RecordBatch.from_arrays([pa.array(np.maximum(a, b)), pa.array(np.minimum(a, b))], ["a", "b"])
+        ends = np.flatnonzero(np.r_[group[1:] != group[:-1], True]) + 1 if len(group) else np.zeros(0, np.int64)
+        at = 0
+        while at < len(group):  # portions of whole buckets, so that the unpacked bits of few rows are held at a time
+            stop = int(ends[min(np.searchsorted(ends, at + PORTION_ROWS), len(ends) - 1)])
+            yield from _portion(group[at:stop], node[at:stop], prints[at:stop], cross[at:stop], radius, nearest)
+            at = stop
 
     return dealt.mapInArrow(run, "a long, b long")
 
