@@ -14,6 +14,7 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
+import zstandard
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -21,8 +22,10 @@ from pyspark.sql import functions as F
 from raydescent.llm.bpe_automaton import compiled, read_vocabulary
 from raydescent.llm.common import cut
 
-CHUNK_TOKENS = 8_000_000
+CHUNK_TOKENS = 4_000_000
 BUCKET_TOKENS = 4_000_000
+#: Documents in one row of the token table.
+ROW_DOCS = 200
 
 
 def pack(values: np.ndarray) -> bytes:
@@ -41,29 +44,34 @@ def mix(keys: np.ndarray) -> np.ndarray:
 
 
 def token_table(docs: DataFrame, vocabulary: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """id, chunk, n_tokens, tokens (32-bit ids, packed) of each row of docs; null text has none. Chunks are of rows that stand together."""
+    """chunk, ids, sizes, n_tokens, tokens: rows of some documents that stand together, with all their ids compressed
+    (null text has none). Chunks are of rows that follow each other."""
     held = docs.sparkSession.sparkContext.broadcast(read_vocabulary(vocabulary))
 
     def run(batches):
         bpe, chunk, size = compiled(held.value, True), TaskContext.get().partitionId() << 32, 0
+        squeeze = zstandard.ZstdCompressor(3)
         for batch in batches:
-            for at in range(0, batch.num_rows, 500):
-                part = batch.slice(at, 500)
-                ids = [bpe.encode(t or "") for t in part.column("text").to_pylist()]
-                n = [len(x) // 4 for x in ids]
-                packed = [np.frombuffer(x, "<u4").astype("<u2").tobytes() if len(bpe.labels) <= 65_536 else x for x in ids]
-                yield pa.RecordBatch.from_arrays([part.column("id"), pa.array([chunk] * len(n), pa.int64()), pa.array(n, pa.int64()), pa.array(packed, pa.binary())], ["id", "chunk", "n_tokens", "tokens"])
+            for at in range(0, batch.num_rows, ROW_DOCS):
+                part = batch.slice(at, ROW_DOCS)
+                made = [bpe.encode(t or "") for t in part.column("text").to_pylist()]
+                n = [len(x) // 4 for x in made]
+                flat = np.frombuffer(b"".join(made), "<u4")
+                body = squeeze.compress(flat.astype("<u2").tobytes() if len(bpe.labels) <= 65_536 else flat.tobytes())
+                kinds = (pa.int64(), pa.list_(pa.int64()), pa.list_(pa.int64()), pa.int64(), pa.binary())
+                row = (chunk, part.column("id").to_pylist(), n, sum(n), body)
+                yield pa.RecordBatch.from_arrays([pa.array([v], k) for v, k in zip(row, kinds)], ["chunk", "ids", "sizes", "n_tokens", "tokens"])
                 size += sum(n)
                 if size > CHUNK_TOKENS:
                     chunk, size = chunk + 1, 0
 
     rows = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text"))
-    return rows.mapInArrow(run, "id long, chunk long, n_tokens long, tokens binary")
+    return rows.mapInArrow(run, "chunk long, ids array<long>, sizes array<long>, n_tokens long, tokens binary")
 
 
-def joined(tokens: list[bytes], sizes: np.ndarray) -> np.ndarray:
-    """All ids of some documents in one array; the width follows from the bytes."""
-    raw, n = b"".join(tokens), int(sizes.sum())
+def expanded(body: bytes, n: int) -> np.ndarray:
+    """All ids of a row in one array; the width follows from the bytes."""
+    raw = zstandard.ZstdDecompressor().decompress(body)
     return np.frombuffer(raw, "<u2" if n and len(raw) == 2 * n else "<u4").astype(np.uint64)
 
 
@@ -77,42 +85,52 @@ def gram_keys(ids: np.ndarray, sizes: np.ndarray, order: int, base: int) -> tupl
     return key, ends
 
 
-def _chunks(batches):
-    """(chunk, tokens, sizes) of rows that follow each other in one chunk."""
-    now, tokens, sizes = None, [], []
+def _rows(batches):
+    """(chunk, ids, sizes) of every row."""
     for batch in batches:
-        for chunk, t, n in zip(batch.column("chunk").to_pylist(), batch.column("tokens").to_pylist(), batch.column("n_tokens").to_pylist()):
-            if chunk != now and tokens:
-                yield now, tokens, np.array(sizes)
-                tokens, sizes = [], []
-            now = chunk
-            tokens.append(t)
-            sizes.append(n)
-    if tokens:
-        yield now, tokens, np.array(sizes)
+        for chunk, body, sizes, n in zip(*(batch.column(c).to_pylist() for c in ("chunk", "tokens", "sizes", "n_tokens"))):
+            yield chunk, expanded(body, n), np.array(sizes, np.int64)
+
+
+def _counted(parts: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
+    """Different keys, sorted, and how often each occurs."""
+    keys = np.concatenate(parts) if parts else np.zeros(0, np.uint64)
+    parts.clear()
+    keys.sort()
+    first = np.flatnonzero(np.r_[len(keys) > 0, keys[1:] != keys[:-1]])
+    return keys[first], np.diff(np.r_[first, len(keys)])
 
 
 def chunk_counts(table: DataFrame, orders: range, base: int, buckets: int) -> DataFrame:
     """bucket, chunk, gram_order, keys, counts: each chunk's different n-grams, dealt by hash."""
 
+    def emit(chunk, parts):
+        for order in orders:
+            keys, counts = _counted(parts[order])
+            to = (mix(keys) % np.uint64(buckets)).astype(np.int64)
+            by = np.argsort(to, kind="stable")  # keys stay sorted within a bucket
+            keys, counts, to = keys[by], counts[by], to[by]
+            edges = np.r_[np.flatnonzero(np.r_[True, to[1:] != to[:-1]]), len(to)] if len(to) else np.zeros(1, np.int64)
+            spans = list(zip(edges[:-1], edges[1:]))
+            for at in range(0, len(spans), 64):
+                some = spans[at : at + 64]
+                yield pa.RecordBatch.from_arrays(
+                    [pa.array([int(to[a]) for a, _ in some], pa.int64()), pa.array([chunk] * len(some), pa.int64()), pa.array([order] * len(some), pa.int32()), pa.array([pack(keys[a:b]) for a, b in some], pa.binary()), pa.array([pack(counts[a:b]) for a, b in some], pa.binary())],
+                    ["bucket", "chunk", "gram_order", "keys", "counts"],
+                )
+
     def run(batches):
-        for chunk, tokens, sizes in _chunks(batches):
-            ids = joined(tokens, sizes)
+        now, parts = None, {order: [] for order in orders}
+        for chunk, ids, sizes in _rows(batches):
+            if now is not None and chunk != now:
+                yield from emit(now, parts)
+            now = chunk
             for order in orders:
-                keys, counts = np.unique(gram_keys(ids, sizes, order, base)[0], return_counts=True)
-                to = (mix(keys) % np.uint64(buckets)).astype(np.int64)
-                by = np.argsort(to, kind="stable")  # keys stay sorted within a bucket
-                keys, counts, to = keys[by], counts[by], to[by]
-                edges = np.r_[np.flatnonzero(np.r_[True, to[1:] != to[:-1]]), len(to)] if len(to) else np.zeros(1, np.int64)
-                spans = list(zip(edges[:-1], edges[1:]))
-                for at in range(0, len(spans), 64):
-                    some = spans[at : at + 64]
-                    yield pa.RecordBatch.from_arrays(
-                        [pa.array([int(to[a]) for a, _ in some], pa.int64()), pa.array([chunk] * len(some), pa.int64()), pa.array([order] * len(some), pa.int32()), pa.array([pack(keys[a:b]) for a, b in some], pa.binary()), pa.array([pack(counts[a:b]) for a, b in some], pa.binary())],
-                        ["bucket", "chunk", "gram_order", "keys", "counts"],
-                    )
-
-    return table.select("chunk", "n_tokens", "tokens").mapInArrow(run, "bucket long, chunk long, gram_order int, keys binary, counts binary")
+                parts[order].append(gram_keys(ids, sizes, order, base)[0])
+        if now is not None:
+            yield from emit(now, parts)
+
+    return table.select("chunk", "sizes", "n_tokens", "tokens").mapInArrow(run, "bucket long, chunk long, gram_order int, keys binary, counts binary")
 
 
 def corpus_totals(counts: DataFrame, least: int) -> DataFrame:
@@ -148,8 +166,12 @@ def looked_up(keys: np.ndarray, known: np.ndarray, totals: np.ndarray) -> np.nda
     """The totals of keys, 0 where unknown."""
     if not len(known):
         return np.zeros(len(keys))
-    at = np.minimum(np.searchsorted(known, keys), len(known) - 1)
-    return np.where(known[at] == keys, totals[at], 0).astype(np.float64)
+    order = np.argsort(keys)  # sorted keys walk through the table once instead of searching it all over
+    asked = keys[order]
+    at = np.minimum(np.searchsorted(known, asked), len(known) - 1)
+    out = np.empty(len(keys))
+    out[order] = np.where(known[at] == asked, totals[at], 0)
+    return out
 
 
 def place_scores(ids: np.ndarray, sizes: np.ndarray, single: np.ndarray, total: int, tables: dict[int, tuple[np.ndarray, np.ndarray]], top: int, base: int, alpha: float) -> np.ndarray:
@@ -181,13 +203,13 @@ def backoff_scores(docs: DataFrame, vocabulary: str, top: int = 3, least: int =
 
     def singles(batches):
         sums = np.zeros(base, np.int64)
-        for _, tokens, sizes in _chunks(batches):
-            sums += np.bincount(joined(tokens, sizes).astype(np.int64), minlength=base)
+        for _, ids, _ in _rows(batches):
+            sums += np.bincount(ids.astype(np.int64), minlength=base)
         at = np.flatnonzero(sums)
         yield pa.RecordBatch.from_arrays([pa.array(at, pa.int64()), pa.array(sums[at], pa.int64())], ["token", "n"])
 
     single = np.zeros(base)
-    counted = table.select("chunk", "n_tokens", "tokens").mapInArrow(singles, "token long, n long")
+    counted = table.select("chunk", "sizes", "n_tokens", "tokens").mapInArrow(singles, "token long, n long")
     for r in counted.groupBy("token").agg(F.sum("n").alias("n")).collect():  # as many as the vocabulary has at most
         single[r["token"]] = r["n"]
     total = int(single.sum())
@@ -196,8 +218,6 @@ def backoff_scores(docs: DataFrame, vocabulary: str, top: int = 3, least: int =
     found = corpus_totals(chunk_counts(table, range(2, top + 1), base, buckets), least)
 
     def score(left: pa.Table, right: pa.Table) -> pa.Table:
-        sizes = left.column("n_tokens").to_numpy()
-        ids = joined(left.column("tokens").to_pylist(), sizes)
         tables = {}
         orders = right.column("gram_order").to_numpy()
         keys, totals = right.column("keys").to_pylist(), right.column("totals").to_pylist()
@@ -206,11 +226,18 @@ def backoff_scores(docs: DataFrame, vocabulary: str, top: int = 3, least: int =
             k, n = (np.concatenate([unpack(x[i]) for i in rows]) for x in (keys, totals))
             k, first = np.unique(k, return_index=True)  # a chunk read in two parts has asked twice
             tables[int(order)] = (k, n[first])
-        places = place_scores(ids, sizes, held.value, total, tables, top, base, alpha)
-        ends = np.cumsum(sizes)
-        sums = np.r_[0.0, np.cumsum(places)]
-        out = sums[ends] - sums[ends - sizes]
-        return pa.table({"id": left.column("id"), "n_tokens": left.column("n_tokens"), "log_score": pa.array(out, pa.float64())})
+        del keys, totals
+        docs_, many, out = [], [], []
+        for row, (_, ids, sizes) in zip(left.column("ids").to_pylist(), _rows(left.to_batches())):
+            places = place_scores(ids, sizes, held.value, total, tables, top, base, alpha)
+            sums, full = np.zeros(len(sizes)), np.flatnonzero(sizes)
+            if len(full):
+                sums[full] = np.add.reduceat(places, (np.cumsum(sizes) - sizes)[full])
+            docs_ += row
+            many.append(sizes)
+            out.append(sums)
+        joined = [np.concatenate(x) if x else np.zeros(0) for x in (many, out)]
+        return pa.table({"id": pa.array(docs_, pa.int64()), "n_tokens": pa.array(joined[0], pa.int64()), "log_score": pa.array(joined[1], pa.float64())})
 
     scored = table.groupBy("chunk").cogroup(found.groupBy("chunk")).applyInArrow(score, "id long, n_tokens long, log_score double")
     mean = F.when(F.col("n_tokens") > 0, F.col("log_score") / F.col("n_tokens"))
