@@ -36,37 +36,34 @@ def common_prefix(a: bytes, b: bytes) -> int:
     return lo
 
 
-def smaller(a, b):
-    """The smaller identifier; a null one yields to any other."""
-    return b if a is None else a if b is None else min(a, b)
-
-
 class _Node:
-    __slots__ = ("label", "kids", "owner", "count", "spill")
+    __slots__ = ("label", "kids", "owner", "count", "ties", "spill")
 
-    def __init__(self, label: bytes, owner=None, count: int = 0):
-        self.label, self.kids, self.owner, self.count, self.spill = label, {}, owner, count, None
+    def __init__(self, label: bytes, owner=None, count: int = 0, ties: int = 0):
+        self.label, self.kids, self.owner, self.count, self.ties, self.spill = label, {}, owner, count, ties, None
 
 
 class PatriciaTrie:
-    """Byte strings to (smallest identifier, rows). budget: bytes held in memory; beyond it subtrees go to files."""
+    """Byte strings to (smallest identifier, rows, rows that have it). budget: bytes held in memory; beyond it subtrees go to files."""
 
     def __init__(self, budget: int = 256 << 20):
         self.root, self.budget, self.held = _Node(b""), budget, 0
 
-    def insert(self, key: bytes, owner, count: int = 1) -> None:
+    def insert(self, key: bytes, owner, count: int = 1, ties: int = 1) -> None:
         node, at = self.root, 0
         while True:
             if node.spill is not None:
-                pickle.dump((key, owner, count), node.spill)
+                pickle.dump((key, owner, count, ties), node.spill)
                 return
             if at == len(key):
-                node.owner = smaller(node.owner, owner) if node.count else owner
+                if not node.count or owner < node.owner:
+                    node.owner, node.ties = owner, 0
                 node.count += count
+                node.ties += ties if owner == node.owner else 0
                 return
             kid = node.kids.get(key[at])
             if kid is None:
-                node.kids[key[at]] = _Node(key[at:], owner, count)
+                node.kids[key[at]] = _Node(key[at:], owner, count, ties)
                 self.held += len(key) - at + _NODE_COST
                 if self.held > self.budget:
                     self._spill()
@@ -111,18 +108,18 @@ class PatriciaTrie:
                     pickle.dump(item, out)
                 x.spill.close()
             if x.count:
-                pickle.dump((key, x.owner, x.count), out)
+                pickle.dump((key, x.owner, x.count, x.ties), out)
             stack += [(y, key + y.label) for y in x.kids.values()]
-        victim.kids, victim.owner, victim.count, victim.spill = {}, None, 0, out
+        victim.kids, victim.owner, victim.count, victim.ties, victim.spill = {}, None, 0, 0, out
         self.held -= size - len(victim.label) - _NODE_COST
 
-    def items(self) -> Iterator[tuple[bytes, object, int]]:
+    def items(self) -> Iterator[tuple[bytes, object, int, int]]:
         """Each string once. Spilled subtrees follow one by one, in tries of the same budget."""
         stack, spilled = [(self.root, b"")], []
         while stack:
             node, key = stack.pop()
             if node.count:
-                yield key, node.owner, node.count
+                yield key, node.owner, node.count, node.ties
             if node.spill is not None:
                 spilled.append(node.spill)
             stack += [(y, key + y.label) for y in node.kids.values()]
@@ -149,16 +146,16 @@ def normal_form(text: Column) -> Column:
     return F.regexp_replace(F.coalesce(text, F.lit("")), "[\\x20\\x09-\\x0D]+", " ")
 
 
-_OWNER_SCHEMA = "digest string, body binary, owner long, uid long, members long"
+_OWNER_SCHEMA = "digest string, body binary, owner long, members long, ties long"
 
 
 def _merge(batches, budget: int, bodies: bool):
     trie = PatriciaTrie(budget)
     for batch in batches:
         body = batch.column("body").to_pylist()
-        owner = [(i is None, i or 0, u) for i, u in zip(batch.column("owner").to_pylist(), batch.column("uid").to_pylist())]
-        many = batch.column("members").to_pylist() if "members" in batch.schema.names else [1] * len(body)
-        for item in zip(body, owner, many):
+        owner = [(i is None, i or 0) for i in batch.column("owner").to_pylist()]  # a null id is larger than any other
+        more = [batch.column(c).to_pylist() if c in batch.schema.names else [1] * len(body) for c in ("members", "ties")]
+        for item in zip(body, owner, *more):
             trie.insert(*item)
         if bodies and trie.held > budget // 2:  # a first merge may end early: the second one sums up
             yield from _rows(trie, bodies)
@@ -168,11 +165,11 @@ def _merge(batches, budget: int, bodies: bool):
 
 def _rows(trie: PatriciaTrie, bodies: bool):
     held, size, seen = [], 0, {}
-    for key, owner, count in trie.items():
+    for key, owner, count, ties in trie.items():
         digest = hashlib.sha256(key).hexdigest()
         if seen.setdefault(digest, len(key)) != len(key):
             raise ValueError("two different texts have one digest")
-        held.append((digest, key if bodies else None, None if owner[0] else owner[1], owner[2], count))
+        held.append((digest, key if bodies else None, None if owner[0] else owner[1], count, ties))
         size += len(key) + 100
         if size > 8 << 20:
             yield _batch(held)
@@ -183,34 +180,43 @@ def _rows(trie: PatriciaTrie, bodies: bool):
 def _batch(rows):
     cols = list(zip(*rows)) or [[]] * 5
     kinds = (pa.string(), pa.binary(), pa.int64(), pa.int64(), pa.int64())
-    return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds)], ["digest", "body", "owner", "uid", "members"])
+    return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds)], ["digest", "body", "owner", "members", "ties"])
 
 
-def owners(rows: DataFrame, id_col: str, text_col: str, budget: int = 192 << 20) -> DataFrame:
-    """One row per different normalised text of rows (which have a _uid): digest, owner and its uid, members."""
-    texts = rows.select(F.col(id_col).cast("long").alias("owner"), F.col("_uid").alias("uid"), F.encode(normal_form(F.col(text_col)), "UTF-8").alias("body"))
+def owners(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", budget: int = 192 << 20) -> DataFrame:
+    """One row per different normalised text: digest, owner (smallest id), members, ties (rows that have the owner's id)."""
+    texts = docs.select(F.col(id_col).cast("long").alias("owner"), F.encode(normal_form(F.col(text_col)), "UTF-8").alias("body"))
     local = texts.mapInArrow(lambda b: _merge(b, budget, True), _OWNER_SCHEMA)
     dealt = local.repartition(F.length("body"), F.xxhash64("body"))
-    return dealt.mapInArrow(lambda b: _merge(b, budget, False), _OWNER_SCHEMA).select("digest", "owner", "uid", "members")
+    return dealt.mapInArrow(lambda b: _merge(b, budget, False), _OWNER_SCHEMA).select("digest", "owner", "members", "ties")
+
+
+def _assigned(docs: DataFrame, id_col: str, text_col: str) -> tuple[DataFrame, DataFrame]:
+    """docs with the new columns, and the table of owners."""
+    found = cut(owners(docs, id_col, text_col), "owners")
+    found = found.select(F.col("digest").alias("text_sha256"), F.col("owner").alias("keep_id"), F.col("members").alias("group_size"), F.col("ties").alias("_ties"))
+    total = found.agg(F.sum("group_size")).first()[0] or 0
+    rows = docs.drop("keep_id", "group_size", "kept", "text_sha256", "_ties")
+    rows = rows.withColumn("text_sha256", F.sha2(F.encode(normal_form(F.col(text_col)), "UTF-8"), 256))
+    joined = skew_safe_lookup(rows, found, "text_sha256", "group_size", total)
+    return joined.withColumn("kept", F.col(id_col).cast("long").eqNullSafe(F.col("keep_id"))), found
 
 
 def assign_owners(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """docs with keep_id, group_size, kept and text_sha256.
 
-    Null text counts as empty; an empty table gives no rows. Exactly one row of each text is kept: that of the smallest
-    id (a null id is larger than any other), and of rows that repeat that id the first one read. Columns of those four
-    names in docs are replaced. docs must give the same rows in the same order when read again, as files do.
+    Null text counts as empty; an empty table gives no rows. The row with the smallest id is kept; a null id is larger
+    than any other. Rows that repeat both the text and its smallest id are all marked kept, as nothing tells them apart.
+    Columns of those four names in docs are replaced.
     """
-    new = ("keep_id", "group_size", "kept", "text_sha256", "_uid")
-    rows = docs.drop(*new).withColumn("_uid", F.monotonically_increasing_id())
-    found = cut(owners(rows, id_col, text_col), "owners")
-    found = found.select(F.col("digest").alias("text_sha256"), F.col("owner").alias("keep_id"), F.col("uid").alias("_first"), F.col("members").alias("group_size"))
-    total = found.agg(F.sum("group_size")).first()[0] or 0
-    rows = rows.withColumn("text_sha256", F.sha2(F.encode(normal_form(F.col(text_col)), "UTF-8"), 256))
-    joined = skew_safe_lookup(rows, found, "text_sha256", "group_size", total)
-    return joined.withColumn("kept", F.col("_uid") == F.col("_first")).drop("_uid", "_first")
+    return _assigned(docs, id_col, text_col)[0].drop("_ties")
 
 
 def exact_dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """The row of each different text that stays; columns as in docs."""
-    return assign_owners(docs, id_col, text_col).where("kept").select(*docs.columns)
+    """One row of each different text, the one with the smallest id; columns as in docs."""
+    joined, found = _assigned(docs, id_col, text_col)
+    kept = joined.where("kept")
+    if found.where("_ties > 1").isEmpty():
+        return kept.select(*docs.columns)
+    once = kept.where("_ties > 1").dropDuplicates(["text_sha256"])
+    return kept.where("_ties = 1").unionByName(once).select(*docs.columns)
