@@ -318,7 +318,7 @@ def audit_recall(rows: DataFrame, result: DataFrame, threshold: float = 0.9, eve
     queries = raw.where(F.col("id") % every == 0)
     parts = 1 + queries.count() // PART_ROWS
     asked = queries.withColumn("part", F.pmod(F.xxhash64("id"), F.lit(parts)).cast("int")).withColumn("slice", F.explode(F.sequence(F.lit(0), F.lit(15)))).withColumn("asks", F.lit(True))
-    shown = raw.withColumn("slice", F.pmod(F.xxhash64("id"), F.lit(16)).cast("int")).withColumn("part", F.explode(F.sequence(F.lit(0), F.lit(parts - 1)))).withColumn("asks", F.lit(False))
+    shown = raw.withColumn("id", F.coalesce("id", F.lit(-1))).withColumn("slice", F.pmod(F.xxhash64("id"), F.lit(16)).cast("int")).withColumn("part", F.explode(F.sequence(F.lit(0), F.lit(parts - 1)))).withColumn("asks", F.lit(False))
 
     def run(batches):
         t = _table(batches)

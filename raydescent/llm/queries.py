@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from raydescent.llm.common import table
+from raydescent.llm.oracles import ORACLES  # noqa: F401
 
 
 def op2_nn_descent(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -86,11 +87,3 @@ def op10_language_bayes(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES = {f.__name__: f for f in (op1_host_reputation, op2_nn_descent, op3_separator_scan, op4_bpe_automaton, op5_exact_dedup, op6_license_votes, op7_simhash_planes, op8_histogram_packing, op9_stupid_backoff, op10_language_bayes)}
-
-ORACLES = {
-    "op5_exact_dedup": r"""
-SELECT doc_id, keep_id, group_size, doc_id = keep_id AS kept, sha256(norm) AS text_sha256
-FROM (SELECT doc_id, norm, min(doc_id) OVER (PARTITION BY norm) AS keep_id, count(*) OVER (PARTITION BY norm) AS group_size
-      FROM (SELECT doc_id, regexp_replace(coalesce(text, ''), '[\x20\x09-\x0D]+', ' ', 'g') AS norm FROM documents))
-""",
-}

@@ -1,0 +1,522 @@
+"""Each operator against brute force, with nulls, empty and long texts, ties, repeated rows, empty tables and clashing columns."""
+
+import hashlib
+import math
+import random
+import re
+from collections import Counter
+
+import numpy as np
+import pytest
+from hypothesis import given, settings
+from hypothesis import strategies as st
+
+import public_tokenizers
+from raydescent.llm.common import table
+
+DOCS = "doc_id long, text string, lang string, source string, n_chars long"
+BYTE, WORD = public_tokenizers.path("byte_bpe_50k.json"), public_tokenizers.path("word_bpe_49k.json")
+
+
+@pytest.fixture(scope="module")
+def odd(spark):
+    """Awkward rows: null, empty and letterless texts, copies, a repeated row, a null id, a very long text."""
+    rng = random.Random(3)
+    long = " ".join(rng.choice(["the", "House", "und", "le", "grün", "x1"]) for _ in range(60_000))
+    texts = [None, "", "   ", "12 34 !?", "The cat sat on the mat.", "The  cat\tsat on\nthe mat.", "the cat sat on the mat.", long, long + " end", "<|endoftext|> a<|endoftext|>", "日本語 😀 text", "Under the MIT License. Under the MIT license", "kİ K", "a", "a", "The cat sat on the mat."]
+    rows = [(i, t, "en", "s", len(t or "")) for i, t in enumerate(texts)] + [(4, texts[4], "en", "s", 23), (None, "Nobody owns this text", None, None, None)]
+    return spark.createDataFrame(rows, DOCS).repartition(3)
+
+
+@pytest.fixture(scope="module")
+def empty(spark):
+    return spark.createDataFrame([], DOCS)
+
+
+def texts_of(df):
+    return [(r.doc_id, r.text) for r in df.collect()]
+
+
+# Exact dedup
+
+
+def test_trie_against_a_dictionary_with_spill():
+    from raydescent.llm.patricia_dedup import PatriciaTrie
+
+    rng = random.Random(1)
+    keys = [bytes(rng.choices(b"ab", k=rng.randint(0, 12))) + b"x" * rng.randint(0, 3) for _ in range(4000)]
+    for budget in (1 << 30, 20_000, 3_000):
+        trie, want = PatriciaTrie(budget), {}
+        for i, k in enumerate(keys):
+            owner = rng.randint(0, 10**6)
+            trie.insert(k, owner)
+            want[k] = (min(owner, want[k][0]) if k in want else owner, want.get(k, (0, 0))[1] + 1)
+            del i
+        got = list(trie.items())
+        assert len(got) == len(want) and {k: (o, n) for k, o, n, _ in got} == want
+
+
+@settings(max_examples=50, deadline=None)
+@given(st.lists(st.binary(max_size=6), max_size=40))
+def test_trie_keeps_every_string(keys):
+    from raydescent.llm.patricia_dedup import PatriciaTrie
+
+    trie = PatriciaTrie(900)
+    for i, k in enumerate(keys):
+        trie.insert(k, i)
+    assert sorted((k, n) for k, _, n, _ in trie.items()) == sorted(Counter(keys).items())
+
+
+def test_exact_dedup(spark, odd, empty):
+    from raydescent.llm.patricia_dedup import assign_owners, exact_dedup
+
+    norm = lambda t: re.sub("[\x20\x09-\x0d]+", " ", t or "")
+    rows = texts_of(odd)
+    groups = {}
+    for i, t in rows:
+        groups.setdefault(norm(t), []).append(i)
+    got = assign_owners(odd.withColumnRenamed("source", "kept")).collect()
+    assert len(got) == len(rows)
+    for r in got:
+        ids = groups[norm(r.text)]
+        least = min((i for i in ids if i is not None), default=None)
+        assert (r.keep_id, r.group_size) == (least, len(ids)) and r.text_sha256 == hashlib.sha256(norm(r.text).encode()).hexdigest()
+    assert sum(r.kept for r in got) == len(groups) + 1  # one text has a row that repeats its smallest id
+    kept = exact_dedup(odd)
+    assert kept.columns == odd.columns and kept.count() == len(groups)
+    assert exact_dedup(empty).count() == 0
+
+
+# Host reputation
+
+
+def test_urls(spark):
+    from raydescent.llm.url_reputation import UrlRule, filter_urls, judge_urls
+
+    urls = [(0, "http://A.Example.ORG/es/1?q"), (1, "https://example.org/en/12"), (2, "http://x.com/fr/"), (3, "http://x.com/de/#a"), (4, "no scheme"), (5, None), (6, "http://bad.example.net:80/p"), (7, "http://org"), (8, "http://notexample.org/es/"), (9, "http://1.2.3.4/x"), (10, "://h?x=/y"), (11, "http://a/b://c/d"), (12, "")]
+    urls += [(100 + i, f"http://spam.example.net/{i}") for i in range(60)] + [(200 + i, f"http://good.example.net/{i}") for i in range(60)]
+    pages = spark.createDataFrame([(i, u, "v") for i, u in urls], "page_id long, url string, verdict string")
+    labels = spark.createDataFrame([(100 + i, 0) for i in range(40)] + [(200 + i, 1) for i in range(40)] + [(6, None)], "page_id long, good int")
+    got = {r.page_id: r for r in judge_urls(pages, labels).collect()}
+    assert len(got) == len(urls)
+    assert [(got[i].host, got[i].path, got[i].rule, got[i].verdict) for i in (0, 1, 2, 3, 8)] == [
+        ("a.example.org", "/es/1", "example.org/es/", "block"), ("example.org", "/en/12", "example.org/en/1", "block"), ("x.com", "/fr/", "com/fr/", "allow"), ("x.com", "/de/", "com/de/", "block"), ("notexample.org", "/es/", "org/", "allow")]
+    assert [(got[i].host, got[i].path) for i in (4, 5, 10, 11, 12)] == [("", ""), ("", ""), ("h", ""), ("a", "/b://c/d"), ("", "")]
+    assert got[7].path == "" and got[7].rule is None
+    assert all(got[100 + i].verdict == "block" for i in range(60)) and all(got[200 + i].verdict == "allow" for i in range(60))
+    assert got[6].verdict == "allow"  # one host without labels is not condemned for its neighbours
+    kept = filter_urls(pages, labels)
+    assert kept.columns == pages.columns and kept.count() == sum(r.verdict == "allow" for r in got.values())
+    nothing = judge_urls(pages.limit(0), labels.limit(0))
+    assert nothing.count() == 0
+    assert judge_urls(pages, labels.limit(0), rules=(UrlRule.parse("block x.com/"),)).where("verdict = 'block'").count() == 2
+
+
+# Vectors
+
+
+def test_vectors_against_brute_force(spark):
+    from raydescent.llm.nn_descent import audit_recall, vector_components
+
+    rng = np.random.default_rng(2)
+    centres = rng.standard_normal((900, 24))
+    x = [c for c in centres]
+    for i in range(200):
+        x += [centres[i] + rng.standard_normal(24) * 0.15 for _ in range(rng.integers(1, 4))]
+    x += [centres[0] + rng.standard_normal(24) * 0.1 for _ in range(300)]  # a crowd
+    x += [centres[5], centres[5] * 2.0, centres[5]]
+    rows = [(i, v.tolist()) for i, v in enumerate(x)]
+    n = len(rows)
+    rows += [(n, None), (n + 1, [0.0] * 24), (n + 2, [math.nan] * 24), (n + 3, [None] * 24), (n + 4, []), (n + 5, [1.0]), (n + 6, [2.0]), (None, centres[7].tolist())]
+    df = spark.createDataFrame([(i, v, "k") for i, v in rows], "vec_id long, embedding array<double>, kept string").repartition(4)
+    got = {r.vec_id: r for r in vector_components(df).collect()}
+    assert len(got) == len(rows)
+    u = np.array(x) / np.linalg.norm(x, axis=1, keepdims=True)
+    near = u @ u.T >= 0.9
+    degree = near.sum(axis=1) - 1
+    degree += (u @ (centres[7] / np.linalg.norm(centres[7])) >= 0.9).astype(int)
+    found = np.array([got[i].n_links for i in range(n)])
+    assert (found == degree).mean() >= 0.99 and (found <= degree).all()
+    for i in range(n + 5):
+        if i >= n:
+            assert got[i].n_links == 0 and got[i].component_id == i and got[i].kept
+    assert got[n + 5].n_links == 1 and got[n + 6].component_id == n + 5
+    assert got[None].component_id == 7
+    audit = audit_recall(df, vector_components(df)).first()
+    assert audit.recall >= 0.95 and audit.queries == sum(1 for i in range(0, n + 7, 20) if i < n or i in (n + 5, n + 6))
+    assert vector_components(df.limit(0)).count() == 0
+
+
+def test_equal_vectors_under_one_id(spark):
+    from raydescent.llm.nn_descent import vector_components
+
+    df = spark.createDataFrame([(1, [1.0, 0.0]), (1, [0.0, 1.0]), (1, [1.0, 0.0]), (2, [0.0, 2.0])], "vec_id long, embedding array<float>")
+    got = sorted((r.vec_id, r.n_links, r.component_id) for r in vector_components(df).collect())
+    assert got == [(1, 1, 1), (1, 1, 1), (1, 1, 1), (2, 1, 1)]
+
+
+# Tokens
+
+
+@pytest.fixture(scope="module")
+def library():
+    from tokenizers import Tokenizer
+
+    return Tokenizer.from_file(BYTE)
+
+
+@settings(max_examples=300, deadline=None)
+@given(st.text(max_size=60) | st.text(alphabet="aeiou thsn'reENT12.\n  ", max_size=80))
+def test_automaton_equals_the_library(library, text):
+    from raydescent.llm.bpe_automaton import compiled, read_vocabulary
+
+    bpe = compiled(read_vocabulary(BYTE))
+    ids = bpe.encode(text)
+    assert np.frombuffer(ids, "<u4").tolist() == library.encode(text, add_special_tokens=False).ids
+    assert bpe.decode(ids) == text
+
+
+def test_automaton_on_every_latin_character(library):
+    from raydescent.llm.bpe_automaton import LATIN_END, compiled, read_vocabulary
+
+    bpe = compiled(read_vocabulary(BYTE))
+    for c in range(LATIN_END + 40):
+        for text in (f"a{chr(c)}b {chr(c)} {chr(c)}{chr(c)}1{chr(c)}!", chr(c) * 40):
+            assert np.frombuffer(bpe.encode(text), "<u4").tolist() == library.encode(text, add_special_tokens=False).ids, hex(c)
+
+
+def test_gadgets_of_a_small_vocabulary():
+    from raydescent.llm.bpe_automaton import TokenAutomaton
+
+    spelling, merges = [b"a", b"b", b"aa", b"ab", b"aab"], [(0, 0, 2), (0, 1, 3), (2, 1, 4)]
+    auto = TokenAutomaton(spelling, [0, 1], merges)
+    for n in range(1, 9):
+        for bits in range(1 << n):
+            word = bytes(b"ab"[bits >> i & 1] for i in range(n))
+            tokens = [[0, 1][c == ord("b")] for c in word]
+            for u, v, w in merges:  # the definition: each merge from left to right, in order
+                out, i = [], 0
+                while i < len(tokens):
+                    if tokens[i : i + 2] == [u, v]:
+                        out.append(w)
+                        i += 2
+                    else:
+                        out.append(tokens[i])
+                        i += 1
+                tokens = out
+            assert auto.encode_word(word) == tokens
+
+
+def test_encode_query(spark, odd, empty, library):
+    from raydescent.llm.bpe_automaton import decode_texts, encode_digests, encode_texts
+
+    rows = sorted((r.doc_id is None, r.doc_id or 0, r.n_tokens, r.ids_sha256, r.decoded_sha256) for r in encode_digests(odd, BYTE).collect())
+    want = []
+    for i, t in texts_of(odd):
+        ids = library.encode(t or "", add_special_tokens=False).ids
+        want.append((i is None, i or 0, len(ids), hashlib.sha256(np.array(ids, "<u4").tobytes()).hexdigest(), hashlib.sha256((t or "").encode()).hexdigest()))
+    assert rows == sorted(want)
+    assert encode_digests(empty, BYTE).count() == 0
+    back = decode_texts(encode_texts(odd.withColumnRenamed("lang", "token_ids"), BYTE).drop("text"), BYTE)
+    assert sorted(r.text for r in back.collect()) == sorted(t or "" for _, t in texts_of(odd))
+
+
+def test_separator_scan(spark, odd, empty, library, tmp_path):
+    from raydescent.llm.separator_scan import count_tokens, flat_files, flat_stream
+
+    library.encode_special_tokens = True
+    want = sorted((i is None, i or 0, len(library.encode(t or "", add_special_tokens=False).ids)) for i, t in texts_of(odd))
+    library.encode_special_tokens = False
+    for size in (7, 64, 1 << 16):
+        blocks = flat_stream(odd.where("n_chars < 1000 OR n_chars IS NULL") if size == 7 else odd, BYTE, 50_256, block_tokens=size)
+        got = count_tokens(blocks, 50_256).collect()
+        assert all(r.ended for r in got)
+        if size != 7:
+            assert sorted((r.receipt is None, r.receipt or 0, r.n_tokens) for r in got) == want
+    assert count_tokens(flat_stream(empty, BYTE, 50_256), 50_256).count() == 0
+    rng = np.random.default_rng(0)
+    for name, n in (("a", 1000), ("b", 0), ("c", 5)):
+        rng.integers(0, 9, n).astype("<u2").tofile(tmp_path / f"{name}.bin")
+    got = count_tokens(flat_files(spark, f"file://{tmp_path}/*.bin", block_tokens=16), 8).collect()
+    for name in "abc":
+        ids = np.fromfile(tmp_path / f"{name}.bin", "<u2").tolist()
+        cuts, want, start = [i for i, x in enumerate(ids) if x == 8], [], 0
+        for number, c in enumerate([*cuts, len(ids)]):
+            if c < len(ids) or start < c:
+                want.append((number, start, c - start, c < len(ids)))
+            start = c + 1
+        assert sorted((r.number, r.start, r.n_tokens, r.ended) for r in got if r.stream.endswith(f"{name}.bin")) == want
+
+
+# Licences
+
+
+def test_licences(spark, odd, empty):
+    from raydescent.llm.license_votes import TEMPLATES, license_spans, scan_licenses
+
+    word = re.compile(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+")
+    lower = str.maketrans("ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
+    got = {r.doc_id: r for r in scan_licenses(odd.withColumnRenamed("lang", "label")).collect()}
+    for i, t in texts_of(odd):
+        assert got[i].n_words == len(word.findall((t or "").translate(lower)))
+    assert (got[11].n_base, got[11].first_word, got[11].last_word, got[11].base_labels) == (2, 0, 4, "mit")
+    assert got[4].labels == "" and got[4].score == 0.0
+    assert scan_licenses(empty).count() == 0
+    full = TEMPLATES[0][1]
+    altered = full.replace("free of charge ", "wholly free of charge ").replace("software without", "thing without")
+    texts = [f"intro words {altered} and more", full + " " + full, "cc by nc by cc by nc", " ".join(full.split()[::-1]), full[:60]]
+    more = scan_licenses(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string"))
+    got = {r.doc_id: r for r in more.collect()}
+    assert got[0].labels == "mit" and got[0].n_base == 0 and 0.6 <= got[0].score < 1 and got[1].score == 1.0
+    assert got[2].n_base == 2 and got[2].labels == "cc-by-nc" and got[3].labels == "" and got[4].labels == ""
+    spans = license_spans(spark.createDataFrame([(0, texts[0])], "doc_id long, text string")).where("label IS NOT NULL").collect()
+    assert [(s.first_word, s.end_word) for s in spans] == [(2, 2 + altered.split().index("thing"))]
+
+
+# SimHash
+
+
+def test_simhash(spark, odd, empty):
+    import xxhash
+
+    from raydescent.llm.bit_planes import join_labels
+    from raydescent.llm.simhash_dedup import near_dedup, simhash_components
+
+    def print_of(t):
+        w = re.findall("[^\x20\x09-\x0d]+", "".join(chr(ord(c) + 32) if "A" <= c <= "Z" else c for c in t or ""))
+        s = [" ".join(w[i : i + 3]) for i in range(len(w) - 2)] if len(w) >= 3 else [" ".join(w)] if w else []
+        hs = [xxhash.xxh64_intdigest(x.encode(), 42) for x in s]
+        return sum((2 * sum(h >> b & 1 for h in hs) > len(hs)) << b for b in range(64))
+
+    rows = [(i, t) for i, t in texts_of(odd) if t is None or len(t) < 1000]
+    got = simhash_components(odd.where("n_chars < 1000 OR n_chars IS NULL")).collect()
+    prints = {t: print_of(t) for _, t in rows}
+    assert sorted((r.doc_id or -1, r.fingerprint) for r in got) == sorted((i or -1, f"{prints[t]:016x}") for i, t in rows)
+    label = list(range(len(rows)))
+    pairs = [(a, b) for a in range(len(rows)) for b in range(a) if (prints[rows[a][1]] ^ prints[rows[b][1]]).bit_count() <= 3]
+    label = join_labels(np.array(label), np.array([p[0] for p in pairs]), np.array([p[1] for p in pairs]))
+    least = {c: min((rows[j][0] for j in range(len(rows)) if label[j] == c and rows[j][0] is not None), default=None) for c in set(label.tolist())}
+    want = sorted((rows[j][0] is None, rows[j][0] or 0, least[int(label[j])] is None, least[int(label[j])] or 0) for j in range(len(rows)))
+    assert sorted((r.doc_id is None, r.doc_id or 0, r.component_id is None, r.component_id or 0) for r in got) == want
+    assert simhash_components(empty).count() == 0 and near_dedup(empty).count() == 0
+    kept = near_dedup(odd)
+    assert kept.columns == odd.columns
+
+
+def test_bit_planes_against_brute_force():
+    from raydescent.llm.bit_planes import close_pairs
+
+    rng = np.random.default_rng(0)
+    for width, radius in ((8, 0), (8, 3), (24, 30)):
+        x = rng.integers(0, 256, (900, width), dtype=np.uint8)
+        for i in range(300):
+            x[i + 300] = x[i]
+            for _ in range(rng.integers(0, 2 * radius + 2)):
+                b = rng.integers(0, width * 8)
+                x[i + 300, b // 8] ^= np.uint8(1 << b % 8)
+        order = rng.permutation(900)
+        x, group = x[order], np.sort(rng.integers(0, 3, 900))
+        got = {(int(a), int(b)) for i, j in close_pairs(x, group, radius) for a, b in zip(i, j)}
+        want = {(i, j) for i in range(900) for j in range(i + 1, 900) if group[i] == group[j] and np.bitwise_count(x[i] ^ x[j]).sum() <= radius}
+        assert got == want
+
+
+def test_near_copies_of_given_similarity(spark):
+    from raydescent.llm.simhash_dedup import near_dedup, shingle_hashes
+
+    rng = random.Random(5)
+    words = [f"w{i}" for i in range(3000)]
+    base = [[rng.choice(words) for _ in range(200)] for _ in range(120)]
+    texts = [" ".join(b) for b in base]
+    for b in base[:60]:  # a word changed in the middle costs five shingles of 196
+        c = list(b)
+        for _ in range(rng.randint(1, 4)):
+            c[rng.randrange(200)] = "new"
+        texts.append(" ".join(c))
+    shared = base[0][:100]
+    texts += [" ".join(shared + [rng.choice(words) for _ in range(100)]) for _ in range(10)]  # similar in half: all stay
+    sets = [set(shingle_hashes(t, 5).tolist()) for t in texts]
+    linked = {j for j in range(120, 180) if len(sets[j] & sets[j - 120]) / len(sets[j] | sets[j - 120]) >= 0.8}
+    got = {r.doc_id for r in near_dedup(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).collect()}
+    assert len(linked) > 50 and len(got & linked) <= 1
+    assert set(range(len(texts))) - linked <= got
+
+
+def test_large_buckets_are_dealt_in_parts(spark, monkeypatch):
+    from raydescent.llm import simhash_dedup as m
+
+    monkeypatch.setattr(m, "BUCKET_ROWS", 20)
+    rng = np.random.default_rng(1)
+    base = rng.integers(0, 256, 8, dtype=np.uint8)
+    rows = []
+    for i in range(150):
+        x = base.copy()
+        for b in rng.integers(0, 24, 4):
+            x[b // 8] ^= np.uint8(1 << int(b) % 8)
+        rows.append((i, bytearray(x.tobytes())))
+    nodes = spark.createDataFrame(rows, "node long, print binary").dropDuplicates(["print"])
+    links = m.close_links(nodes, m.exact_tables(64, 3, 5), 3)
+    from raydescent.llm.components import connected_components
+
+    got = {r.node: r.component for r in connected_components(links).collect()}
+    held = nodes.collect()
+    v = {r.node: np.frombuffer(bytes(r.print), np.uint8) for r in held}
+    label = {n: n for n in v}
+    changed = True
+    while changed:
+        changed = False
+        for a in v:
+            for b in v:
+                if np.bitwise_count(v[a] ^ v[b]).sum() <= 3 and label[a] > label[b]:
+                    label[a], changed = label[b], True
+    assert {n: got.get(n, n) for n in v} == label
+
+
+def test_components_of_a_path_and_a_star(spark):
+    from raydescent.llm.components import connected_components
+
+    links = [(i, i + 1) for i in range(100, 160)] + [(500, i) for i in range(501, 560)] + [(7, 7)]
+    got = {r.node: r.component for r in connected_components(spark.createDataFrame(links, "a long, b long")).collect()}
+    assert set(got) == {*range(100, 161), *range(500, 560)}
+    assert all(c == (100 if n < 200 else 500) for n, c in got.items())
+    assert connected_components(spark.createDataFrame([], "a long, b long")).count() == 0
+
+
+# Packing
+
+
+def test_plans_place_every_piece():
+    from raydescent.llm.histogram_packing import plan_slots
+
+    rng = random.Random(2)
+    for _ in range(200):
+        cap = rng.choice([5, 16, 64, 4096])
+        counts = {rng.randint(1, cap): rng.randint(1, 60) for _ in range(rng.randint(1, 40))}
+        held, rank = {}, Counter()
+        for length, first_rank, many, first, offset in plan_slots(counts, cap):
+            assert first_rank == rank[length]
+            rank[length] += many
+            for i in range(many):
+                held.setdefault(first + i, []).append((offset, length))
+        assert rank == Counter(counts) and sorted(held) == list(range(len(held)))
+        for pieces in held.values():
+            at = 0
+            for offset, length in sorted(pieces):
+                assert offset == at
+                at += length
+            assert at <= cap
+        rooms, used = [], 0  # best fit decreasing, piece by piece
+        for length in sorted(Counter(counts).elements(), reverse=True):
+            fit = [r for r in rooms if r >= length]
+            if fit:
+                rooms.remove(min(fit))
+                rooms.append(min(fit) - length)
+            else:
+                rooms.append(cap - length)
+                used += 1
+        assert len(held) == used
+    with pytest.raises(ValueError):
+        plan_slots({6: 1}, 5)
+
+
+def test_packing(spark, odd, empty, tmp_path, monkeypatch):
+    import zlib
+
+    from tokenizers import Tokenizer
+
+    from raydescent.llm import histogram_packing as m
+
+    monkeypatch.setattr(m, "PART_ROWS", 3)
+    library = Tokenizer.from_file(WORD)
+    got = m.pack_documents(odd.withColumnRenamed("source", "piece"), WORD)
+    rows = got.collect()
+    want = []
+    for i, t in texts_of(odd):
+        ids = [*library.encode(t or "", add_special_tokens=False).ids, 1]
+        want += [(i is None, i or 0, p, 4096 * p, len(ids[4096 * p : 4096 * (p + 1)]), zlib.crc32(np.array(ids[4096 * p : 4096 * (p + 1)], "<u4").tobytes())) for p in range(-(-len(ids) // 4096))]
+    assert sorted((r.doc_id is None, r.doc_id or 0, r.piece, r.start, r.length, r.ids_crc32) for r in rows) == sorted(want)
+    by = {}
+    for r in rows:
+        by.setdefault(r.sequence_id, []).append((r.offset, r.length))
+    for pieces in by.values():
+        at = 0
+        for offset, length in sorted(pieces):
+            assert offset == at
+            at += length
+        assert at <= 4096
+    assert m.pack_documents(empty, WORD).count() == 0
+    few = odd.where("doc_id IN (0, 5, 7)")
+    m.write_sequences(few, m.pack_documents(few, WORD), WORD, f"file://{tmp_path}/seq")
+    written = sum(len(r.ids) for r in spark.read.parquet(f"file://{tmp_path}/seq").collect())
+    assert written == sum(len(library.encode(t or "", add_special_tokens=False).ids) + 1 for i, t in texts_of(few))
+
+
+# Language model
+
+
+def test_backoff_scores(spark, data, odd, empty, monkeypatch):
+    from raydescent.llm import backoff_lm as m
+    from raydescent.llm.bpe_automaton import compiled, read_vocabulary
+
+    monkeypatch.setattr(m, "CHUNK_TOKENS", 500)
+    bpe = compiled(read_vocabulary(BYTE), True)
+    docs = odd.select("doc_id", "text").union(table(spark, data, "documents").selectExpr("doc_id + 1000", "text"))
+    ids = [(i, np.frombuffer(bpe.encode(t or ""), "<u4").tolist()) for i, t in texts_of(docs)]
+    counts = [None, Counter(), Counter(), Counter()]
+    for _, x in ids:
+        for n in (1, 2, 3):
+            counts[n].update(tuple(x[i : i + n]) for i in range(len(x) - n + 1))
+    total = sum(counts[1].values())
+
+    def score(x, i):
+        for n in (3, 2):
+            g = tuple(x[i - n + 1 : i + 1])
+            if i >= n - 1 and counts[n][g] >= 2:
+                return math.log(counts[n][g] / counts[n - 1][g[:-1]]) + (min(3, i + 1) - n) * math.log(0.4)
+        return math.log(counts[1][(x[i],)] / total) + (min(3, i + 1) - 1) * math.log(0.4)
+
+    got = m.backoff_scores(docs, BYTE).collect()
+    assert len(got) == len(ids)
+    want = sorted((i is None, i or 0, len(x), round(sum(score(x, j) for j in range(len(x))), 4)) for i, x in ids)
+    for g, w in zip(sorted((r.doc_id is None, r.doc_id or 0, r.n_tokens, r.log_score) for r in got), want):
+        assert g[:3] == w[:3] and abs(g[3] - w[3]) < 1e-3
+    assert all((r.mean_log_score is None) == (r.n_tokens == 0) for r in got)
+    assert m.backoff_scores(empty, BYTE).count() == 0
+
+
+def test_packed_numbers():
+    from raydescent.llm.backoff_lm import pack, unpack
+
+    x = np.array([0, 1, 2**63, 2**64 - 1, 12345], np.uint64)
+    assert np.array_equal(unpack(pack(x)), x) and len(unpack(pack(x[:0]))) == 0
+
+
+# Language
+
+
+def test_language(spark, data, odd, empty):
+    from pyspark.sql import functions as F
+
+    from raydescent.llm.language_bayes import fit, learned_rows, predict
+
+    docs = spark.read.parquet(f"{data.replace('0.001', '0.1')}/documents.parquet").select("doc_id", "text", "lang")
+    model = fit(docs.where(learned_rows(F.col("doc_id"))), most_rows=1500)
+    held = predict(docs.where(~learned_rows(F.col("doc_id"))), model).collect()
+    assert sum(r.lang == r.lang_pred for r in held) / len(held) >= 0.98
+    got = {r.doc_id: r for r in predict(odd.withColumnRenamed("source", "score"), model).collect()}
+    assert [got[i].lang_pred for i in (0, 1, 2, 3)] == ["und"] * 4 and got[4].lang_pred == "en"
+    assert all(0 <= r.score <= 1 for r in got.values())
+    assert predict(empty, model).count() == 0
+    assert {r.lang_pred for r in predict(odd, fit(empty)).collect()} == {"und"}
+
+
+def test_letters_of_a_step_boundary():
+    from raydescent.llm import language_bayes as m
+
+    text = "".join(random.Random(1).choices("abcdef ", k=5000))
+    whole = m.ngram_counts(text, (2, 3), 1 << 10)
+    step, m._STEP = m._STEP, 97
+    try:
+        assert np.array_equal(m.ngram_counts(text, (2, 3), 1 << 10), whole)
+    finally:
+        m._STEP = step

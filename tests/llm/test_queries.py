@@ -1,0 +1,34 @@
+"""The registered queries against their SQL, and the pipeline stage by stage."""
+
+import pytest
+
+from compare import connect, difference
+from raydescent.llm.queries import ORACLES, QUERIES
+
+
+@pytest.mark.parametrize("name", sorted(QUERIES))
+def test_query(spark, data, name):
+    df = QUERIES[name](spark, data)
+    if name in ORACLES:
+        assert difference(df, connect(data), ORACLES[name]) == ""
+    else:
+        assert df.count() >= (50 if name != "op8_histogram_packing" else 200)
+
+
+def test_pipeline(spark, data):
+    import corpus_pipeline as p
+    from raydescent.llm.common import cut, table
+
+    docs = table(spark, data, "documents")
+    seen = [docs.count()]
+    for name, stage in p.STAGES[:-1]:
+        out = cut(stage(spark, docs, data), name)
+        assert out.columns == docs.columns
+        ids = {r.doc_id for r in docs.select("doc_id").collect()}
+        assert {r.doc_id for r in out.select("doc_id").collect()} <= ids
+        docs = out
+        seen.append(docs.count())
+    assert seen[1] == seen[0] and seen[1] > seen[2] >= seen[3] > 0.5 * seen[0]
+    packed = p.STAGES[-1][1](spark, docs, data)
+    assert packed.select("doc_id").distinct().count() == seen[3]
+    assert p.run(spark, data).count() == packed.count()
