@@ -55,26 +55,26 @@ def plan_slots(histogram: dict[int, int], capacity: int) -> list[tuple[int, int,
                 first, many = groups[room].pop()
                 if not groups[room]:
                     del groups[room], rooms[at]
-                take = min(many, todo)
-                if take < many:
-                    leave(room, first + take, many - take)
-            else:  # nothing has room: new sequences, each filled up before the next, layer by layer
-                each = capacity // length
-                full, rest = divmod(todo, each)
-                for layer in range(each):
-                    many = full + (layer < rest)
-                    if many:
-                        slots.append((length, rank, many, opened, layer * length))
-                        rank += many
-                if full:
-                    leave(capacity - each * length, opened, full)
-                if rest:
-                    leave(capacity - rest * length, opened + full, 1)
-                opened += full + (rest > 0)
-                break
-            slots.append((length, rank, take, first, capacity - room))
-            leave(room - length, first, take)
-            rank, todo = rank + take, todo - take
+            else:  # nothing has room: as many new sequences as it takes
+                room, first, many = capacity, opened, -(-todo // (capacity // length))
+                opened += many
+            # a sequence just filled is the best fit for the next piece: one is filled up before the next is touched
+            each = room // length
+            full, rest = divmod(todo, each)
+            if full >= many:
+                full, rest = many, 0
+            for layer in range(each):
+                here = full + (layer < rest)
+                if here:
+                    slots.append((length, rank, here, first, capacity - room + layer * length))
+                    rank += here
+            todo -= full * each + rest
+            if full:
+                leave(room - each * length, first, full)
+            if rest:
+                leave(room - rest * length, first + full, 1)
+            if many > full + (rest > 0):
+                leave(room, first + full + (rest > 0), many - full - (rest > 0))
     return slots
 
 
