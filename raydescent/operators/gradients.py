@@ -37,20 +37,7 @@ def shard_blocks(examples: DataFrame, weights: dict[int, list[np.ndarray]], want
 
     def run(batches):
         versions, owed = held.value
-        sums: dict[tuple[int, int], list] = {}
-        for batch in batches:
-            if not batch.num_rows:
-                continue
-            part = batch.column("part_id").to_numpy()
-            x, y = _matrix(batch.column("x"), layout.spec.inputs), batch.column("y").to_numpy(zero_copy_only=False)
-            for shard in np.unique(part).tolist():
-                at = part == shard
-                for version in owed.get(shard, ()):
-                    g = layout.split(kernel(layout.spec, versions[version], x[at], y[at]))
-                    held_ = sums.setdefault((version, shard), [np.zeros_like(g), 0])
-                    held_[0] += g
-                    held_[1] += int(at.sum())
-        for (version, shard), (g, n) in sums.items():
+        for (version, shard), (g, n) in task_sums(batches, versions, owed, layout, kernel).items():
             for group in range(layout.t):
                 firsts = list(range(0, g.shape[1], SLICE))
                 yield pa.RecordBatch.from_arrays(
@@ -58,8 +45,66 @@ def shard_blocks(examples: DataFrame, weights: dict[int, list[np.ndarray]], want
                     ["version", "part_id", "group", "first", "values", "n_rows"],
                 )
 
+    return owed_rows(examples, wanted).mapInArrow(run, BLOCK_SCHEMA)
+
+
+def owed_rows(examples: DataFrame, wanted: dict[int, list[int]]) -> DataFrame:
     rows = examples.where(F.col("part_id").isin(sorted(wanted)) & F.col("x").isNotNull() & F.col("y").isNotNull())
-    return rows.select("part_id", "x", F.col("y").cast("double").alias("y")).mapInArrow(run, BLOCK_SCHEMA)
+    return rows.select("part_id", "x", F.col("y").cast("double").alias("y"))
+
+
+def task_sums(batches, versions: dict, owed: dict[int, list[int]], layout: GroupLayout, kernel: Kernel) -> dict[tuple[int, int], tuple[np.ndarray, int]]:
+    """(version, shard) to (groups x block gradient sum, rows) over a task's batches."""
+    sums: dict[tuple[int, int], tuple[np.ndarray, int]] = {}
+    for batch in batches:
+        if not batch.num_rows:
+            continue
+        part = batch.column("part_id").to_numpy()
+        x, y = _matrix(batch.column("x"), layout.spec.inputs), batch.column("y").to_numpy(zero_copy_only=False)
+        order = np.argsort(part, kind="stable")
+        part, x, y = part[order], x[order], y[order]
+        edges = np.r_[np.flatnonzero(np.r_[True, part[1:] != part[:-1]]), len(part)]
+        for lo, hi in zip(edges[:-1], edges[1:]):
+            shard = int(part[lo])
+            for version in owed.get(shard, ()):
+                g = layout.split(kernel(layout.spec, versions[version], x[lo:hi], y[lo:hi]))
+                had, n = sums.get((version, shard), (0.0, 0))
+                sums[version, shard] = (had + g, n + int(hi - lo))
+    return sums
+
+
+def coded_sums(examples: DataFrame, versions: dict[int, list[np.ndarray]], asked: list[tuple[int, int]], encode: list[tuple[int, int, int, int, float]], slots: int, layout: GroupLayout, kernel: Kernel = gradients) -> DataFrame:
+    """lane, version, slot, pos, value: messages of the (lane, version) asked, encoded in the tasks that have the gradients.
+
+    As encoding is linear, a task sends its part of each message (a block a lane) instead of its part of each shard's
+    gradient (t blocks a shard and version), and the parts are added up on the way.
+    """
+    lanes: dict[int, list] = {}
+    for lane, part, group, slot, coef in encode:
+        lanes.setdefault(lane, []).append((part, group, slot, coef))
+    wanted: dict[int, list[int]] = {}
+    for lane, version in asked:
+        for part, *_ in lanes.get(lane, ()):
+            if version not in wanted.setdefault(part, []):
+                wanted[part].append(version)
+    held = examples.sparkSession.sparkContext.broadcast((versions, wanted, lanes, asked))
+
+    def run(batches):
+        weights, owed, rows, some = held.value
+        sums = task_sums(batches, weights, owed, layout, kernel)
+        for lane, version in some:
+            message = np.zeros((slots, layout.block))
+            for part, group, slot, coef in rows.get(lane, ()):
+                if (version, part) in sums:
+                    message[slot] += coef * sums[version, part][0][group]
+            for slot in range(slots):
+                firsts = list(range(0, layout.block, SLICE))
+                kinds = (pa.int32(), pa.int64(), pa.int32())
+                keys = [pa.array([v] * len(firsts), k) for v, k in zip((lane, version, slot), kinds)]
+                yield pa.RecordBatch.from_arrays([*keys, pa.array(firsts, pa.int32()), pa.array([message[slot, f : f + SLICE] for f in firsts], pa.list_(pa.float64()))], ["lane", "version", "slot", "first", "values"])
+
+    blocks = owed_rows(examples, wanted).mapInArrow(run, "lane int, version long, slot int, first int, values array<double>")
+    return summed(blocks, ["lane", "version", "slot"])
 
 
 def summed(blocks: DataFrame, keys: list[str]) -> DataFrame:

@@ -1,7 +1,7 @@
 """Descent with coded messages and its rivals, on a virtual clock over real gradients.
 
 The schedule of arrivals is made first. For each update one Spark job computes the gradients that its messages need (all
-read versions in one scan, only the shards of its lanes), sums them to messages with the scheme's relation and brings
+read versions in one scan, only the shards of its lanes), encodes them in the tasks, adds the parts up and brings
 K messages to the driver, which adds them into the weights. Weights of versions that no lane will read again are let go.
 """
 
@@ -17,8 +17,8 @@ from pyspark.sql import functions as F
 
 from raydescent.operators.arrivals import Delays, Update, arrival_schedule
 from raydescent.operators.exact_coding import ExactCode
-from raydescent.operators.gradients import Kernel, evaluate, shard_blocks, summed
-from raydescent.operators.lanes import Scheme, apply_message, lane_messages, rotated_scheme
+from raydescent.operators.gradients import Kernel, coded_sums, evaluate
+from raydescent.operators.lanes import Scheme, apply_message, rotated_scheme
 from raydescent.plans.models import GroupLayout, NetSpec, gradients
 from raydescent.plans.params import Embedding
 
@@ -46,28 +46,20 @@ class FitResult:
 def collect_messages(examples: DataFrame, versions: dict[int, list[np.ndarray]], scheme: Scheme, messages: tuple[tuple[int, int, float], ...], layout: GroupLayout, kernel: Kernel = gradients, scan: str = "shared") -> list[np.ndarray]:
     """The payloads (slots x block) of one update's messages, in their order.
 
-    scan 'shared' computes each shard's gradient once per version and encodes afterwards; 'per_lane' has every lane's
-    shards computed for itself, as separate machines would.
+    scan 'shared' computes each shard's gradient once per version, whatever the number of its lanes; 'per_lane' has every
+    lane's shards computed for itself, as separate machines would.
     """
-    spark = examples.sparkSession
     out = {m[:2]: np.zeros((scheme.slots, layout.block)) for m in messages}
-    groups = [tuple(m[:2] for m in messages)] if scan == "shared" else [(m[:2],) for m in messages]
-    for some in groups:
-        wanted: dict[int, list[int]] = {}
-        for lane, version in some:
-            for shard in scheme.shards_of(lane):
-                if version not in wanted.setdefault(shard, []):
-                    wanted[shard].append(version)
-        if not wanted:
+    for some in [list(out)] if scan == "shared" else [[m] for m in out]:
+        on = {m[0] for m in some}
+        encode = [r for r in scheme.encode if r[0] in on]
+        if not encode:
             continue
-        blocks = shard_blocks(examples, versions, wanted, layout, kernel)
-        cells = summed(blocks, ["version", "part_id", "group"])
-        rows = [r for r in scheme.encode if (r[0],) in {(m[0],) for m in some}]
-        encode = spark.createDataFrame(rows, "lane int, part_id int, group int, slot int, coef double")
-        read = spark.createDataFrame(list(some), "lane int, version long")
-        sent = lane_messages(cells, encode, read)
-        for r in sent.groupBy("lane", "version", "slot").agg(F.collect_list("pos").alias("p"), F.collect_list("value").alias("v")).collect():
-            out[(r["lane"], r["version"])][r["slot"], r["p"]] = r["v"]
+        got = coded_sums(examples, versions, some, encode, scheme.slots, layout, kernel).toArrow()  # K messages
+        lane, version, slot, pos, value = (got.column(c).to_numpy() for c in ("lane", "version", "slot", "pos", "value"))
+        for m in some:
+            at = (lane == m[0]) & (version == m[1])
+            out[m][slot[at], pos[at]] = value[at]
     return [out[m[:2]] for m in messages]
 
 
