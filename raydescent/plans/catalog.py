@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import uuid
 
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
@@ -12,6 +13,7 @@ from raydescent.functions import sql_functions
 from raydescent.operators import arrivals, codes, exact_coding, geometry, gradients, lanes, layout, measures, torus, training
 from raydescent.plans.models import GroupLayout, NetSpec
 from raydescent.plans.params import CodeParams, embed_parameters
+from raydescent.session import shared_folder
 from raydescent.sources import mixture, workloads
 from raydescent.sources.tables import load_table
 from raydescent.streaming import master
@@ -399,6 +401,69 @@ def run_ablations(spark: SparkSession, sf_dir: str) -> DataFrame:
     return curves(spark, runs)
 
 
+@query
+def run_documents(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Quality and toxicity of labelled documents, two logistic models; copies of a text stand in one split."""
+    out = []
+    for target in ("quality", "toxic"):
+        data = workloads.document_examples(spark, sf_dir, 4, target, 32).persist()
+        out.append(training.fit_coded(data, NetSpec(32, (1,), "xent_logistic"), P842, 8, 2.0, axis="input", delays=DELAYS, every=4, run_id=f"coded_{target}"))
+        out.append(training.fit_uncoded(data, NetSpec(32, (1,), "xent_logistic"), P842, 8, 2.0, delays=DELAYS, every=4, run_id=f"uncoded_{target}"))
+        data.unpersist()
+    return curves(spark, out)
+
+
+@query
+def run_conversation_roles(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return curves(spark, compare(spark, lambda k: workloads.conversation_examples(spark, sf_dir, k), NetSpec(3, (3,)), P842, 8, 1.0, exact=False))
+
+
+@query
+def run_pages(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return curves(spark, compare(spark, lambda k: workloads.page_examples(spark, sf_dir, k), NetSpec(3, (4,)), P842, 8, 1.0, exact=False))
+
+
+@query
+def run_orders(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Order priorities, whose five classes are padded to six."""
+    return curves(spark, compare(spark, lambda k: workloads.priority_examples(spark, sf_dir, k), NetSpec(8, (5,)), P842, 8, 0.5, exact=False))
+
+
+@query
+def run_regression(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Least squares with one output: the groups are blocks of its weights."""
+    data = workloads.regression_examples(spark, sf_dir, 4).persist()
+    runs = [training.fit_coded(data, NetSpec(3, (1,), "mse_linear"), P842, 8, 0.3, axis="input", delays=DELAYS, every=4, run_id="coded_inputs")]
+    runs.append(training.fit_uncoded(data, NetSpec(3, (1,), "mse_linear"), P842, 8, 0.3, delays=DELAYS, every=4, run_id="uncoded"))
+    return curves(spark, runs)
+
+
+@query
+def run_codes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Replication and the uncoded scheme beside the code, at the same number of messages."""
+    data, spec = _mixture(spark)(4).persist(), NetSpec(16, (8,))
+    schedule = arrivals.arrival_schedule(8, 4, 8, "k_async_wait", DELAYS)
+    schemes = (lanes.coded_scheme(P842), lanes.uncoded_scheme(P842), lanes.repeated_scheme(4, 2))
+    return curves(spark, [training.fit(data, spec, s, schedule, 0.5, every=4, run_id=s.name) for s in schemes])
+
+
+@query
+def run_live(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Three updates with a Spark job per lane and real arrivals."""
+    r = training.fit_live(_mixture(spark, 800)(4).persist(), NetSpec(16, (8,)), lanes.coded_scheme(P842), 4, 3, 0.5)
+    return r.table(spark).select("update_no", "scheme", "floats_sent")
+
+
+@query
+def run_event_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The events as a stream: a coded step per micro-batch; losses before and after."""
+    stream = spark.readStream.schema(load_table(spark, sf_dir, "events").schema).option("maxFilesPerTrigger", 1).parquet(f"{sf_dir}/events.parquet*")
+    sink = master.MiniBatchDescent(NetSpec(4, (4,)), lanes.coded_scheme(P842), 0.5, list(range(8)))
+    workloads.event_examples(stream, 4).writeStream.foreachBatch(sink).option("checkpointLocation", f"{shared_folder(spark)}/events-{uuid.uuid4().hex}").trigger(availableNow=True).start().awaitTermination()
+    ex = workloads.event_examples(load_table(spark, sf_dir, "events"), 4)
+    return gradients.evaluate(ex.where("split = 'test'"), {0: sink.layout.spec.start(), len(sink.history): sink.weights}, sink.layout.spec)
+
+
 @query
 def curve_measures(spark: SparkSession, sf_dir: str) -> DataFrame:
     """First point at or below a loss, per scheme, and how many points overfit."""

@@ -94,3 +94,24 @@ def regression_examples(k: int) -> str:
     key = "(l_orderkey * 8 + l_linenumber)"
     return f"""SELECT row_key, {shard('row_key', k)} AS part_id, {split('row_key')} AS split, list_append(f, 1.0) AS x, 2 * f[1] - f[2] + 0.5 * f[3] + ({h('row_key + 31')} % 1000) / 1000.0 - 0.5 AS y
 FROM (SELECT {key} AS row_key, [(l_quantity - 25) / 15, (p_retailprice - 950) / 50, (l_discount - 0.05) / 0.03] AS f FROM lineitem JOIN part ON l_partkey = p_partkey)"""
+
+
+def event_examples(k: int) -> str:
+    return f"""SELECT event_id AS row_key, {shard('event_id', k)} AS part_id, {split('event_id')} AS split,
+ [value / 50 - 1, sin(hour(ts) * (2 * pi() / 24)), cos(hour(ts) * (2 * pi() / 24)), n / 50.0 - 1, 1.0] AS x, CASE WHEN q < 0.75 THEN 0 WHEN q < 1.5 THEN 1 WHEN q < 2.5 THEN 2 ELSE 3 END AS y
+FROM (SELECT *, value / 50 + n / 50.0 AS q FROM (SELECT *, (props->>'$.k')::INT AS n FROM events))"""
+
+
+def conversation_examples(k: int) -> str:
+    key = "(conv_id * 64 + turn)"
+    return f"""SELECT {key} AS row_key, {shard(key, k)} AS part_id, {split(key)} AS split,
+ [ln(1 + length(t)) - 5, least(length(t) - length(replace(t, '?', '')), 5) / 5.0, length(t) / greatest(len(string_split(t, ' ')), 1) / 10.0 - 0.5, 1.0] AS x,
+ CASE role WHEN 'system' THEN 0 WHEN 'user' THEN 1 ELSE 2 END AS y
+FROM (SELECT *, coalesce(text, '') AS t FROM conversations WHERE role IN ('system', 'user', 'assistant'))"""
+
+
+def page_examples(k: int) -> str:
+    return f"""SELECT page_id AS row_key, {shard('page_id', k)} AS part_id, {split('page_id')} AS split,
+ [ln(1 + len(regexp_extract_all(h, '<[a-z]'))) - 3, ln(1 + len(regexp_extract_all(h, '<a '))) - 1.5, ln(size) - 7, 1.0] AS x,
+ CASE WHEN bare / size < 0.4 THEN 0 WHEN bare / size < 0.6 THEN 1 WHEN bare / size < 0.8 THEN 2 ELSE 3 END AS y
+FROM (SELECT *, greatest(length(h), 1) AS size, length(regexp_replace(h, '<[^>]*>', '', 'g')) AS bare FROM (SELECT page_id, coalesce(html, '') AS h FROM pages))"""

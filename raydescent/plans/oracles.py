@@ -113,6 +113,9 @@ ORACLES["shard_gradient_embeddings"] = long_gradient(part.embedding_examples(4),
 ORACLES["shard_gradient_lineitem"] = long_gradient(part.lineitem_examples(4, real=True), 6, 6, 10000.0)
 ORACLES["shard_gradient_orders"] = long_gradient(part.priority_examples(4), 5, 8, 1000.0)
 ORACLES["mse_softmax_gradient"] = long_gradient(part.embedding_examples(4), 10, 64, 100.0, mse=True)
+ORACLES["softmax_gradient_events"] = long_gradient(part.event_examples(4), 4, 4, 1000.0)
+ORACLES["softmax_gradient_conversations"] = long_gradient(part.conversation_examples(4), 3, 3, 100.0)
+ORACLES["softmax_gradient_pages"] = long_gradient(part.page_examples(4), 4, 3, 100.0)
 ORACLES["mse_gradient_lineitem"] = single_output_gradient(part.regression_examples(4), 3, 10000.0, "z - yy")
 ORACLES["logistic_gradient_orders"] = single_output_gradient(f"SELECT * REPLACE ((y = 0)::INT AS y) FROM ({part.priority_examples(4)})", 8, 1000.0, "1 / (1 + exp(-z)) - yy")
 

@@ -26,3 +26,14 @@ def ship_package(spark: SparkSession) -> None:
             z.write(f, f.relative_to(ROOT.parent))
     spark.sparkContext.addPyFile(str(target))
     _SHIPPED.add(app)
+
+
+def shared_folder(spark: SparkSession) -> str:
+    """The folder that driver and executors share: spark.checkpoint.dir. Only where it is unset (tests) a local one is made."""
+    root = spark.conf.get("spark.checkpoint.dir", None)
+    if not root:
+        root = spark.sparkContext.getCheckpointDir()
+    if not root:
+        root = "file://" + tempfile.mkdtemp(prefix="raydescent-")
+        spark.sparkContext.setCheckpointDir(root)
+    return root.rstrip("/")
