@@ -60,13 +60,17 @@ def smoothed(curve: DataFrame, points: int = 5) -> DataFrame:
     return curve.withColumn("test_loss_smooth", F.avg("test_loss").over(along))
 
 
-def read_as_of(messages: DataFrame, published: DataFrame) -> DataFrame:
-    """messages (lane, started_at) with the newest version (version, published_at) at or before their start.
+def read_as_of(messages: DataFrame, published: DataFrame, width: float = 3600.0) -> DataFrame:
+    """messages (lane, started_at) with the newest version (version, published_at) at or before their start; null before the first.
 
-    As-of by union and a window per lane-independent hash of time: every message sees the publications, which are few
-    (one per update) and broadcast as one sorted array; a binary search would be overkill at their number.
+    A version holds from its publication to the next. These spans are laid out on bins of width seconds, so that messages
+    meet them by an equal bin and a comparison, and no message sees all publications.
     """
-    line = published.agg(F.array_sort(F.collect_list(F.struct("published_at", "version"))).alias("line"))  # one entry per update
-    met = messages.join(F.broadcast(line))
-    before = F.filter("line", lambda p: p["published_at"] <= F.col("started_at"))
-    return met.select(*messages.columns, F.try_element_at(before, F.lit(-1))["version"].alias("read_version"))
+    last = messages.agg(F.max("started_at")).first()[0]
+    until = F.lead("published_at").over(Window.orderBy("published_at", "version"))  # of publications: one row an update
+    spans = published.select("version", "published_at", until.alias("until")).where(F.col("until").isNull() | (F.col("until") > F.col("published_at")))
+    floor = lambda c: F.floor(c / width)
+    end = floor(F.least(F.coalesce("until", F.lit(last)), F.lit(last)))
+    spans = spans.where(F.col("published_at") <= F.lit(last)).withColumn("_bin", F.explode(F.sequence(floor(F.col("published_at")), end)))
+    met = (floor(F.col("started_at")) == F.col("_bin")) & (F.col("started_at") >= F.col("published_at")) & (F.col("until").isNull() | (F.col("started_at") < F.col("until")))
+    return messages.join(spans, met, "left").select(*messages.columns, F.col("version").alias("read_version"))

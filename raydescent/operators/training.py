@@ -13,7 +13,6 @@ from dataclasses import dataclass, field
 
 import numpy as np
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
 
 from raydescent.operators.arrivals import Delays, Update, arrival_schedule
 from raydescent.operators.exact_coding import ExactCode
