@@ -10,6 +10,7 @@ ranked within their part, and the parts of a length are added up, so that a leng
 
 from __future__ import annotations
 
+import json
 import os
 import re
 import zlib
@@ -24,11 +25,14 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from raydescent.llm.bpe_automaton import _BEYOND, latin_class, read_vocabulary
+from raydescent.llm.bpe_automaton import latin_class, read_vocabulary
 from raydescent.llm.common import cut
 
+#: Characters below U+0180 keep to that range when lower-cased, but for U+0130, and are their own normal form.
+_SLOW = re.compile("[^\u0000-\u012f\u0131-\u017f]")
+
 #: Rows of one length that are ranked in one place, about.
-PART_ROWS = 200_000
+PART_ROWS = 2_000
 
 
 def plan_slots(histogram: dict[int, int], capacity: int) -> list[tuple[int, int, int, int, int]]:
@@ -84,20 +88,23 @@ class WordBpe:
     Other texts and those that may hold a special token go through the library whole.
     """
 
-    def __init__(self, source: str, most_words: int = 400_000):
+    def __init__(self, source: str, most_words: int = 500_000):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")  # a task has one core, and the batches are small
         from tokenizers import Tokenizer
 
         self.library = Tokenizer.from_str(source)
         self.library.no_truncation()
         self.library.no_padding()
+        spec = json.loads(source)  # for words that are already lower-cased and split: without those steps
+        spec |= {"normalizer": None, "added_tokens": [], "pre_tokenizer": spec["pre_tokenizer"] | {"pretokenizers": spec["pre_tokenizer"]["pretokenizers"][1:]}}
+        self.bare = Tokenizer.from_str(json.dumps(spec))
         letters, numbers, space = latin_class("L"), latin_class("N"), "\\t\\n\\x0b\\x0c\\r\\x20\\x85\\xa0"
         self.rule = re.compile(f"'s|'t|'re|'ve|'m|'ll|'d|[{letters}]+|[{numbers}]|[^{space}{letters}{numbers}]+")
         self.words: dict[str, bytes] = {}
         self.most = most_words
 
     def encode(self, text: str) -> bytes:
-        if _BEYOND.search(text) or "<|" in text or "İ" in text:
+        if _SLOW.search(text) or "<|" in text:
             return b"".join(i.to_bytes(4, "little") for i in self.library.encode(text, add_special_tokens=False).ids)
         words, known = self.rule.findall(text.lower()), self.words
         fresh = [w for w in set(words) if w not in known]
@@ -105,7 +112,7 @@ class WordBpe:
             if len(known) + len(fresh) > self.most:
                 known.clear()
                 fresh = list(set(words))
-            made = self.library.encode(fresh, is_pretokenized=True, add_special_tokens=False)
+            made = self.bare.encode(fresh, is_pretokenized=True, add_special_tokens=False)
             ids, edges = np.array(made.ids, "<u4").tobytes(), np.searchsorted(made.word_ids, np.arange(len(fresh) + 1)) * 4
             for w, a, b in zip(fresh, edges[:-1].tolist(), edges[1:].tolist()):
                 known[w] = ids[a:b]

@@ -301,6 +301,8 @@ def test_simhash(spark, odd, empty):
     assert simhash_components(empty).count() == 0 and near_dedup(empty).count() == 0
     kept = near_dedup(odd)
     assert kept.columns == odd.columns
+    nobody = spark.createDataFrame([(None, "one two three four"), (None, "quite another set of words"), (8, "one two three four")], "doc_id long, text string")
+    assert sorted((r.doc_id or 0, r.component_id or 0) for r in simhash_components(nobody).collect()) == [(0, 0), (0, 8), (8, 8)]
 
 
 def test_bit_planes_against_brute_force():
@@ -451,6 +453,19 @@ def test_packing(spark, odd, empty, tmp_path, monkeypatch):
     assert written == sum(len(library.encode(t or "", add_special_tokens=False).ids) + 1 for i, t in texts_of(few))
 
 
+def test_word_ids_on_every_latin_character():
+    from raydescent.llm.bpe_automaton import read_vocabulary
+    from raydescent.llm.histogram_packing import WordBpe
+
+    bpe = WordBpe(read_vocabulary(WORD))
+    rng = random.Random(4)
+    texts = [f"a{chr(c)}B {chr(c)} 1{chr(c)}!" for c in range(0x300)]
+    texts += ["".join(rng.choices([chr(c) for c in range(0x250)], k=rng.randint(0, 60))) for _ in range(2000)]
+    texts += ["".join(rng.choices("aeINT'srelvmd 12.\n", k=rng.randint(0, 60))) for _ in range(2000)]
+    for text in texts:
+        assert np.frombuffer(bpe.encode(text), "<u4").tolist() == bpe.library.encode(text, add_special_tokens=False).ids, text
+
+
 # Language model
 
 
