@@ -66,13 +66,13 @@ def _fold(batches, orders, buckets):
 def fit(docs: DataFrame, lang_col: str = "lang", id_col: str = "doc_id", text_col: str = "text", most_rows: int = 20_000, orders: tuple[int, ...] = (2, 3), buckets: int = 1 << 14, smoothing: float = 0.5) -> NgramModel:
     """Learn from at most about most_rows labelled rows (null texts and labels are left out), chosen by a hash of the id.
 
-    buckets must be a power of two. The languages are those in the sample; an empty sample gives a model without any,
+    buckets must be a power of two. The languages (some hundreds at most) are those in the sample; an empty sample gives a model without any,
     which answers UNKNOWN. At most one row per language and task, of bounded size, comes to the driver as a sum.
     """
     rows = docs.where(F.col(lang_col).isNotNull() & F.col(text_col).isNotNull()).select(F.col(lang_col).cast("string").alias("lang"), F.col(text_col).alias("text"), F.col(id_col).alias("id"))
     n = rows.count()
     if n > most_rows:
-        rows = rows.where(F.pmod(F.xxhash64("id"), F.lit(1_000_000)) < int(1_000_000 * most_rows / n))
+        rows = rows.where(F.shiftrightunsigned(F.xxhash64("id"), 11) < int(2**53 * most_rows / n))
     part = rows.select("lang", "text").mapInArrow(lambda b: _fold(b, orders, buckets), "lang string, docs long, at array<int>, n array<long>")
     cells = part.select("lang", "docs", F.explode(F.arrays_zip("at", "n")).alias("c")).groupBy("lang", "c.at").agg(F.sum("c.n").alias("n"))
     sums: dict[str, np.ndarray] = {}

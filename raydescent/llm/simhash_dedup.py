@@ -27,7 +27,8 @@ from raydescent.llm.components import connected_components
 #: Rows of one bucket that are compared in one task; larger buckets are split into pairs of parts.
 BUCKET_ROWS = 20_000
 PORTION_ROWS = 20_000
-_NO_ID = (1 << 63) - 1
+#: Nodes from here on stand for fingerprints of which no row has an id.
+_NO_ID = 1 << 62
 _STEP = 1 << 15
 
 
@@ -165,15 +166,17 @@ def close_links(nodes: DataFrame, tables: list[list[int]], radius: int, nearest:
 
 
 def _classes(prints: DataFrame) -> DataFrame:
-    """print, node (smallest id; null ids count as larger than any other), members."""
-    return prints.groupBy("print").agg(F.min(F.coalesce("id", F.lit(_NO_ID))).alias("node"), F.count("*").alias("members"))
+    """print, node (smallest id, or a number above all ids), members."""
+    own = F.lit(_NO_ID) + F.shiftrightunsigned(F.xxhash64("print"), 2)
+    return prints.groupBy("print").agg(F.min("id").alias("node"), F.count("*").alias("members")).withColumn("node", F.coalesce("node", own))
 
 
 def simhash_components(docs: DataFrame, shingle: int = 3, radius: int = 3, blocks: int = 5, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """id, fingerprint (16 hexadecimal digits), component_id (smallest id reachable over links of radius bits or fewer).
 
     Every row of docs is there. Texts without words have fingerprint zero and link like any other. Null ids belong to
-    the component of their fingerprint; a component of null ids alone has a null component_id.
+    the component of their fingerprint; a component of null ids alone has a null component_id. Rows that share an id are
+    one node. Ids must be below 2^62.
     """
     prints = cut(fingerprints(docs, shingle, 64, id_col, text_col), "prints")
     nodes = cut(_classes(prints), "nodes")
@@ -184,7 +187,7 @@ def simhash_components(docs: DataFrame, shingle: int = 3, radius: int = 3, block
     total = nodes.agg(F.sum("members")).first()[0] or 0
     rows = prints.select(F.col("id").alias(id_col), F.hex("print").alias("fingerprint"))
     out = skew_safe_lookup(rows, facts, "fingerprint", "members", total)
-    component = F.when(F.col("component_id") != _NO_ID, F.col("component_id"))
+    component = F.when(F.col("component_id") < _NO_ID, F.col("component_id"))
     return out.select(id_col, F.lower("fingerprint").alias("fingerprint"), component.alias("component_id"))
 
 

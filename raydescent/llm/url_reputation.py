@@ -132,7 +132,7 @@ def filter_urls(pages: DataFrame, outcomes: DataFrame, rules: tuple[UrlRule, ...
     split = rows.select("page_id", F.col("_host").alias("host"))
     facts = cut(host_reputation(split, outcomes, z), "reputation").select(F.col("host").alias("_host"), "n_pages", F.col("good_upper").alias("_upper"))
     total = facts.agg(F.sum("n_pages").alias("n")).first()["n"] or 0
-    rule, verdict = longest_rule(F.col("_host"), F.col("_path"), rules)
+    _, verdict = longest_rule(F.col("_host"), F.col("_path"), rules)
     judged = skew_safe_lookup(rows, facts.withColumnRenamed("n_pages", "_pages"), "_host", "_pages", total)
     own = F.when(F.col("_upper") < least_good, "block").otherwise("allow")
     return judged.where(F.coalesce(verdict, own) == "allow").select(*pages.columns)
