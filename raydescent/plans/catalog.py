@@ -319,6 +319,85 @@ def events_rolling(spark: SparkSession, sf_dir: str) -> DataFrame:
     return e.select("event_id", tidy(F.sum("value").over(w), 3).alias("day_value"))
 
 
+# Relations around the methods
+
+
+@query
+def code_matrix_pivot(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The code as a matrix: a row per lane, a column per shard."""
+    wide = codes.projective_code(spark, 4, 2).groupBy("lane").pivot("theta", [0, 1, 2, 3]).agg(F.first("sign"))
+    return wide.select("lane", *[F.coalesce(F.col(str(j)), F.lit(0)).alias(f"theta_{j}") for j in range(4)])
+
+
+@query
+def common_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Shards that lanes 0 and 9 both hold."""
+    held = layout.allocate_shards(codes.projective_code(spark, 8, 4))
+    return held.where("lane = 0").select("part_id").intersect(held.where("lane = 9").select("part_id"))
+
+
+@query
+def shards_out_of_reach(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Shards that none of the first five lanes holds."""
+    held = layout.allocate_shards(codes.projective_code(spark, 8, 4))
+    return spark.range(8).select(F.col("id").cast("int").alias("part_id")).exceptAll(held.where("lane < 5").select("part_id").distinct())
+
+
+@query
+def updates_by_arrival(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Messages put to the update whose span (after the last one's end, up to its own) their arrival falls into."""
+    sent = arrivals.batch_arrivals(spark, 8, 4, 10, DELAYS)
+    closes = sent.groupBy("update_no").agg(F.max("arrive_at").alias("closed"))
+    spans = closes.withColumn("opened", F.coalesce(F.lag("closed").over(Window.orderBy("update_no")), F.lit(0.0)))  # a row an update
+    met = sent.select("lane", "seq", "arrive_at").join(F.broadcast(spans), (F.col("arrive_at") > F.col("opened")) & (F.col("arrive_at") <= F.col("closed")))
+    return met.select("seq", "lane", "update_no")
+
+
+@query
+def cost_grouping_sets(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Numbers sent and shard copies by scheme, by size, and in all."""
+    measures.cost_table(spark, SIZES, 650).createOrReplaceTempView("scheme_costs")
+    return spark.sql("SELECT scheme, n, sum(floats_per_message) AS floats, max(copies) AS most_copies FROM scheme_costs GROUP BY GROUPING SETS ((scheme, n), (scheme), (n), ())")
+
+
+@query
+def cost_cube(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return measures.cost_table(spark, SIZES, 650).cube("scheme", "t").agg(F.sum("decode_adds").alias("adds"), F.count("*").alias("rows"))
+
+
+@query
+def hardest_examples(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The ten lines with the largest score of a class that is not theirs, and their rank in their shard."""
+    ex = workloads.lineitem_examples(spark, sf_dir, 4)
+    top = ex.select("row_key", "part_id", tidy(F.col("x")[1] - F.col("x")[0]).alias("score")).orderBy(F.desc("score"), "row_key").limit(10)
+    return top.withColumn("place", F.dense_rank().over(Window.partitionBy("part_id").orderBy(F.desc("score"))).cast("long"))
+
+
+@query
+def fastest_lanes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The three first lanes of every update, and how far each is behind the first."""
+    w = Window.partitionBy("update_no").orderBy("arrive_at", "lane")
+    sent = arrivals.sync_arrivals(spark, 8, 4, 12, DELAYS).withColumn("behind", F.col("arrive_at") - F.first("arrive_at").over(w))
+    return sent.where("place <= 3").select("update_no", "lane", F.col("place").cast("long").alias("place"), tidy("behind").alias("behind"))
+
+
+@query
+def value_quarters(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Events by quarter of their value within their type: size and bounds."""
+    e = load_table(spark, sf_dir, "events", "event_id", "event_type", "value")
+    q = e.withColumn("quarter", F.ntile(4).over(Window.partitionBy("event_type").orderBy("value", "event_id")))
+    return q.groupBy("event_type", F.col("quarter").cast("long").alias("quarter")).agg(F.count("*").alias("n"), F.min("value").alias("low"), F.max("value").alias("high"))
+
+
+@query
+def schemes_side_by_side(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Full outer join of two schemes' schedules by update and lane: who delivered in one and not in the other."""
+    a = arrivals.sync_arrivals(spark, 8, 4, 6, DELAYS).where("taken").select("update_no", "lane", F.lit(True).alias("four"))
+    b = arrivals.sync_arrivals(spark, 8, 6, 6, DELAYS).where("taken").select("update_no", "lane", F.lit(True).alias("six"))
+    both = a.join(b, ["update_no", "lane"], "full")
+    return both.select("update_no", "lane", F.coalesce("four", F.lit(False)).alias("four"), F.coalesce("six", F.lit(False)).alias("six"))
+
+
 # Runs of the experiments: curves, without SQL. Few updates here; bench.py and the tests run longer ones.
 
 

@@ -233,3 +233,17 @@ ORACLES["events_session"] = """SELECT user_id, epoch_us(min(ts)) AS start, count
  SELECT user_id, ts, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS s FROM (
   SELECT *, (coalesce(ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) >= INTERVAL 12 HOURS, true))::INT AS fresh FROM events)) GROUP BY user_id, s"""
 ORACLES["events_rolling"] = f"SELECT event_id, {tidy('sum(value) OVER (PARTITION BY user_id ORDER BY epoch_us(ts) RANGE BETWEEN 86400000000 PRECEDING AND CURRENT ROW)', 3)} AS day_value FROM events"
+
+# Relations around the methods
+
+ORACLES["code_matrix_pivot"] = f"SELECT lane, {', '.join(f'coalesce(sum(sign) FILTER (theta = {j}), 0)::INT AS theta_{j}' for j in range(4))} FROM ({part.code(4, 2)}) GROUP BY lane"
+ORACLES["common_shards"] = f"WITH c AS ({part.code(8, 4)}) SELECT theta AS part_id FROM c WHERE lane = 0 INTERSECT SELECT theta FROM c WHERE lane = 9"
+ORACLES["shards_out_of_reach"] = f"SELECT i::INT AS part_id FROM range(8) r(i) WHERE i NOT IN (SELECT theta FROM ({part.code(8, 4)}) WHERE lane < 5)"
+ORACLES["updates_by_arrival"] = f"SELECT seq, lane, seq // 4 AS update_no FROM ({batch(8, 4, 10)})"
+ORACLES["cost_grouping_sets"] = f"SELECT scheme, n::INT AS n, sum(floats_per_message)::BIGINT AS floats, max(copies)::DOUBLE AS most_copies FROM ({_costs}) GROUP BY GROUPING SETS ((scheme, n), (scheme), (n), ())"
+ORACLES["cost_cube"] = f"SELECT scheme, t::INT AS t, sum(decode_adds)::BIGINT AS adds, count(*)::BIGINT AS rows FROM ({_costs}) GROUP BY CUBE (scheme, t)"
+ORACLES["hardest_examples"] = f"""SELECT row_key, part_id, score, dense_rank() OVER (PARTITION BY part_id ORDER BY score DESC) AS place
+FROM (SELECT row_key, part_id::INT AS part_id, {tidy('x[2] - x[1]')} AS score FROM ({part.lineitem_examples(4)}) ORDER BY score DESC, row_key LIMIT 10)"""
+ORACLES["fastest_lanes"] = f"SELECT update_no, lane, place, {tidy('behind')} AS behind FROM (SELECT *, arrive_at - min(arrive_at) OVER (PARTITION BY update_no) AS behind FROM ({sync(8, 4, 12)})) WHERE place <= 3"
+ORACLES["value_quarters"] = "SELECT event_type, quarter, count(*)::BIGINT AS n, min(value) AS low, max(value) AS high FROM (SELECT *, ntile(4) OVER (PARTITION BY event_type ORDER BY value, event_id) AS quarter FROM events) GROUP BY ALL"
+ORACLES["schemes_side_by_side"] = f"SELECT update_no, lane, place <= 4 AS four, place <= 6 AS six FROM ({sync(8, 6, 6)}) WHERE place <= 6"

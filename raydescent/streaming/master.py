@@ -103,3 +103,12 @@ def sessions(events: DataFrame, gap: str = "30 minutes", delay: str = "1 hour")
     """user_id, start, n of each user's sessions."""
     s = events.withWatermark("ts", delay).groupBy(F.session_window("ts", gap).alias("w"), "user_id").agg(F.count("*").alias("n"))
     return s.select("user_id", F.col("w.start").alias("start"), "n")
+
+
+def messages_with_notices(messages: DataFrame, notices: DataFrame, reach: str = "10 minutes", delay: str = "10 minutes") -> DataFrame:
+    """Two streams joined by interval: messages (run_id, lane, sent_at) with the update notices (run_id, version, told_at)
+    that came within reach before them. State older than the watermarks is let go."""
+    m = messages.withWatermark("sent_at", delay).alias("m")
+    n = notices.withWatermark("told_at", delay).alias("n")
+    met = F.expr(f"m.run_id = n.run_id AND n.told_at <= m.sent_at AND n.told_at >= m.sent_at - INTERVAL {reach}")
+    return m.join(n, met).select("m.run_id", "m.lane", "m.sent_at", "n.version", "n.told_at")

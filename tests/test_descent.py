@@ -195,3 +195,22 @@ def test_mini_batches_from_a_stream(spark, data, tmp_path):
     seen = [w.copy() for w in sink.weights]
     sink(ex, 0)  # delivered again
     assert all(np.array_equal(a, b) for a, b in zip(seen, sink.weights))
+
+
+def test_stream_joins_and_duplicates(spark, tmp_path):
+    from datetime import datetime, timedelta
+
+    from raydescent.streaming.master import deduplicated, messages_with_notices
+
+    t0 = datetime(2024, 1, 1)
+    spark.createDataFrame([("r", i, t0 + timedelta(minutes=5 * i)) for i in range(6)], "run_id string, lane int, sent_at timestamp").write.parquet(f"{tmp_path}/m")
+    spark.createDataFrame([("r", v, t0 + timedelta(minutes=10 * v)) for v in range(3)], "run_id string, version long, told_at timestamp").write.parquet(f"{tmp_path}/n")
+    m, n = (spark.readStream.schema(spark.read.parquet(f"{tmp_path}/{x}").schema).parquet(f"{tmp_path}/{x}") for x in "mn")
+    q = messages_with_notices(m, n).writeStream.format("memory").queryName("met").option("checkpointLocation", f"{tmp_path}/c1").trigger(availableNow=True).start()
+    q.awaitTermination(120)
+    assert {(r.lane, r.version) for r in spark.table("met").collect()} == {(i, v) for i in range(6) for v in range(3) if 0 <= 5 * i - 10 * v <= 10}
+    spark.createDataFrame([(1, t0), (1, t0 + timedelta(minutes=1)), (2, t0)], "event_id long, ts timestamp").write.parquet(f"{tmp_path}/e")
+    e = spark.readStream.schema("event_id long, ts timestamp").parquet(f"{tmp_path}/e")
+    q = deduplicated(e).writeStream.format("memory").queryName("once").option("checkpointLocation", f"{tmp_path}/c2").trigger(availableNow=True).start()
+    q.awaitTermination(120)
+    assert sorted(r.event_id for r in spark.table("once").collect()) == [1, 2]
