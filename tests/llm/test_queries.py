@@ -32,3 +32,23 @@ def test_pipeline(spark, data):
     packed = p.STAGES[-1][1](spark, docs, data)
     assert packed.select("doc_id").distinct().count() == seen[3]
     assert p.run(spark, data).count() == packed.count()
+
+
+def test_native_plans(spark, data):
+    """The licence scan and the url rules stay in the JVM, and nothing is multiplied out."""
+    for name in ("op1_host_reputation", "op6_license_votes"):
+        plan = QUERIES[name](spark, data)._jdf.queryExecution().executedPlan().toString()
+        assert "Python" not in plan and "InArrow" not in plan and "Cartesian" not in plan and "NestedLoop" not in plan, name
+
+
+def test_hot_keys_are_spread(spark):
+    """A key with nearly all rows goes by broadcast; the result is that of a plain join."""
+    from pyspark.sql import functions as F
+
+    from raydescent.llm.common import skew_safe_lookup
+
+    rows = spark.range(20_000).select("id", F.when(F.col("id") % 10 > 0, "hot").when(F.col("id") % 100 == 0, None).otherwise(F.col("id").cast("string")).alias("key"))
+    facts = rows.where("key IS NOT NULL").groupBy("key").agg(F.count("*").alias("n"), F.min("id").alias("low"))
+    got = skew_safe_lookup(rows, facts, "key", "n", 20_000)
+    want = rows.join(facts, "key", "left").select("id", "key", "n", "low")
+    assert got.exceptAll(want).isEmpty() and want.exceptAll(got).isEmpty() and got.count() == 20_000
