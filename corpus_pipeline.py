@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from raydescent.llm.common import cut, table
+from raydescent.llm.common import clear_cuts, cut, cuts, table
 from raydescent.llm.histogram_packing import pack_documents
 from raydescent.llm.language_bayes import UNKNOWN, fit, learned_rows, predict
 from raydescent.llm.patricia_dedup import exact_dedup
@@ -43,8 +43,11 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All stages on documents, each on what the one before has written."""
+    """All stages on documents, each on what the one before has written. What a stage has written for itself, and its
+    input, are removed when its output stands."""
     docs = table(spark, sf_dir, "documents")
+    before = set(cuts())
     for name, stage in STAGES[:-1]:
         docs = cut(stage(spark, docs, sf_dir), name)
+        clear_cuts(spark, [path for path in cuts()[:-1] if path not in before])
     return STAGES[-1][1](spark, docs, sf_dir)

@@ -3,12 +3,13 @@
 from __future__ import annotations
 
 import os
-import tempfile
 import uuid
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from raydescent.session import shared_folder
+
 #: A key that holds more than this share of all rows is joined by broadcast; so there are at most 1/HOT_SHARE such keys.
 HOT_SHARE = 1 / 1024
 
@@ -20,31 +21,40 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def shared_root(spark: SparkSession) -> str:
-    """The folder that driver and executors share: spark.checkpoint.dir. Only where it is unset (tests) a local one is made."""
-    root = spark.conf.get("spark.checkpoint.dir", None)
-    if not root:
-        root = spark.sparkContext.getCheckpointDir()
-    if not root:
-        root = "file://" + tempfile.mkdtemp(prefix="raydescent-")
-        spark.sparkContext.setCheckpointDir(root)
-    return root.rstrip("/")
+_WRITTEN: list[str] = []
 
 
 def cut(df: DataFrame, label: str) -> DataFrame:
     """Write df as Parquet in the shared folder and read it again: cuts the lineage and survives lost executors."""
     spark = df.sparkSession
-    path = f"{shared_root(spark)}/{label}-{uuid.uuid4().hex}"
+    path = f"{shared_folder(spark)}/{label}-{uuid.uuid4().hex}"
     df.write.parquet(path)
+    _WRITTEN.append(path)
     return spark.read.schema(df.schema).parquet(path)
 
 
 def drop_cut(df: DataFrame) -> None:
     """Remove what cut() wrote, once nothing reads it any more."""
-    spark = df.sparkSession
-    for name in {os.path.dirname(f) for f in df.inputFiles()}:
-        path = spark._jvm.org.apache.hadoop.fs.Path(name)
-        path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
+    for path in {os.path.dirname(f) for f in df.inputFiles()}:
+        _remove(df.sparkSession, path)
+
+
+def cuts() -> list[str]:
+    """The folders that cut() has written in this application, in order."""
+    return list(_WRITTEN)
+
+
+def clear_cuts(spark: SparkSession, paths: list[str]) -> None:
+    """Remove written tables whose readers have all been written themselves."""
+    for path in paths:
+        _remove(spark, path)
+        if path in _WRITTEN:
+            _WRITTEN.remove(path)
+
+
+def _remove(spark: SparkSession, name: str) -> None:
+    path = spark._jvm.org.apache.hadoop.fs.Path(name)
+    path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
 
 
 def ascii_lower(text: Column) -> Column:

@@ -233,7 +233,8 @@ def similar_pairs(docs: DataFrame, shingle: int = 5, least: float = 0.8, bits: i
 def near_dedup(docs: DataFrame, shingle: int = 5, least: float = 0.8, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """docs without those that are linked, directly or through others, to a document of smaller id; columns as in docs.
 
-    Texts whose words make no shingle set in common with others stay; texts without any words are left alone.
+    Texts without any words, rows with a null id and documents that share no shingles with others stay. Rows that share an
+    id go or stay together. An empty table gives no rows.
     """
     named = docs.where(F.col(id_col).isNotNull())
     _, links = similar_pairs(named, shingle, least, id_col=id_col, text_col=text_col)
