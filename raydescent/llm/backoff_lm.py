@@ -19,7 +19,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from raydescent.llm.bpe_automaton import compiled, read_vocabulary
+from raydescent.llm.bpe_automaton import compiled, read_vocabulary, release
 from raydescent.llm.common import cut
 
 CHUNK_TOKENS = 4_000_000
@@ -120,6 +120,7 @@ def chunk_counts(table: DataFrame, orders: range, base: int, buckets: int) -> Da
                 )
 
     def run(batches):
+        release()
         now, parts = None, {order: [] for order in orders}
         for chunk, ids, sizes in _rows(batches):
             if now is not None and chunk != now:
@@ -202,6 +203,7 @@ def backoff_scores(docs: DataFrame, vocabulary: str, top: int = 3, least: int =
         raise ValueError("n-grams of this order do not fit into 64 bits")
 
     def singles(batches):
+        release()
         sums = np.zeros(base, np.int64)
         for _, ids, _ in _rows(batches):
             sums += np.bincount(ids.astype(np.int64), minlength=base)

@@ -13,6 +13,7 @@ tokens that start there, and the arc from the state decides. Words come from the
 
 from __future__ import annotations
 
+import gc
 import hashlib
 import json
 import re
@@ -214,6 +215,13 @@ def compiled(source: str, specials_are_text: bool = False) -> ByteBpe:
     return ByteBpe(source, specials_are_text)
 
 
+def release() -> None:
+    """Let go of compiled automata and their word tables in this worker, before a stage that needs the memory for arrays."""
+    if compiled.cache_info().currsize:
+        compiled.cache_clear()
+        gc.collect()
+
+
 def read_vocabulary(path: str) -> str:
     with open(path, encoding="utf-8") as f:
         return f.read()
