@@ -39,6 +39,11 @@ def tidy(c, digits: int = 6):
     return F.round(c, digits) + 0.0
 
 
+def micros(name: str):
+    """Microseconds of a wall-clock timestamp since 1970, whatever the session's time zone."""
+    return F.expr(f"timestampdiff(MICROSECOND, TIMESTAMP_NTZ'1970-01-01 00:00:00', CAST({name} AS TIMESTAMP_NTZ))")
+
+
 def fixed_weights(v: int, inputs: int) -> list[np.ndarray]:
     """Small weights for one-step queries."""
     o, i = np.arange(v)[:, None], np.arange(inputs + 1)[None, :]
@@ -216,7 +221,7 @@ add("repetition_picks", lambda spark, sf: exact_coding.repetition_picks(arrivals
 def asof_version(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Events as messages, orders of magnitude as publications: the newest hourly version at each message's start."""
     events = load_table(spark, sf_dir, "events", "event_id", "ts")
-    started = events.select("event_id", (F.unix_micros(F.col("ts").cast("timestamp")) / 1e6).alias("started_at"))
+    started = events.select("event_id", (micros("ts") / 1e6).alias("started_at"))
     published = spark.range(12).select(F.col("id").alias("version"), (F.lit(1704067200.0) + F.col("id") * 200000.0).alias("published_at"))
     return measures.read_as_of(started, published).select("event_id", "read_version")
 
@@ -302,19 +307,19 @@ add("planted_label_counts_events", lambda spark, sf: workloads.event_examples(lo
 @query
 def events_tumbling(spark: SparkSession, sf_dir: str) -> DataFrame:
     out = master.window_sums(load_table(spark, sf_dir, "events", "ts", "event_type", "value"), "6 hours")
-    return out.select(F.unix_micros(F.col("start").cast("timestamp")).alias("start"), "event_type", "n", tidy("total", 3).alias("total"))
+    return out.select(micros("start").alias("start"), "event_type", "n", tidy("total", 3).alias("total"))
 
 
 @query
 def events_session(spark: SparkSession, sf_dir: str) -> DataFrame:
     out = master.sessions(load_table(spark, sf_dir, "events", "ts", "user_id"), "12 hours")
-    return out.select("user_id", F.unix_micros(F.col("start").cast("timestamp")).alias("start"), "n")
+    return out.select("user_id", micros("start").alias("start"), "n")
 
 
 @query
 def events_rolling(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Each event's sum over the user's last day, by a range window."""
-    e = load_table(spark, sf_dir, "events", "event_id", "ts", "user_id", "value").withColumn("us", F.unix_micros(F.col("ts").cast("timestamp")))
+    e = load_table(spark, sf_dir, "events", "event_id", "ts", "user_id", "value").withColumn("us", micros("ts"))
     w = Window.partitionBy("user_id").orderBy("us").rangeBetween(-86_400_000_000, 0)
     return e.select("event_id", tidy(F.sum("value").over(w), 3).alias("day_value"))
 
