@@ -12,6 +12,7 @@ that what leaves a bucket is as long as the bucket, not as its pairs.
 
 from __future__ import annotations
 
+import hashlib
 from itertools import combinations
 
 import numpy as np
@@ -171,6 +172,11 @@ def _classes(prints: DataFrame) -> DataFrame:
     return prints.groupBy("print").agg(F.min("id").alias("node"), F.count("*").alias("members")).withColumn("node", F.coalesce("node", own))
 
 
+def _digest(shingles: np.ndarray) -> bytes:
+    """What stands for a set of shingles (sorted, each once)."""
+    return hashlib.sha256(shingles.tobytes()).digest()
+
+
 def simhash_components(docs: DataFrame, shingle: int = 3, radius: int = 3, blocks: int = 5, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """id, fingerprint (16 hexadecimal digits), component_id (smallest id reachable over links of radius bits or fewer).
 
@@ -192,20 +198,32 @@ def simhash_components(docs: DataFrame, shingle: int = 3, radius: int = 3, block
 
 
 def similar_pairs(docs: DataFrame, shingle: int = 5, least: float = 0.8, bits: int = 384, band: int = 12, radius: int = 78, id_col: str = "doc_id", text_col: str = "text") -> tuple[DataFrame, DataFrame]:
-    """Fingerprint classes (print, node, members) of docs and verified links (a, b, similarity) between documents.
+    """Classes of equal shingle sets (digest, print, node, members) of docs and verified links (a, b, similarity) between documents.
 
+    Texts without words are in no class. Equal sets are linked at once; sets with one fingerprint are compared like any others.
     Candidates come from bands of wide fingerprints, each row's nearest ones and a spanning forest of each bucket.
     Sets of shingles of similarity 0.8 differ in 15 of 100 bits on average: with 32 bands of 12 bits a pair is missed by
     all bands with a chance of 0.8 in 100, and lies beyond 78 of 384 bits with 0.3 in 100. A link is verified on the
     whole texts (Jaccard similarity of their shingle sets at least least).
     """
-    prints = cut(fingerprints(docs, shingle, bits, id_col, text_col), "prints")
-    nodes = cut(_classes(prints), "nodes")
-    links = close_links(nodes, band_tables(bits, band), radius, nearest=4)
-    facts = nodes.where("members > 1").select(F.hex("print").alias("_print"), F.col("node").alias("b"), "members")
+
+    def mark(batches):
+        for batch in batches:
+            rows = []
+            for i, t in zip(batch.column("id").to_pylist(), batch.column("text").to_pylist()):
+                h = shingle_hashes(t, shingle)
+                if len(h):
+                    rows.append((i, _digest(np.unique(h)), fingerprint(h, bits)))
+            columns = zip(*rows) if rows else ((), (), ())
+            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, (pa.int64(), pa.binary(), pa.binary()))], ["id", "digest", "print"])
+
+    texts = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text")).where("id IS NOT NULL")
+    marks = cut(texts.mapInArrow(mark, "id long, digest binary, print binary"), "prints")
+    nodes = cut(marks.groupBy("digest").agg(F.min_by("print", "id").alias("print"), F.min("id").alias("node"), F.count("*").alias("members")), "nodes")
+    facts = nodes.where("members > 1").select(F.hex("digest").alias("_digest"), F.col("node").alias("b"), "members")
     total = nodes.agg(F.sum("members")).first()[0] or 0
-    equal = skew_safe_lookup(prints.select(F.col("id").alias("a"), F.hex("print").alias("_print")), facts, "_print", "members", total).where("a <> b")
-    pairs = cut(links.union(equal.select("a", "b")).distinct(), "pairs")
+    equal = skew_safe_lookup(marks.select(F.col("id").alias("a"), F.hex("digest").alias("_digest")), facts, "_digest", "members", total).where("a <> b")
+    pairs = cut(close_links(nodes, band_tables(bits, band), radius, nearest=4).where("a <> b").distinct(), "pairs")
 
     def sets(batches):
         for batch in batches:
@@ -213,8 +231,7 @@ def similar_pairs(docs: DataFrame, shingle: int = 5, least: float = 0.8, bits: i
             yield pa.RecordBatch.from_arrays([batch.column("id"), pa.array(made, pa.binary())], ["id", "shingles"])
 
     wanted = pairs.select(F.col("a").alias("id")).union(pairs.select("b")).distinct()
-    texts = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text")).join(wanted, "id", "left_semi")
-    bodies = texts.mapInArrow(sets, "id long, shingles binary")
+    bodies = texts.join(wanted, "id", "left_semi").mapInArrow(sets, "id long, shingles binary")
 
     def compare(batches):
         for batch in batches:
@@ -227,7 +244,7 @@ def similar_pairs(docs: DataFrame, shingle: int = 5, least: float = 0.8, bits: i
 
     met = pairs.join(bodies.toDF("a", "x"), "a").join(bodies.toDF("b", "y"), "b").select("a", "b", "x", "y")
     links = met.mapInArrow(compare, "a long, b long, similarity double").where(F.col("similarity") >= least)
-    return nodes, links
+    return nodes, links.union(equal.select("a", "b", F.lit(1.0)))
 
 
 def near_dedup(docs: DataFrame, shingle: int = 5, least: float = 0.8, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

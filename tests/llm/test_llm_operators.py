@@ -344,6 +344,31 @@ def test_near_copies_of_given_similarity(spark):
     assert set(range(len(texts))) - linked <= got
 
 
+def near_copies(texts, least=0.8):
+    """Rows that are linked, directly or through others, to a row before them; by brute force."""
+    from raydescent.llm.bit_planes import join_labels
+    from raydescent.llm.simhash_dedup import shingle_hashes
+
+    sets = [set(shingle_hashes(t, 5).tolist()) for t in texts]
+    pairs = [(i, j) for i in range(len(sets)) for j in range(i) if len(sets[i] & sets[j]) >= least * max(1, len(sets[i] | sets[j]))]
+    label = join_labels(np.arange(len(sets)), np.array([p[0] for p in pairs], int), np.array([p[1] for p in pairs], int))
+    return {i for i in range(len(sets)) if label[i] < i}
+
+
+def test_near_copies_under_one_fingerprint(spark):
+    """One shingle makes over half of each text, so that it alone decides a fingerprint that counts repeats."""
+    from raydescent.llm.simhash_dedup import near_dedup
+
+    rng = random.Random(11)
+    some = lambda n: " ".join(f"w{rng.randrange(10**6)}" for _ in range(n))
+    filler = "- " * 400
+    texts = [filler + some(60), *(filler + some(120) for _ in range(4))]
+    texts += [t + " end" for t in texts[1:]]
+    assert near_copies(texts) == {5, 6, 7, 8}
+    got = {r.doc_id for r in near_dedup(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).collect()}
+    assert got == {0, 1, 2, 3, 4}
+
+
 def test_large_buckets_are_dealt_in_parts(spark, monkeypatch):
     from raydescent.llm import simhash_dedup as m
 
