@@ -211,9 +211,9 @@ def similar_pairs(docs: DataFrame, shingle: int = 5, least: float = 0.8, bits: i
         for batch in batches:
             rows = []
             for i, t in zip(batch.column("id").to_pylist(), batch.column("text").to_pylist()):
-                h = shingle_hashes(t, shingle)
+                h = np.unique(shingle_hashes(t, shingle))  # what is asked for is the similarity of sets: repeats do not count
                 if len(h):
-                    rows.append((i, _digest(np.unique(h)), fingerprint(h, bits)))
+                    rows.append((i, _digest(h), fingerprint(h, bits)))
             columns = zip(*rows) if rows else ((), (), ())
             yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, (pa.int64(), pa.binary(), pa.binary()))], ["id", "digest", "print"])
 

@@ -369,6 +369,19 @@ def test_near_copies_under_one_fingerprint(spark):
     assert got == {0, 1, 2, 3, 4}
 
 
+def test_near_copies_with_repeated_passages(spark):
+    from raydescent.llm.simhash_dedup import near_dedup
+
+    rng = random.Random(12)
+    texts = []
+    for _ in range(8):
+        p, q = (" ".join(f"w{rng.randrange(10**6)}" for _ in range(300)) for _ in range(2))
+        texts += [f"{p} {q}", f"{p} " * 20 + q]
+    assert near_copies(texts) == set(range(1, 16, 2))
+    got = {r.doc_id for r in near_dedup(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).collect()}
+    assert got == set(range(0, 16, 2))
+
+
 def test_large_buckets_are_dealt_in_parts(spark, monkeypatch):
     from raydescent.llm import simhash_dedup as m
 
