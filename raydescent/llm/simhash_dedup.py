@@ -3,11 +3,12 @@
 Equal fingerprints are one class from the start, so copies of any number are one row. Classes meet in tables keyed by
 some of the bits. For an exact radius r the bits are cut into blocks and a table is kept for each choice of all but r of
 them: two fingerprints within r bits agree in at least one table. Wide fingerprints instead have bands, whose chance to
-find a pair is known from its similarity, and pairs are then verified on their shingles.
+find a pair is known from its similarity. What they connect are families; within a family all pairs are then verified on
+their shingles, as the nearest fingerprints need not be those of the most similar texts.
 
 A bucket above a size is dealt out as pairs of its parts, so that no task holds a whole large bucket; the comparisons are
-all made. A task hands on a spanning forest of the links it finds (and, for verification, each row's nearest ones), so
-that what leaves a bucket is as long as the bucket, not as its pairs.
+all made. A task hands on a spanning forest of the links it finds, so that what leaves a bucket is as long as the bucket, not
+as its pairs. Large families are dealt out likewise.
 """
 
 from __future__ import annotations
@@ -28,6 +29,11 @@ from raydescent.llm.components import connected_components
 #: Rows of one bucket that are compared in one task; larger buckets are split into pairs of parts.
 BUCKET_ROWS = 20_000
 PORTION_ROWS = 20_000
+#: Rows and shingles of one family that are verified in one task; larger families are split into pairs of parts.
+FAMILY_ROWS = 20_000
+FAMILY_SHINGLES = 2_000_000
+_BLOCK = 512
+_COLUMNS = 1 << 14
 #: Nodes from here on stand for fingerprints of which no row has an id.
 _NO_ID = 1 << 62
 _STEP = 1 << 15
@@ -115,29 +121,16 @@ def _dealt(keyed: DataFrame) -> DataFrame:
     return rows.select("bucket", F.least("_own", "_other").alias("x"), F.greatest("_own", "_other").alias("y"), (F.col("_own") > F.col("_other")).cast("int").alias("side"), "node", "print")
 
 
-def _nearest(i: np.ndarray, j: np.ndarray, d: np.ndarray, most: int) -> np.ndarray:
-    """Places of the pairs that are among the most nearest of one of their rows."""
-    row, at = np.r_[i, j], np.r_[np.arange(len(i)), np.arange(len(j))]
-    order = np.lexsort((np.r_[d, d], row))
-    row = row[order]
-    starts = np.flatnonzero(np.r_[True, row[1:] != row[:-1]])
-    rank = np.arange(len(row)) - np.repeat(starts, np.diff(np.r_[starts, len(row)]))
-    return np.unique(at[order[rank < most]])
-
-
-def _portion(group, node, prints, cross, radius: int, nearest: int):
+def _portion(group, node, prints, cross, radius: int):
     label = np.arange(len(node))
     for i, j in close_pairs(prints, group, radius, cross):
-        d = distances(prints, i, j)
-        label, at = spanning(label, i, j, d)
-        if nearest:
-            at = np.union1d(at, _nearest(i, j, d, nearest))
+        label, at = spanning(label, i, j, distances(prints, i, j))
         a, b = node[i[at]], node[j[at]]
         yield pa.RecordBatch.from_arrays([pa.array(np.maximum(a, b)), pa.array(np.minimum(a, b))], ["a", "b"])
 
 
-def close_links(nodes: DataFrame, tables: list[list[int]], radius: int, nearest: int = 0) -> DataFrame:
-    """a, b (node numbers): links within radius bits that span the classes of every bucket, and each row's nearest ones."""
+def close_links(nodes: DataFrame, tables: list[list[int]], radius: int) -> DataFrame:
+    """a, b (node numbers): links within radius bits that span the classes of every bucket."""
     dealt = _dealt(_keyed(nodes, tables)).repartition("bucket", "x", "y")
 
     def run(batches):
@@ -160,7 +153,7 @@ def close_links(nodes: DataFrame, tables: list[list[int]], radius: int, nearest:
         at = 0
         while at < len(group):  # portions of whole buckets, so that the unpacked bits of few rows are held at a time
             stop = int(ends[min(np.searchsorted(ends, at + PORTION_ROWS), len(ends) - 1)])
-            yield from _portion(group[at:stop], node[at:stop], prints[at:stop], cross[at:stop], radius, nearest)
+            yield from _portion(group[at:stop], node[at:stop], prints[at:stop], cross[at:stop], radius)
             at = stop
 
     return dealt.mapInArrow(run, "a long, b long")
@@ -197,14 +190,137 @@ def simhash_components(docs: DataFrame, shingle: int = 3, radius: int = 3, block
     return out.select(id_col, F.lower("fingerprint").alias("fingerprint"), component.alias("component_id"))
 
 
+def _shared(col: np.ndarray, start: np.ndarray, size: np.ndarray, a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """How many shingles each of the rows a shares with each of b; the row r has the numbers col[start[r] : start[r] + size[r]]."""
+
+    def entries(rows):
+        n = size[rows]
+        c = col[np.repeat(start[rows] - np.cumsum(n) + n, n) + np.arange(n.sum())]
+        order = np.argsort(c, kind="stable")
+        return c[order], np.repeat(np.arange(len(rows)), n)[order]
+
+    (ca, ra), (cb, rb) = entries(a), entries(b)
+    both = np.intersect1d(ca, cb)
+    out = np.zeros((len(a), len(b)), np.float32)  # whole numbers below 2^24
+    for at in range(0, len(both), _COLUMNS):
+        some = both[at : at + _COLUMNS]
+        sides = []
+        for c, r, rows in ((ca, ra, a), (cb, rb, b)):
+            lo, hi = np.searchsorted(c, some[0]), np.searchsorted(c, some[-1], "right")
+            place = np.searchsorted(some, c[lo:hi])
+            hit = some[place] == c[lo:hi]
+            x = np.zeros((len(rows), len(some)), np.float32)
+            x[r[lo:hi][hit], place[hit]] = 1
+            sides.append(x)
+        out += sides[0] @ sides[1].T
+    return out.astype(np.float64)
+
+
+def _family_links(sets: list[np.ndarray], side: np.ndarray | None, least: float) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Pairs (i, j) of similarity least or more, and it, that span all such pairs; of different sides only, if side is given.
+
+    Pairs whose rows are connected already are not compared, nor are blocks whose sizes alone keep them apart.
+    """
+    whole = np.array([len(x) for x in sets])
+    row = np.repeat(np.arange(len(sets)), whole)
+    _, col, many = np.unique(np.concatenate(sets), return_inverse=True, return_counts=True)
+    keep = many[col] > 1
+    size = np.bincount(row[keep], minlength=len(sets))
+    col, start = col[keep], np.cumsum(size) - size
+    by_size = np.argsort(whole, kind="stable")
+    cut_up = lambda rows: [rows[i : i + _BLOCK] for i in range(0, len(rows), _BLOCK)]
+    if side is None:
+        blocks = cut_up(by_size)
+        met = [(blocks[i], blocks[i + d]) for d in range(len(blocks)) for i in range(len(blocks) - d)]
+    else:
+        met = [(p, q) for p in cut_up(by_size[side[by_size] == 0]) for q in cut_up(by_size[side[by_size] == 1])]
+    label = np.arange(len(sets))
+    found: list[list[np.ndarray]] = [[], [], []]
+    for p, q in met:
+        if max(whole[p[0]], whole[q[0]]) * least > min(whole[p[-1]], whole[q[-1]]) + 1e-6:
+            continue
+        names, n = np.unique(np.r_[label[p], label[q]], return_counts=True)
+        most = names[n.argmax()]
+        one, rest = p[label[p] == most], p[label[p] != most]
+        other = q[label[q] != most]
+        for a, b in ((rest, q), (one, other)):
+            if not len(a) or not len(b):
+                continue
+            both = _shared(col, start, size, a, b)
+            share = both / (whole[a][:, None] + whole[b][None, :] - both)
+            i, j = np.nonzero((share >= least) & (label[a][:, None] != label[b][None, :]))
+            if len(i):
+                label, tie = spanning(label, a[i], b[j], np.zeros(len(i), np.int8))
+                for o, v in zip(found, (a[i][tie], b[j][tie], share[i, j][tie])):
+                    o.append(v)
+    return tuple(np.concatenate(o) if o else np.zeros(0, k) for o, k in zip(found, (np.int64, np.int64, float)))
+
+
+def _sorted_groups(batches, keys: list[str]):
+    """Tables of the rows that agree in keys, of batches sorted by them."""
+    now, held = None, []
+    for batch in batches:
+        if not batch.num_rows:
+            continue
+        columns = [batch.column(k).to_numpy() for k in keys]
+        new = np.zeros(batch.num_rows, bool)
+        for c in columns:
+            new[1:] |= c[1:] != c[:-1]
+        edges = np.r_[0, np.flatnonzero(new), batch.num_rows]
+        for lo, hi in zip(edges[:-1], edges[1:]):
+            key = tuple(int(c[lo]) for c in columns)
+            if key != now and held:
+                yield pa.Table.from_batches(held)
+                held = []
+            now = key
+            held.append(batch.slice(lo, hi - lo))
+    if held:
+        yield pa.Table.from_batches(held)
+
+
+def family_links(members: DataFrame, texts: DataFrame, shingle: int, least: float) -> DataFrame:
+    """a, b, similarity: links that span all pairs of similarity least or more within each family.
+
+    members: component, node, digest, shingles (their number); texts: id, text, of which those of members are read. A
+    family is worked off in tasks of two parts each, so that none holds a whole large one.
+    """
+    sizes = members.groupBy("component").agg(F.greatest(F.ceil(F.count("*") / FAMILY_ROWS), F.ceil(F.sum("shingles") / FAMILY_SHINGLES)).cast("int").alias("_parts"))
+    large = sizes.where("_parts > 1").withColumnRenamed("component", "_c")
+    wanted = members.join(F.broadcast(large), F.col("component") == F.col("_c"), "left")
+    wanted = wanted.select(F.col("node").alias("id"), "digest", "component", F.coalesce("_parts", F.lit(1)).alias("parts"))
+
+    def sets(batches):
+        for batch in batches:
+            made = [np.unique(shingle_hashes(t, shingle)) for t in batch.column("text").to_pylist()]
+            own = pa.array([_digest(m) == d for m, d in zip(made, batch.column("digest").to_pylist())], pa.bool_())  # an id may stand for several texts
+            rows = pa.RecordBatch.from_arrays([batch.column("id"), batch.column("digest"), batch.column("component"), batch.column("parts"), pa.array([m.tobytes() for m in made], pa.binary())], ["node", "digest", "component", "parts", "set"])
+            yield rows.filter(own)
+
+    rows = texts.join(wanted, "id").mapInArrow(sets, "node long, digest binary, component long, parts int, set binary")
+    rows = rows.withColumn("_own", F.pmod(F.xxhash64("digest"), F.col("parts")).cast("int"))
+    rows = rows.withColumn("_other", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
+    dealt = rows.select("component", F.least("_own", "_other").alias("x"), F.greatest("_own", "_other").alias("y"), (F.col("_own") > F.col("_other")).cast("int").alias("side"), "node", "set")
+
+    def verify(batches):
+        for t in _sorted_groups(batches, ["component", "x", "y"]):
+            node, side = t.column("node").to_numpy(), t.column("side").to_numpy()
+            held = [np.frombuffer(v, np.uint64) for v in t.column("set").to_pylist()]
+            i, j, share = _family_links(held, None if t.column("x")[0] == t.column("y")[0] else side, least)
+            a, b = node[i], node[j]
+            yield pa.RecordBatch.from_arrays([pa.array(np.maximum(a, b)), pa.array(np.minimum(a, b)), pa.array(share)], ["a", "b", "similarity"])
+
+    return dealt.repartition("component", "x", "y").sortWithinPartitions("component", "x", "y").mapInArrow(verify, "a long, b long, similarity double")
+
+
 def similar_pairs(docs: DataFrame, shingle: int = 5, least: float = 0.8, bits: int = 384, band: int = 12, radius: int = 78, id_col: str = "doc_id", text_col: str = "text") -> tuple[DataFrame, DataFrame]:
-    """Classes of equal shingle sets (digest, print, node, members) of docs and verified links (a, b, similarity) between documents.
+    """Classes of equal shingle sets (digest, print, shingles, node, members) of docs and verified links (a, b, similarity)
+    between documents, enough to span what they connect.
 
     Texts without words are in no class. Equal sets are linked at once; sets with one fingerprint are compared like any others.
-    Candidates come from bands of wide fingerprints, each row's nearest ones and a spanning forest of each bucket.
-    Sets of shingles of similarity 0.8 differ in 15 of 100 bits on average: with 32 bands of 12 bits a pair is missed by
-    all bands with a chance of 0.8 in 100, and lies beyond 78 of 384 bits with 0.3 in 100. A link is verified on the
-    whole texts (Jaccard similarity of their shingle sets at least least).
+    Bands of wide fingerprints connect families, within which all pairs are verified on the whole texts (Jaccard
+    similarity of their shingle sets at least least). Sets of similarity 0.8 differ in 15 of 100 bits on average: with
+    32 bands of 12 bits a pair is missed by all bands with a chance of 0.8 in 100, and lies beyond 78 of 384 bits with
+    0.3 in 100; it is still found if others connect it.
     """
 
     def mark(batches):
@@ -213,37 +329,21 @@ def similar_pairs(docs: DataFrame, shingle: int = 5, least: float = 0.8, bits: i
             for i, t in zip(batch.column("id").to_pylist(), batch.column("text").to_pylist()):
                 h = np.unique(shingle_hashes(t, shingle))  # what is asked for is the similarity of sets: repeats do not count
                 if len(h):
-                    rows.append((i, _digest(h), fingerprint(h, bits)))
-            columns = zip(*rows) if rows else ((), (), ())
-            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, (pa.int64(), pa.binary(), pa.binary()))], ["id", "digest", "print"])
+                    rows.append((i, _digest(h), fingerprint(h, bits), len(h)))
+            columns = zip(*rows) if rows else ((), (), (), ())
+            kinds = (pa.int64(), pa.binary(), pa.binary(), pa.int64())
+            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, kinds)], ["id", "digest", "print", "shingles"])
 
     texts = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text")).where("id IS NOT NULL")
-    marks = cut(texts.mapInArrow(mark, "id long, digest binary, print binary"), "prints")
-    nodes = cut(marks.groupBy("digest").agg(F.min_by("print", "id").alias("print"), F.min("id").alias("node"), F.count("*").alias("members")), "nodes")
+    marks = cut(texts.mapInArrow(mark, "id long, digest binary, print binary, shingles long"), "prints")
+    nodes = marks.groupBy("digest").agg(F.min_by("print", "id").alias("print"), F.first("shingles").alias("shingles"), F.min("id").alias("node"), F.count("*").alias("members"))
+    nodes = cut(nodes, "nodes")
     facts = nodes.where("members > 1").select(F.hex("digest").alias("_digest"), F.col("node").alias("b"), "members")
     total = nodes.agg(F.sum("members")).first()[0] or 0
     equal = skew_safe_lookup(marks.select(F.col("id").alias("a"), F.hex("digest").alias("_digest")), facts, "_digest", "members", total).where("a <> b")
-    pairs = cut(close_links(nodes, band_tables(bits, band), radius, nearest=4).where("a <> b").distinct(), "pairs")
-
-    def sets(batches):
-        for batch in batches:
-            made = [np.unique(shingle_hashes(t, shingle)).tobytes() for t in batch.column("text").to_pylist()]
-            yield pa.RecordBatch.from_arrays([batch.column("id"), pa.array(made, pa.binary())], ["id", "shingles"])
-
-    wanted = pairs.select(F.col("a").alias("id")).union(pairs.select("b")).distinct()
-    bodies = texts.join(wanted, "id", "left_semi").mapInArrow(sets, "id long, shingles binary")
-
-    def compare(batches):
-        for batch in batches:
-            share = []
-            for x, y in zip(batch.column("x").to_pylist(), batch.column("y").to_pylist()):
-                x, y = np.frombuffer(x, np.uint64), np.frombuffer(y, np.uint64)
-                both = len(np.intersect1d(x, y, assume_unique=True))
-                share.append(both / max(1, len(x) + len(y) - both))
-            yield pa.RecordBatch.from_arrays([batch.column("a"), batch.column("b"), pa.array(share, pa.float64())], ["a", "b", "similarity"])
-
-    met = pairs.join(bodies.toDF("a", "x"), "a").join(bodies.toDF("b", "y"), "b").select("a", "b", "x", "y")
-    links = met.mapInArrow(compare, "a long, b long, similarity double").where(F.col("similarity") >= least)
+    families = connected_components(close_links(nodes, band_tables(bits, band), radius))
+    members = cut(nodes.join(families, "node").select("component", "node", "digest", "shingles"), "families")
+    links = family_links(members, texts, shingle, least)
     return nodes, links.union(equal.select("a", "b", F.lit(1.0)))
 
 

@@ -382,6 +382,49 @@ def test_near_copies_with_repeated_passages(spark):
     assert got == set(range(0, 16, 2))
 
 
+def test_near_copies_in_a_dense_family(spark, monkeypatch):
+    """Pages of one template: nearly all pairs lie just below 0.8, so that near fingerprints do not tell the copies."""
+    from raydescent.llm import simhash_dedup as m
+
+    rng = random.Random(13)
+    page = [f"w{i}" for i in range(400)]
+
+    def changed(words, times):
+        out = list(words)
+        for p in rng.sample(range(0, len(out), 5), times):
+            out[p] = f"n{rng.randrange(10**9)}"
+        return out
+
+    texts = [changed(page, 6) for _ in range(500)]
+    texts += [changed(texts[i], 16) for i in range(0, 500, 4)]
+    texts = [" ".join(t) for t in texts]
+    want = near_copies(texts, 0.81)
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(4)
+    for rows in (20_000, 150):
+        monkeypatch.setattr(m, "FAMILY_ROWS", rows, raising=False)
+        got = {r.doc_id for r in m.near_dedup(docs, least=0.81).collect()}
+        assert set(range(len(texts))) - got == want
+
+
+def test_family_links_against_brute_force(monkeypatch):
+    from raydescent.llm import simhash_dedup as m
+    from raydescent.llm.bit_planes import join_labels
+
+    monkeypatch.setattr(m, "_BLOCK", 16)
+    monkeypatch.setattr(m, "_COLUMNS", 64)
+    rng = np.random.default_rng(4)
+    for n, sides in ((2, False), (130, False), (130, True), (1, False)):
+        base = rng.choice(10**6, 90, replace=False)
+        sets = [np.unique(np.r_[base[rng.random(90) < 0.9], rng.choice(10**6, rng.integers(0, 12))]).astype(np.uint64) for _ in range(n)]
+        side = rng.integers(0, 2, n) if sides else None
+        share = np.array([[len(np.intersect1d(x, y)) / len(np.union1d(x, y)) for y in sets] for x in sets])
+        i, j, s = m._family_links(sets, side, 0.8)
+        assert np.array_equal(s, share[i, j]) and (s >= 0.8).all()
+        met = (share >= 0.8) & (True if side is None else side[:, None] != side[None, :])
+        assert n < 100 or 0 < met.mean() < 0.9
+        assert np.array_equal(join_labels(np.arange(n), i, j), join_labels(np.arange(n), *np.nonzero(met)))
+
+
 def test_large_buckets_are_dealt_in_parts(spark, monkeypatch):
     from raydescent.llm import simhash_dedup as m
 
