@@ -163,25 +163,25 @@ def corpus_totals(counts: DataFrame, least: int) -> DataFrame:
     return counts.repartition("bucket").mapInArrow(run, "chunk long, gram_order int, keys binary, totals binary")
 
 
-def looked_up(keys: np.ndarray, known: np.ndarray, totals: np.ndarray) -> np.ndarray:
-    """The totals of keys, 0 where unknown."""
+def looked_up(keys: np.ndarray, known: np.ndarray, totals: np.ndarray, unknown: int = 0) -> np.ndarray:
+    """The totals of keys, unknown where there is none."""
     if not len(known):
-        return np.zeros(len(keys))
+        return np.full(len(keys), float(unknown))
     order = np.argsort(keys)  # sorted keys walk through the table once instead of searching it all over
     asked = keys[order]
     at = np.minimum(np.searchsorted(known, asked), len(known) - 1)
     out = np.empty(len(keys))
-    out[order] = np.where(known[at] == asked, totals[at], 0)
+    out[order] = np.where(known[at] == asked, totals[at], unknown)
     return out
 
 
-def place_scores(ids: np.ndarray, sizes: np.ndarray, single: np.ndarray, total: int, tables: dict[int, tuple[np.ndarray, np.ndarray]], top: int, base: int, alpha: float) -> np.ndarray:
-    """log of the stupid-backoff score of every place."""
+def place_scores(ids: np.ndarray, sizes: np.ndarray, single: np.ndarray, total: int, tables: dict[int, tuple[np.ndarray, np.ndarray]], top: int, base: int, alpha: float, unknown: int = 0) -> np.ndarray:
+    """log of the stupid-backoff score of every place; an n-gram that is not in the tables was counted unknown times."""
     score = np.log(single[ids.astype(np.int64)] / total)
     history = single[ids.astype(np.int64)]
     for order in range(2, top + 1):
         keys, ends = gram_keys(ids, sizes, order, base)
-        counts = looked_up(keys, *tables.get(order, (np.zeros(0, np.uint64), np.zeros(0))))
+        counts = looked_up(keys, *tables.get(order, (np.zeros(0, np.uint64), np.zeros(0))), unknown)
         seen = counts > 0
         score[ends] += np.log(alpha)  # one more word of history given up, unless this order is known
         score[ends[seen]] = np.log(counts[seen] / history[ends[seen] - 1])
@@ -194,7 +194,8 @@ def backoff_scores(docs: DataFrame, vocabulary: str, top: int = 3, least: int =
     """id, n_tokens, log_score (sum over the places), mean_log_score (null without ids) of every row of docs.
 
     Null and empty texts have no ids and log_score 0. Rows with one id are scored each by itself. top: longest n-gram
-    (up to 4); n-grams counted less than least times are given up, single ids never.
+    (up to 4); n-grams counted less than least times are given up, single ids never. An n-gram of a text that is counted
+    once in the corpus has no need to come back to its chunk: with least = 1 what does not come back counts 1.
     """
     spark = docs.sparkSession
     table = cut(token_table(docs, vocabulary, id_col, text_col), "tokens")
@@ -217,7 +218,7 @@ def backoff_scores(docs: DataFrame, vocabulary: str, top: int = 3, least: int =
     total = int(single.sum())
     held = spark.sparkContext.broadcast(single)
     buckets = 1 + total // BUCKET_TOKENS
-    found = corpus_totals(chunk_counts(table, range(2, top + 1), base, buckets), least)
+    found = corpus_totals(chunk_counts(table, range(2, top + 1), base, buckets), max(least, 2))
 
     def score(left: pa.Table, right: pa.Table) -> pa.Table:
         tables = {}
@@ -231,7 +232,7 @@ def backoff_scores(docs: DataFrame, vocabulary: str, top: int = 3, least: int =
         del keys, totals
         docs_, many, out = [], [], []
         for row, (_, ids, sizes) in zip(left.column("ids").to_pylist(), _rows(left.to_batches())):
-            places = place_scores(ids, sizes, held.value, total, tables, top, base, alpha)
+            places = place_scores(ids, sizes, held.value, total, tables, top, base, alpha, int(least < 2))
             sums, full = np.zeros(len(sizes)), np.flatnonzero(sizes)
             if len(full):
                 sums[full] = np.add.reduceat(places, (np.cumsum(sizes) - sizes)[full])

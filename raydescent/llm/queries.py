@@ -74,7 +74,7 @@ def op8_histogram_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
 def op9_stupid_backoff(spark: SparkSession, sf_dir: str) -> DataFrame:
     from raydescent.llm.backoff_lm import backoff_scores
 
-    return backoff_scores(table(spark, sf_dir, "documents").select("doc_id", "text"), tokenizer("byte_bpe_50k.json"))
+    return backoff_scores(table(spark, sf_dir, "documents").select("doc_id", "text"), tokenizer("byte_bpe_50k.json"), least=1)
 
 
 def op10_language_bayes(spark: SparkSession, sf_dir: str) -> DataFrame:

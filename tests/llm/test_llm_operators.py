@@ -580,6 +580,32 @@ def test_backoff_scores(spark, data, odd, empty, monkeypatch):
     assert m.backoff_scores(empty, BYTE).count() == 0
 
 
+def test_backoff_scores_with_ngrams_seen_once(spark, data, monkeypatch):
+    from raydescent.llm import backoff_lm as m
+    from raydescent.llm.bpe_automaton import compiled, read_vocabulary
+    from raydescent.llm.queries import op9_stupid_backoff
+
+    monkeypatch.setattr(m, "CHUNK_TOKENS", 500)
+    bpe = compiled(read_vocabulary(BYTE), True)
+    ids = {i: np.frombuffer(bpe.encode(t or ""), "<u4").tolist() for i, t in texts_of(table(spark, data, "documents"))}
+    counts = [None, Counter(), Counter(), Counter()]
+    for x in ids.values():
+        for n in (1, 2, 3):
+            counts[n].update(tuple(x[i : i + n]) for i in range(len(x) - n + 1))
+    total = sum(counts[1].values())
+
+    def score(x, i):
+        if i == 0:
+            return math.log(counts[1][(x[0],)] / total)
+        g = tuple(x[max(0, i - 2) : i + 1])  # every n-gram of the corpus itself is counted: nothing is given up
+        return math.log(counts[len(g)][g] / counts[len(g) - 1][g[:-1]])
+
+    got = {r.doc_id: r.log_score for r in op9_stupid_backoff(spark, data).collect()}
+    assert got.keys() == ids.keys()
+    for i, x in ids.items():
+        assert abs(got[i] - sum(score(x, j) for j in range(len(x)))) < 1e-3
+
+
 def test_packed_numbers():
     from raydescent.llm.backoff_lm import pack, unpack
 
