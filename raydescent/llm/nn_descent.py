@@ -145,8 +145,9 @@ def top_lists(candidates: DataFrame, sizes: DataFrame | None, k: int) -> DataFra
     return rows.select("node", "near", "cos", "old", "k")
 
 
-def improve(lists: DataFrame, state: DataFrame, nodes: DataFrame, k: int, kind: str) -> DataFrame:
-    """One round: what the members of each list, and of the nodes that list one node, can add to each other's lists."""
+def improve(lists: DataFrame, state: DataFrame, nodes: DataFrame, k: int, kind: str, threshold: float = 0.9) -> DataFrame:
+    """One round: what the members of each list, and of the nodes that list one node, can add to each other's lists; and
+    links that span the classes of what has met, whether or not a list has room for them."""
     back = lists.select(F.col("near").alias("at"), F.col("node").alias("member"), "old")
     back = back.withColumn("_salt", F.pmod(F.xxhash64("member"), F.lit(32)))
     back = back.withColumn("_r", F.row_number().over(Window.partitionBy("at", "_salt").orderBy(F.xxhash64("member")))).where(F.col("_r") <= k)
@@ -165,6 +166,7 @@ def improve(lists: DataFrame, state: DataFrame, nodes: DataFrame, k: int, kind:
         order = np.argsort(at, kind="stable")
         edges = _runs(at[order])
         out: list[list[np.ndarray]] = [[], [], []]
+        ties: list[list[np.ndarray]] = [[], [], []]
         held = 0
         for lo, hi in zip(edges[:-1], edges[1:]):
             rows = order[lo:hi]
@@ -173,7 +175,14 @@ def improve(lists: DataFrame, state: DataFrame, nodes: DataFrame, k: int, kind:
                 continue
             x = _units([raw[i] for i in rows], kind)
             c = x @ x.T
-            better = (c > tau[rows][:, None] + 1e-12) & (fresh[:, None] | fresh[None, :])
+            new = fresh[:, None] | fresh[None, :]
+            i, j = np.nonzero(np.triu((c >= threshold) & new, 1))
+            if len(i):
+                _, tie = spanning(np.arange(len(rows)), i, j, np.zeros(len(i), np.int8))
+                i, j = i[tie], j[tie]
+                for o, v in zip(ties, (member[rows[i]], member[rows[j]], c[i, j])):
+                    o.append(v)
+            better = (c > tau[rows][:, None] + 1e-12) & new
             np.fill_diagonal(better, False)
             i, j = np.nonzero(better)
             for o, v in zip(out, (member[rows[i]], member[rows[j]], c[i, j])):
@@ -184,6 +193,8 @@ def improve(lists: DataFrame, state: DataFrame, nodes: DataFrame, k: int, kind:
                 out, held = [[], [], []], 0
         if held:
             yield _best(out, k)
+        if ties[0]:
+            yield _edges(*(np.concatenate(o) for o in ties))
 
     return gathered.select("at", "member", "old", "raw", "tau").mapInArrow(multiply, _EDGE)
 
@@ -217,7 +228,7 @@ def descend(nodes: DataFrame, n: int, kind: str, threshold: float, k: int = 10,
     drop_cut(first)
     for _ in range(rounds):
         state = cut(list_state(lists, threshold, k), "state")
-        found = cut(improve(lists, state, nodes, k, kind), "found")
+        found = cut(improve(lists, state, nodes, k, kind, threshold), "found")
         links.append(found.where(F.col("cos") >= threshold).select(F.greatest("node", "near").alias("a"), F.least("node", "near").alias("b")).distinct())
         candidates = lists.select("node", "near", "cos", F.lit(True).alias("old")).union(found.select("node", "near", "cos", F.lit(False).alias("old")))
         # a neighbour that was there already counts as old even if found again

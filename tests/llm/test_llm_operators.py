@@ -155,6 +155,18 @@ def test_equal_vectors_under_one_id(spark):
     assert got == [(1, 1, 1), (1, 1, 1), (1, 1, 1), (2, 1, 1)]
 
 
+def test_links_of_two_crowds_met_in_a_join(spark):
+    """Both lists are full of closer ones; the pair is a link all the same, and the only one between the crowds."""
+    from raydescent.llm.nn_descent import improve
+
+    at = {0: (1.0, 0.0), 1: (math.cos(0.35), math.sin(0.35)), 9: (math.cos(0.6), -math.sin(0.6))}
+    nodes = spark.createDataFrame([(i, bytearray(np.array(v, "<f8").tobytes())) for i, v in at.items()], "node long, raw binary")
+    lists = spark.createDataFrame([(9, 0, 0.5, False, 10), (9, 1, 0.5, False, 10)], "node long, near long, cos double, old boolean, k int")
+    state = spark.createDataFrame([(0, 10, 0.99), (1, 10, 0.99), (9, 10, -2.0)], "node long, k int, tau double")
+    got = {(min(r.node, r.near), max(r.node, r.near)) for r in improve(lists, state, nodes, 10, "<f8").collect()}
+    assert (0, 1) in got
+
+
 # Tokens
 
 
