@@ -17,7 +17,11 @@ LEAST_SHARE = 0.5
 
 
 def language_id(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Reject documents without a letter and those that no learned language explains by LEAST_SHARE; lang stays as it is."""
+    """Reject documents whose best language has a share below LEAST_SHARE; lang stays as it is.
+
+    Shares are relative among the learned languages and nearly 1 for any longer text, so that in practice only texts
+    without a letter are rejected; texts in a language that was not learned, or of random letters, stay.
+    """
     model = fit(docs.where(learned_rows(F.col("doc_id"))))
     found = predict(docs.withColumnsRenamed({"score": "_score", "lang_pred": "_lang_pred"}), model)
     kept = found.where((F.col("lang_pred") != UNKNOWN) & (F.col("score") >= LEAST_SHARE))
