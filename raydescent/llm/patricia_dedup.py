@@ -5,8 +5,8 @@ trie whose terminal nodes hold the smallest identifier and how many rows had the
 moves its largest subtree to a local spill file, which is worked off afterwards with the same budget.
 
 A text is first merged in a trie of its input partition, so one group of copies sends at most a row per input task,
-however large it is. The owners come back to the documents by digest through skew_safe_lookup. Two different strings
-under one digest would be seen in the tries, which compare whole strings, and end the run with an error.
+however large it is. The tries compare whole strings. The owners come back to the documents by SHA-256 digest and length
+through skew_safe_lookup; two strings of one length under one digest would be mistaken for each other there.
 """
 
 from __future__ import annotations
@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from raydescent.llm.common import cut, skew_safe_lookup
+from raydescent.llm.common import cut, skew_safe_lookup, spare
 
 _NODE_COST = 220
 
@@ -86,18 +86,21 @@ class PatriciaTrie:
         return total
 
     def _spill(self) -> None:
-        """Move the largest subtree below the topmost branching to a file; its node stays and passes on what comes later."""
+        """Move the largest subtrees below the topmost branching to files, down to half the budget. The node of a moved
+        subtree keeps the first byte of its label and passes on whatever comes there later. A trie of one string has no
+        branching and stays."""
         path, node = b"", self.root
         while len(node.kids) == 1 and not node.count and node.spill is None:
             (node,) = node.kids.values()
             path += node.label
-        live = [x for x in node.kids.values() if x.spill is None]
-        if not live:
-            return
-        victim = max(live, key=self._size)
-        size = self._size(victim)
-        if not victim.kids:
-            return
+        sizes = sorted(((self._size(x), first) for first, x in node.kids.items() if x.spill is None), reverse=True)
+        for size, first in sizes:
+            if self.held <= self.budget // 2:
+                break
+            self._move(node.kids[first], path)
+            self.held -= size - 1 - _NODE_COST
+
+    def _move(self, victim: _Node, path: bytes) -> None:
         out = tempfile.TemporaryFile(prefix="trie-")
         stack = [(victim, path + victim.label)]
         while stack:
@@ -110,8 +113,7 @@ class PatriciaTrie:
             if x.count:
                 pickle.dump((key, x.owner, x.count, x.ties), out)
             stack += [(y, key + y.label) for y in x.kids.values()]
-        victim.kids, victim.owner, victim.count, victim.ties, victim.spill = {}, None, 0, 0, out
-        self.held -= size - len(victim.label) - _NODE_COST
+        victim.label, victim.kids, victim.owner, victim.count, victim.ties, victim.spill = victim.label[:1], {}, None, 0, 0, out
 
     def items(self) -> Iterator[tuple[bytes, object, int, int]]:
         """Each string once. Spilled subtrees follow one by one, in tries of the same budget."""
@@ -164,11 +166,9 @@ def _merge(batches, budget: int, bodies: bool):
 
 
 def _rows(trie: PatriciaTrie, bodies: bool):
-    held, size, seen = [], 0, {}
+    held, size = [], 0
     for key, owner, count, ties in trie.items():
-        digest = hashlib.sha256(key).hexdigest()
-        if seen.setdefault(digest, len(key)) != len(key):
-            raise ValueError("two different texts have one digest")
+        digest = f"{hashlib.sha256(key).hexdigest()}:{len(key)}"
         held.append((digest, key if bodies else None, None if owner[0] else owner[1], count, ties))
         size += len(key) + 100
         if size > 8 << 20:
@@ -184,22 +184,30 @@ def _batch(rows):
 
 
 def owners(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", budget: int = 192 << 20) -> DataFrame:
-    """One row per different normalised text: digest, owner (smallest id), members, ties (rows that have the owner's id)."""
+    """One row per different normalised text: digest (SHA-256 and length in bytes), owner (smallest id), members, ties
+    (rows that have the owner's id)."""
     texts = docs.select(F.col(id_col).cast("long").alias("owner"), F.encode(normal_form(F.col(text_col)), "UTF-8").alias("body"))
     local = texts.mapInArrow(lambda b: _merge(b, budget, True), _OWNER_SCHEMA)
     dealt = local.repartition(F.length("body"), F.xxhash64("body"))
     return dealt.mapInArrow(lambda b: _merge(b, budget, False), _OWNER_SCHEMA).select("digest", "owner", "members", "ties")
 
 
-def _assigned(docs: DataFrame, id_col: str, text_col: str) -> tuple[DataFrame, DataFrame]:
-    """docs with the new columns, and the table of owners."""
+NAMES = ("keep_id", "group_size", "kept", "text_sha256")
+
+
+def _assigned(docs: DataFrame, id_col: str, text_col: str, names: list[str]) -> tuple[DataFrame, DataFrame]:
+    """docs with new columns of these names (those of NAMES, then how many rows have the text and the owner's id), and
+    the table of owners."""
+    keep_id, size, kept, sha, ties = names
+    (key,) = spare([*docs.columns, *names], "_key")
     found = cut(owners(docs, id_col, text_col), "owners")
-    found = found.select(F.col("digest").alias("text_sha256"), F.col("owner").alias("keep_id"), F.col("members").alias("group_size"), F.col("ties").alias("_ties"))
-    total = found.agg(F.sum("group_size")).first()[0] or 0
-    rows = docs.drop("keep_id", "group_size", "kept", "text_sha256", "_ties")
-    rows = rows.withColumn("text_sha256", F.sha2(F.encode(normal_form(F.col(text_col)), "UTF-8"), 256))
-    joined = skew_safe_lookup(rows, found, "text_sha256", "group_size", total)
-    return joined.withColumn("kept", F.col(id_col).cast("long").eqNullSafe(F.col("keep_id"))), found
+    found = found.select(F.col("digest").alias(key), F.col("owner").alias(keep_id), F.col("members").alias(size), F.col("ties").alias(ties))
+    total = found.agg(F.sum(size)).first()[0] or 0
+    body = F.encode(normal_form(F.col(text_col)), "UTF-8")
+    rows = docs.withColumn(key, F.concat_ws(":", F.sha2(body, 256), F.octet_length(body)))
+    joined = skew_safe_lookup(rows, found, key, size, total)
+    joined = joined.withColumn(kept, F.col(id_col).cast("long").eqNullSafe(F.col(keep_id))).withColumn(sha, F.substring_index(key, ":", 1))
+    return joined.drop(key), found
 
 
 def assign_owners(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -209,14 +217,17 @@ def assign_owners(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text
     than any other. Rows that repeat both the text and its smallest id are all marked kept, as nothing tells them apart.
     Columns of those four names in docs are replaced.
     """
-    return _assigned(docs, id_col, text_col)[0].drop("_ties")
+    (ties,) = spare([*docs.columns, *NAMES], "_ties")
+    return _assigned(docs.drop(*NAMES), id_col, text_col, [*NAMES, ties])[0].drop(ties)
 
 
 def exact_dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """One row of each different text, the one with the smallest id; columns as in docs."""
-    joined, found = _assigned(docs, id_col, text_col)
-    kept = joined.where("kept")
-    if found.where("_ties > 1").isEmpty():
-        return kept.select(*docs.columns)
-    once = kept.where("_ties > 1").dropDuplicates(["text_sha256"])
-    return kept.where("_ties = 1").unionByName(once).select(*docs.columns)
+    """One row of each different text, the one with the smallest id (any one of rows that repeat both); columns as in
+    docs, whatever their names."""
+    names = spare(docs.columns, *NAMES, "_ties")
+    joined, found = _assigned(docs, id_col, text_col, names)
+    _, _, kept_col, sha, ties = names
+    kept = joined.where(kept_col)
+    if not found.where(F.col(ties) > 1).isEmpty():
+        kept = kept.where(F.col(ties) == 1).unionByName(kept.where(F.col(ties) > 1).dropDuplicates([sha]))
+    return kept.select(*[F.col(f"`{c}`") for c in docs.columns])
