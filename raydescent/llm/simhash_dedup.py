@@ -23,14 +23,15 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from raydescent.llm.bit_planes import close_pairs, distances, spanning
-from raydescent.llm.common import ASCII_LOWER, cut, skew_safe_lookup
+from raydescent.llm.common import ASCII_LOWER, checked_broadcast, cut, grouped, skew_safe_lookup, sorted_groups, spare
 from raydescent.llm.components import connected_components
 
 #: Rows of one bucket that are compared in one task; larger buckets are split into pairs of parts.
 BUCKET_ROWS = 20_000
 PORTION_ROWS = 20_000
-#: Rows and shingles of one family that are verified in one task; larger families are split into pairs of parts.
-FAMILY_ROWS = 20_000
+#: Rows and shingles of one family that are verified in one task at most; larger families, and those that hold much of all
+#: rows in families (a 32nd of them, if that is LEAST_FAMILY rows), are split into pairs of parts.
+LEAST_FAMILY, FAMILY_ROWS = 256, 20_000
 FAMILY_SHINGLES = 2_000_000
 _BLOCK = 512
 _COLUMNS = 1 << 14
@@ -114,8 +115,8 @@ def _keyed(nodes: DataFrame, tables: list[list[int]]) -> DataFrame:
 def _dealt(keyed: DataFrame) -> DataFrame:
     """bucket, part pair (x <= y) and side for each row. A bucket of up to BUCKET_ROWS has the one pair (0, 0)."""
     sizes = keyed.groupBy("bucket").agg(F.count("*").alias("_n")).where(F.col("_n") > BUCKET_ROWS)
-    large = sizes.select(F.col("bucket").alias("_b"), F.ceil(F.col("_n") / BUCKET_ROWS).cast("int").alias("_parts"))  # a row for BUCKET_ROWS rows at most
-    rows = keyed.join(F.broadcast(large), F.col("bucket") == F.col("_b"), "left").withColumn("_parts", F.coalesce("_parts", F.lit(1)))
+    large = checked_broadcast(sizes.select(F.col("bucket").alias("_b"), F.ceil(F.col("_n") / BUCKET_ROWS).cast("int").alias("_parts")), "large")
+    rows = keyed.join(large, F.col("bucket") == F.col("_b"), "left").withColumn("_parts", F.coalesce("_parts", F.lit(1)))
     rows = rows.withColumn("_own", F.pmod(F.xxhash64("node"), F.col("_parts")).cast("int"))
     rows = rows.withColumn("_other", F.explode(F.sequence(F.lit(0), F.col("_parts") - 1)))
     return rows.select("bucket", F.least("_own", "_other").alias("x"), F.greatest("_own", "_other").alias("y"), (F.col("_own") > F.col("_other")).cast("int").alias("side"), "node", "print")
@@ -131,30 +132,19 @@ def _portion(group, node, prints, cross, radius: int):
 
 def close_links(nodes: DataFrame, tables: list[list[int]], radius: int) -> DataFrame:
     """a, b (node numbers): links within radius bits that span the classes of every bucket."""
-    dealt = _dealt(_keyed(nodes, tables)).repartition("bucket", "x", "y")
+    dealt = grouped(_dealt(_keyed(nodes, tables)), "bucket", "x", "y", within=("node",))
 
     def run(batches):
-        parts = [b for b in batches if b.num_rows]
-        if not parts:
-            return
-        t = pa.Table.from_batches(parts).combine_chunks()
-        bucket, x, y, side, node = (t.column(c).to_numpy() for c in ("bucket", "x", "y", "side", "node"))
-        raw = t.column("print").to_pylist()
-        prints = np.frombuffer(b"".join(raw), np.uint8).reshape(len(raw), -1)
-        del raw, t
-        order = np.lexsort((node, y, x, bucket))
-        bucket, x, y, side, node, prints = (v[order] for v in (bucket, x, y, side, node, prints))
-        new = np.r_[True, (bucket[1:] != bucket[:-1]) | (x[1:] != x[:-1]) | (y[1:] != y[:-1])]
-        group = np.cumsum(new)
-        size = np.diff(np.r_[np.flatnonzero(new), len(group)])
-        keep = np.repeat(size > 1, size)  # most buckets have a single row
-        group, node, prints, cross = group[keep], node[keep], prints[keep], np.where(x == y, -1 - np.arange(len(x)), side)[keep]
-        ends = np.flatnonzero(np.r_[group[1:] != group[:-1], True]) + 1 if len(group) else np.zeros(0, np.int64)
-        at = 0
-        while at < len(group):  # portions of whole buckets, so that the unpacked bits of few rows are held at a time
-            stop = int(ends[min(np.searchsorted(ends, at + PORTION_ROWS), len(ends) - 1)])
-            yield from _portion(group[at:stop], node[at:stop], prints[at:stop], cross[at:stop], radius)
-            at = stop
+        for t in sorted_groups(batches, ["bucket", "x", "y"], PORTION_ROWS):  # whole buckets, of few rows at a time
+            bucket, x, y, side, node = (t.column(c).to_numpy() for c in ("bucket", "x", "y", "side", "node"))
+            new = np.r_[True, (bucket[1:] != bucket[:-1]) | (x[1:] != x[:-1]) | (y[1:] != y[:-1])]
+            size = np.diff(np.r_[np.flatnonzero(new), len(new)])
+            keep = np.flatnonzero(np.repeat(size > 1, size))  # most buckets have a single row
+            if not len(keep):
+                continue
+            prints = np.frombuffer(b"".join(t.column("print").take(pa.array(keep)).to_pylist()), np.uint8).reshape(len(keep), -1)
+            cross = np.where(x == y, -1 - np.arange(len(x)), side)[keep]
+            yield from _portion(np.cumsum(new)[keep], node[keep], prints, cross, radius)
 
     return dealt.mapInArrow(run, "a long, b long")
 
@@ -256,37 +246,16 @@ def _family_links(sets: list[np.ndarray], side: np.ndarray | None, least: float)
     return tuple(np.concatenate(o) if o else np.zeros(0, k) for o, k in zip(found, (np.int64, np.int64, float)))
 
 
-def _sorted_groups(batches, keys: list[str]):
-    """Tables of the rows that agree in keys, of batches sorted by them."""
-    now, held = None, []
-    for batch in batches:
-        if not batch.num_rows:
-            continue
-        columns = [batch.column(k).to_numpy() for k in keys]
-        new = np.zeros(batch.num_rows, bool)
-        for c in columns:
-            new[1:] |= c[1:] != c[:-1]
-        edges = np.r_[0, np.flatnonzero(new), batch.num_rows]
-        for lo, hi in zip(edges[:-1], edges[1:]):
-            key = tuple(int(c[lo]) for c in columns)
-            if key != now and held:
-                yield pa.Table.from_batches(held)
-                held = []
-            now = key
-            held.append(batch.slice(lo, hi - lo))
-    if held:
-        yield pa.Table.from_batches(held)
-
-
 def family_links(members: DataFrame, texts: DataFrame, shingle: int, least: float) -> DataFrame:
     """a, b, similarity: links that span all pairs of similarity least or more within each family.
 
-    members: component, node, digest, shingles (their number); texts: id, text, of which those of members are read. A
+    members: component, node, digest, shingles (their number), a written table; texts: id, text, of which those of members are read. A
     family is worked off in tasks of two parts each, so that none holds a whole large one.
     """
-    sizes = members.groupBy("component").agg(F.greatest(F.ceil(F.count("*") / FAMILY_ROWS), F.ceil(F.sum("shingles") / FAMILY_SHINGLES)).cast("int").alias("_parts"))
-    large = sizes.where("_parts > 1").withColumnRenamed("component", "_c")
-    wanted = members.join(F.broadcast(large), F.col("component") == F.col("_c"), "left")
+    part = min(max(members.count() // 32, LEAST_FAMILY), FAMILY_ROWS)
+    sizes = members.groupBy("component").agg(F.greatest(F.ceil(F.count("*") / part), F.ceil(F.sum("shingles") / FAMILY_SHINGLES)).cast("int").alias("_parts"))
+    large = checked_broadcast(sizes.where("_parts > 1").withColumnRenamed("component", "_c"), "large")
+    wanted = members.join(large, F.col("component") == F.col("_c"), "left")
     wanted = wanted.select(F.col("node").alias("id"), "digest", "component", F.coalesce("_parts", F.lit(1)).alias("parts"))
 
     def sets(batches):
@@ -302,14 +271,14 @@ def family_links(members: DataFrame, texts: DataFrame, shingle: int, least: floa
     dealt = rows.select("component", F.least("_own", "_other").alias("x"), F.greatest("_own", "_other").alias("y"), (F.col("_own") > F.col("_other")).cast("int").alias("side"), "node", "set")
 
     def verify(batches):
-        for t in _sorted_groups(batches, ["component", "x", "y"]):
+        for t in sorted_groups(batches, ["component", "x", "y"]):
             node, side = t.column("node").to_numpy(), t.column("side").to_numpy()
             held = [np.frombuffer(v, np.uint64) for v in t.column("set").to_pylist()]
             i, j, share = _family_links(held, None if t.column("x")[0] == t.column("y")[0] else side, least)
             a, b = node[i], node[j]
             yield pa.RecordBatch.from_arrays([pa.array(np.maximum(a, b)), pa.array(np.minimum(a, b)), pa.array(share)], ["a", "b", "similarity"])
 
-    return dealt.repartition("component", "x", "y").sortWithinPartitions("component", "x", "y").mapInArrow(verify, "a long, b long, similarity double")
+    return grouped(dealt, "component", "x", "y").mapInArrow(verify, "a long, b long, similarity double")
 
 
 def similar_pairs(docs: DataFrame, shingle: int = 5, least: float = 0.8, bits: int = 384, band: int = 12, radius: int = 78, id_col: str = "doc_id", text_col: str = "text") -> tuple[DataFrame, DataFrame]:
@@ -356,5 +325,6 @@ def near_dedup(docs: DataFrame, shingle: int = 5, least: float = 0.8, id_col: st
     named = docs.where(F.col(id_col).isNotNull())
     _, links = similar_pairs(named, shingle, least, id_col=id_col, text_col=text_col)
     found = connected_components(cut(links.select("a", "b"), "similar"))
-    gone = found.where("node <> component").select(F.col("node").alias("_gone"))
-    return docs.join(gone, F.col(id_col).cast("long") == F.col("_gone"), "left_anti")
+    (name,) = spare(docs.columns, "_gone")
+    gone = found.where("node <> component").select(F.col("node").alias(name))
+    return docs.join(gone, F.col(id_col).cast("long") == F.col(name), "left_anti")
