@@ -16,7 +16,10 @@ def host_reputation() -> str:
     wide = ", ".join(f"'{s}'" for s in TWO_LABEL_SUFFIXES)
 
     def last(n: int) -> str:
-        return f"array_to_string(list_slice(string_split(host, '.'), greatest(1, len(string_split(host, '.')) - {n - 1}), len(string_split(host, '.'))), '.')"
+        return f"array_to_string(list_slice(string_split(name, '.'), greatest(1, len(string_split(name, '.')) - {n - 1}), len(string_split(name, '.'))), '.')"
+
+    bare, address = "regexp_replace(host, '^.*@', '')", r"regexp_matches(bare, '^\[|^[0-9.]+(:[0-9]*)?$')"
+    name = r"CASE WHEN starts_with(bare, '[') THEN regexp_extract(bare, '^(\[[^\]]*\]?)', 1) ELSE regexp_replace(bare, '\.?(:[0-9]*)?$', '') END"
 
     def strength(table: str, mean: str) -> str:
         return f"""(SELECT CASE WHEN coalesce(r, 0) = 0 THEN 10000.0 ELSE 1 / least(greatest(o / r, 1 / 10001.0), 0.5) - 1 END FROM (
@@ -25,9 +28,10 @@ def host_reputation() -> str:
     return f"""
 WITH p AS (SELECT page_id, coalesce(translate(regexp_extract(url, '://([^/?#]*)', 1), '{UPPER}', '{LOWER}'), '') AS host, coalesce(regexp_extract(url, '://[^/?#]*([^?#]*)', 1), '') AS path FROM pages),
 l AS (SELECT doc_id AS page_id, max((quality = 1 AND toxic = 0)::INT) AS good FROM labels GROUP BY 1),
-h0 AS (SELECT host, count(good)::DOUBLE AS n, coalesce(sum(good), 0)::DOUBLE AS k FROM p LEFT JOIN l USING (page_id) GROUP BY host),
-h AS (SELECT *, CASE WHEN regexp_matches(host, '^[0-9.]+$') THEN host WHEN {last(2)} IN ({wide}) THEN {last(3)} ELSE {last(2)} END AS domain,
- CASE WHEN regexp_matches(host, '^[0-9.]+$') THEN '' WHEN {last(2)} IN ({wide}) THEN {last(2)} ELSE {last(1)} END AS suffix FROM h0),
+h00 AS (SELECT host, count(good)::DOUBLE AS n, coalesce(sum(good), 0)::DOUBLE AS k FROM p LEFT JOIN l USING (page_id) GROUP BY host),
+h0 AS (SELECT *, {name} AS name FROM (SELECT *, {bare} AS bare FROM h00)),
+h AS (SELECT *, CASE WHEN {address} THEN name WHEN {last(2)} IN ({wide}) THEN {last(3)} ELSE {last(2)} END AS domain,
+ CASE WHEN {address} THEN '' WHEN {last(2)} IN ({wide}) THEN {last(2)} ELSE {last(1)} END AS suffix FROM h0),
 d0 AS (SELECT domain, suffix, sum(n) AS n, sum(k) AS k FROM h GROUP BY ALL),
 s0 AS (SELECT suffix, sum(n) AS n, sum(k) AS k, (SELECT (sum(k) + 1) / (sum(n) + 2) FROM h) AS m FROM d0 GROUP BY suffix),
 s AS (SELECT suffix, (k + q * m) / (n + q) AS sm FROM s0, (SELECT {strength('s0', 'm')} AS q)),
@@ -35,7 +39,7 @@ d1 AS (SELECT d0.*, sm FROM d0 JOIN s USING (suffix)),
 d AS (SELECT domain, (k + q * sm) / (n + q) AS dm FROM d1, (SELECT {strength('d1', 'sm')} AS q)),
 h1 AS (SELECT h.*, dm FROM h JOIN d USING (domain)),
 r AS (SELECT host, n, n + q AS weight, (k + q * dm) / (n + q) AS g FROM h1, (SELECT {strength('h1', 'dm')} AS q)),
-f AS (SELECT p.*, n::BIGINT AS n_labelled, g + 1.64 * sqrt(g * (1 - g) / (weight + 1)) AS up FROM p JOIN r USING (host))
+f AS (SELECT p.*, n::BIGINT AS n_labelled, least(1.0::DOUBLE, g + 1.64 * sqrt(g * (1 - g) / (weight + 1))) AS up FROM p JOIN r USING (host))
 SELECT page_id, host, path, {rule} AS rule, coalesce({verdict}, CASE WHEN up < 0.5 THEN 'block' ELSE 'allow' END) AS verdict, n_labelled, round(up, 6) AS good_upper FROM f"""
 
 

@@ -13,7 +13,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from raydescent.llm.common import LOWER, UPPER, cut, skew_safe_lookup
+from raydescent.llm.common import LOWER, UPPER, cut, skew_safe_lookup, spare
 
 #: Suffixes of two labels under which names are registered.
 TWO_LABEL_SUFFIXES = ("ac.uk", "co.in", "co.jp", "co.kr", "co.nz", "co.uk", "co.za", "com.au", "com.br", "com.cn", "com.mx", "com.tr", "gov.uk", "net.au", "org.au", "org.uk")
@@ -58,13 +58,18 @@ def longest_rule(host: Column, path: Column, rules: tuple[UrlRule, ...]) -> tupl
     return name, verdict
 
 
-def domain_parts(host: Column) -> tuple[Column, Column]:
-    """Registered domain and suffix. An address of digits is its own domain; the port, if any, stays with the suffix."""
-    two, three = F.substring_index(host, ".", -2), F.substring_index(host, ".", -3)
-    wide = two.isin(*TWO_LABEL_SUFFIXES)
-    address = host.rlike("^[0-9.]+$")
-    suffix = F.when(address, F.lit("")).when(wide, two).otherwise(F.substring_index(host, ".", -1))
-    return F.when(address, host).when(wide, three).otherwise(two), suffix
+def domain_parts(host: Column, wide_suffixes: tuple[str, ...] = TWO_LABEL_SUFFIXES) -> tuple[Column, Column]:
+    """Registered domain and suffix of a host, without user part, port and final dot. An IP address is its own domain.
+
+    wide_suffixes: suffixes of two labels under which names are registered; all others have one label.
+    """
+    bare = F.regexp_replace(host, "^.*@", "")
+    address = bare.rlike(r"^\[|^[0-9.]+(:[0-9]*)?$")
+    name = F.when(bare.startswith("["), F.regexp_extract(bare, r"^(\[[^\]]*\]?)", 1)).otherwise(F.regexp_replace(bare, r"\.?(:[0-9]*)?$", ""))
+    two, three = F.substring_index(name, ".", -2), F.substring_index(name, ".", -3)
+    wide = two.isin(*wide_suffixes)
+    suffix = F.when(address, F.lit("")).when(wide, two).otherwise(F.substring_index(name, ".", -1))
+    return F.when(address, name).when(wide, three).otherwise(two), suffix
 
 
 def _strength(level: DataFrame, mean: str, most: float = 10_000.0) -> float:
@@ -79,14 +84,15 @@ def _strength(level: DataFrame, mean: str, most: float = 10_000.0) -> float:
     return 1 / rho - 1
 
 
-def host_reputation(pages: DataFrame, outcomes: DataFrame, z: float = 1.64) -> DataFrame:
+def host_reputation(pages: DataFrame, outcomes: DataFrame, z: float = 1.64, wide_suffixes: tuple[str, ...] = TWO_LABEL_SUFFIXES) -> DataFrame:
     """pages (page_id, host); outcomes (page_id, good 0/1; ids without a label are absent, null good is no label).
 
     Returns host, n_pages, n_labelled, good_mean, good_upper. Hosts without labels get their domain's rate, unknown
-    domains their suffix's, and with no labels at all the mean is 1/2 with the widest bound.
+    domains their suffix's, and with no labels at all the mean is 1/2 with the widest bound. good_upper is the posterior
+    mean and z posterior standard deviations, 1 at most: the normal stand-in for a beta quantile, which Spark lacks.
     """
     labelled = outcomes.where("good IS NOT NULL").groupBy("page_id").agg(F.max("good").alias("good"))
-    domain, suffix = domain_parts(F.col("host"))
+    domain, suffix = domain_parts(F.col("host"), wide_suffixes)
     hosts = pages.join(labelled, "page_id", "left").groupBy("host").agg(F.count("*").alias("n_pages"), F.count("good").alias("n"), F.coalesce(F.sum("good"), F.lit(0)).alias("k"))
     hosts = cut(hosts.select("host", domain.alias("domain"), suffix.alias("suffix"), "n_pages", F.col("n").cast("double"), F.col("k").cast("double")), "hosts")
     domains = hosts.groupBy("domain", "suffix").agg(F.sum("n").alias("n"), F.sum("k").alias("k"), F.count("*").alias("n_hosts"))
@@ -106,7 +112,7 @@ def host_reputation(pages: DataFrame, outcomes: DataFrame, z: float = 1.64) -> D
     hosts = shrunk(hosts, "domain_mean", "good_mean")
     weight = F.col("n") + F.col("_s")
     spread = F.sqrt(F.col("good_mean") * (1 - F.col("good_mean")) / (weight + 1))
-    return hosts.select("host", "n_pages", F.col("n").cast("long").alias("n_labelled"), "good_mean", (F.col("good_mean") + z * spread).alias("good_upper"))
+    return hosts.select("host", "n_pages", F.col("n").cast("long").alias("n_labelled"), "good_mean", F.least(F.lit(1.0), F.col("good_mean") + z * spread).alias("good_upper"))
 
 
 def judge_urls(pages: DataFrame, outcomes: DataFrame, rules: tuple[UrlRule, ...] = PRODUCTION_RULES, least_good: float = 0.5, z: float = 1.64) -> DataFrame:
@@ -128,11 +134,12 @@ def judge_urls(pages: DataFrame, outcomes: DataFrame, rules: tuple[UrlRule, ...]
 def filter_urls(pages: DataFrame, outcomes: DataFrame, rules: tuple[UrlRule, ...] = PRODUCTION_RULES, least_good: float = 0.5, z: float = 1.64) -> DataFrame:
     """The rows of pages whose host and path are allowed, columns as in pages; the judgement is made once per row."""
     host, path = url_parts(F.col("url"))
-    rows = pages.withColumns({"_host": host, "_path": path})
-    split = rows.select("page_id", F.col("_host").alias("host"))
-    facts = cut(host_reputation(split, outcomes, z), "reputation").select(F.col("host").alias("_host"), "n_pages", F.col("good_upper").alias("_upper"))
-    total = facts.agg(F.sum("n_pages").alias("n")).first()["n"] or 0
-    _, verdict = longest_rule(F.col("_host"), F.col("_path"), rules)
-    judged = skew_safe_lookup(rows, facts.withColumnRenamed("n_pages", "_pages"), "_host", "_pages", total)
-    own = F.when(F.col("_upper") < least_good, "block").otherwise("allow")
-    return judged.where(F.coalesce(verdict, own) == "allow").select(*pages.columns)
+    h, p, n, up = spare(pages.columns, "_host", "_path", "_pages", "_upper")
+    rows = pages.withColumns({h: host, p: path})
+    split = rows.select("page_id", F.col(h).alias("host"))
+    facts = cut(host_reputation(split, outcomes, z), "reputation").select(F.col("host").alias(h), F.col("n_pages").alias(n), F.col("good_upper").alias(up))
+    total = facts.agg(F.sum(n)).first()[0] or 0
+    _, verdict = longest_rule(F.col(h), F.col(p), rules)
+    judged = skew_safe_lookup(rows, facts, h, n, total)
+    own = F.when(F.col(up) < least_good, "block").otherwise("allow")
+    return judged.where(F.coalesce(verdict, own) == "allow").select(*[F.col(f"`{c}`") for c in pages.columns])
