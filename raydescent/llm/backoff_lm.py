@@ -3,8 +3,10 @@
 Texts become ids of a public vocabulary; single ids are counted in a table of the vocabulary's size. Longer n-grams are
 exploded and counted once per chunk of documents (some millions of ids that stand together), so that a frequent n-gram
 sends a row per chunk and not per place. The rows go by hash of the n-gram to its partition of the count table, where the
-chunks' counts are added up; each chunk gets back the totals of its own n-grams, joins them to its places and sums the
-logarithms per document. Between the steps n-grams travel as packed columns (sorted keys by byte planes).
+chunks' counts are added up, a bucket at a time; each chunk gets back the totals of its own n-grams, joins them to its places
+and sums the logarithms per document. Between the steps n-grams travel as packed columns (sorted keys by byte planes): a
+row per n-gram would not fit the disk that the job may use. A key is the n-gram's ids as one number, of 64 bits or, for
+longer n-grams, of 128, so that different n-grams never share one.
 
 score(w) = count(h w) / count(h) for the longest history h whose n-gram is counted least times at least, times alpha
 for each word of history given up; a single id has count / total.
@@ -19,8 +21,8 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from raydescent.llm.bpe_automaton import compiled, read_vocabulary, release
-from raydescent.llm.common import cut
+from raydescent.llm.bpe_automaton import compiled, read_vocabulary, sent
+from raydescent.llm.common import cut, sorted_groups
 
 CHUNK_TOKENS = 4_000_000
 BUCKET_TOKENS = 4_000_000
@@ -29,16 +31,30 @@ ROW_DOCS = 200
 
 
 def pack(values: np.ndarray) -> bytes:
-    """Unsigned 64-bit numbers as eight byte planes: planes of leading zeros and of sorted keys compress to little."""
-    return np.ascontiguousarray(values.astype("<u8").view(np.uint8).reshape(-1, 8).T).tobytes()
+    """Unsigned 64-bit numbers (or wide keys) as byte planes: planes of leading zeros and of sorted keys compress to little."""
+    flat = values if values.dtype == WIDE else values.astype("<u8")
+    return np.ascontiguousarray(flat.view(np.uint8).reshape(-1, flat.itemsize).T).tobytes()
 
 
-def unpack(planes: bytes) -> np.ndarray:
-    flat = np.frombuffer(planes, np.uint8).reshape(8, -1)
-    return np.ascontiguousarray(flat.T).view("<u8").reshape(-1)
+def unpack(planes: bytes, kind: np.dtype = np.dtype("<u8")) -> np.ndarray:
+    flat = np.frombuffer(planes, np.uint8).reshape(kind.itemsize, -1)
+    return np.ascontiguousarray(flat.T).view(kind).reshape(-1)
+
+
+#: Keys of 128 bits, as the bytes of a big-endian number: they sort and compare like it.
+WIDE = np.dtype("S16")
+
+
+def key_kind(order: int, base: int) -> np.dtype:
+    if base**order >= 1 << 128:
+        raise ValueError("n-grams of this order do not fit into 128 bits")
+    return np.dtype("<u8") if base**order < 1 << 63 else WIDE
 
 
 def mix(keys: np.ndarray) -> np.ndarray:
+    if keys.dtype == WIDE:
+        both = keys.view("<u8").reshape(-1, 2)
+        keys = both[:, 0] * np.uint64(0x9E3779B97F4A7C15) ^ both[:, 1]
     x = (keys ^ (keys >> np.uint64(31))) * np.uint64(0x7FB5D329728EA185)
     return x ^ (x >> np.uint64(27))
 
@@ -46,10 +62,10 @@ def mix(keys: np.ndarray) -> np.ndarray:
 def token_table(docs: DataFrame, vocabulary: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """chunk, ids, sizes, n_tokens, tokens: rows of some documents that stand together, with all their ids compressed
     (null text has none). Chunks are of rows that follow each other."""
-    held = docs.sparkSession.sparkContext.broadcast(read_vocabulary(vocabulary))
+    held = sent(docs.sparkSession, vocabulary, True)
 
     def run(batches):
-        bpe, chunk, size = compiled(held.value, True), TaskContext.get().partitionId() << 32, 0
+        bpe, chunk, size = held.value, TaskContext.get().partitionId() << 32, 0
         squeeze = zstandard.ZstdCompressor(3)
         for batch in batches:
             for at in range(0, batch.num_rows, ROW_DOCS):
@@ -79,10 +95,17 @@ def gram_keys(ids: np.ndarray, sizes: np.ndarray, order: int, base: int) -> tupl
     """Keys of all n-grams that end at each place and stay in its document, and which places have one."""
     place = np.arange(len(ids)) - np.repeat(np.cumsum(sizes) - sizes, sizes)
     ends = np.flatnonzero(place >= order - 1)
-    key = np.zeros(len(ends), np.uint64)
-    for back in range(order - 1, -1, -1):
-        key = key * np.uint64(base) + ids[ends - back]
-    return key, ends
+
+    def number(first: int, last: int) -> np.ndarray:
+        out = np.zeros(len(ends), np.uint64)
+        for back in range(first, last, -1):
+            out = out * np.uint64(base) + ids[ends - back]
+        return out
+
+    if key_kind(order, base) != WIDE:
+        return number(order - 1, -1), ends
+    half = order // 2
+    return np.column_stack([number(order - 1, half - 1), number(half - 1, -1)]).astype(">u8").view(WIDE).reshape(-1), ends
 
 
 def _rows(batches):
@@ -94,7 +117,7 @@ def _rows(batches):
 
 def _counted(parts: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
     """Different keys, sorted, and how often each occurs."""
-    keys = np.concatenate(parts) if parts else np.zeros(0, np.uint64)
+    keys = np.concatenate(parts)
     parts.clear()
     keys.sort()
     first = np.flatnonzero(np.r_[len(keys) > 0, keys[1:] != keys[:-1]])
@@ -120,7 +143,6 @@ def chunk_counts(table: DataFrame, orders: range, base: int, buckets: int) -> Da
                 )
 
     def run(batches):
-        release()
         now, parts = None, {order: [] for order in orders}
         for chunk, ids, sizes in _rows(batches):
             if now is not None and chunk != now:
@@ -134,33 +156,30 @@ def chunk_counts(table: DataFrame, orders: range, base: int, buckets: int) -> Da
     return table.select("chunk", "sizes", "n_tokens", "tokens").mapInArrow(run, "bucket long, chunk long, gram_order int, keys binary, counts binary")
 
 
-def corpus_totals(counts: DataFrame, least: int) -> DataFrame:
-    """chunk, gram_order, keys, totals: the corpus counts of each chunk's n-grams, where they are least at least."""
+def corpus_totals(counts: DataFrame, least: int, buckets: int, base: int) -> DataFrame:
+    """chunk, gram_order, keys, totals: the corpus counts of each chunk's n-grams, where they are least at least.
+
+    The rows come sorted by bucket and order, and a bucket's are added up as they stream past.
+    """
 
     def run(batches):
-        parts = [b for b in batches if b.num_rows]
-        if not parts:
-            return
-        t = pa.Table.from_batches(parts)
-        bucket, chunk, order = (t.column(c).to_numpy() for c in ("bucket", "chunk", "gram_order"))
-        keys, many = t.column("keys").to_pylist(), t.column("counts").to_pylist()
-        del t, parts
-        by = np.lexsort((order, bucket))
-        edges = np.r_[np.flatnonzero(np.r_[True, (bucket[by][1:] != bucket[by][:-1]) | (order[by][1:] != order[by][:-1])]), len(by)]
-        for lo, hi in zip(edges[:-1], edges[1:]):
-            rows = by[lo:hi]
-            own = [unpack(keys[i]) for i in rows]
-            flat = np.concatenate(own)
-            _, at = np.unique(flat, return_inverse=True)
-            total = np.bincount(at, weights=np.concatenate([unpack(many[i]) for i in rows]).astype(np.float64))[at].astype(np.int64)
+        for t in sorted_groups(batches, ["bucket", "gram_order"]):
+            chunk, order = t.column("chunk").to_pylist(), t.column("gram_order")[0].as_py()
+            own = [unpack(k, key_kind(order, base)) for k in t.column("keys").to_pylist()]
+            many = np.concatenate([unpack(n) for n in t.column("counts").to_pylist()]).astype(np.float64)
+            del t
+            _, at = np.unique(np.concatenate(own), return_inverse=True)
+            total = np.bincount(at, weights=many)[at].astype(np.int64)
+            del at, many
             stops = np.cumsum([len(x) for x in own])
-            for i, x, stop in zip(rows, own, stops):
+            for c, x, stop in zip(chunk, own, stops):
                 n = total[stop - len(x) : stop]
                 known = n >= least
                 if known.any():
-                    yield pa.RecordBatch.from_arrays([pa.array([chunk[i]], pa.int64()), pa.array([order[i]], pa.int32()), pa.array([pack(x[known])], pa.binary()), pa.array([pack(n[known])], pa.binary())], ["chunk", "gram_order", "keys", "totals"])
+                    yield pa.RecordBatch.from_arrays([pa.array([c], pa.int64()), pa.array([order], pa.int32()), pa.array([pack(x[known])], pa.binary()), pa.array([pack(n[known])], pa.binary())], ["chunk", "gram_order", "keys", "totals"])
 
-    return counts.repartition("bucket").mapInArrow(run, "chunk long, gram_order int, keys binary, totals binary")
+    dealt = counts.repartition(buckets, "bucket").sortWithinPartitions("bucket", "gram_order")
+    return dealt.mapInArrow(run, "chunk long, gram_order int, keys binary, totals binary")
 
 
 def looked_up(keys: np.ndarray, known: np.ndarray, totals: np.ndarray, unknown: int = 0) -> np.ndarray:
@@ -181,7 +200,7 @@ def place_scores(ids: np.ndarray, sizes: np.ndarray, single: np.ndarray, total:
     history = single[ids.astype(np.int64)]
     for order in range(2, top + 1):
         keys, ends = gram_keys(ids, sizes, order, base)
-        counts = looked_up(keys, *tables.get(order, (np.zeros(0, np.uint64), np.zeros(0))), unknown)
+        counts = looked_up(keys, *tables.get(order, (keys[:0], np.zeros(0))), unknown)
         seen = counts > 0
         score[ends] += np.log(alpha)  # one more word of history given up, unless this order is known
         score[ends[seen]] = np.log(counts[seen] / history[ends[seen] - 1])
@@ -190,21 +209,20 @@ def place_scores(ids: np.ndarray, sizes: np.ndarray, single: np.ndarray, total:
     return score
 
 
-def backoff_scores(docs: DataFrame, vocabulary: str, top: int = 3, least: int = 2, alpha: float = 0.4, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def backoff_scores(docs: DataFrame, vocabulary: str, top: int = 3, least: int = 1, alpha: float = 0.4, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """id, n_tokens, log_score (sum over the places), mean_log_score (null without ids) of every row of docs.
 
     Null and empty texts have no ids and log_score 0. Rows with one id are scored each by itself. top: longest n-gram
-    (up to 4); n-grams counted less than least times are given up, single ids never. An n-gram of a text that is counted
-    once in the corpus has no need to come back to its chunk: with least = 1 what does not come back counts 1.
+    (as long as 128 bits hold it: 8 for vocabularies of up to 65,536); with least above 1, n-grams counted less often are
+    given up, single ids never. An n-gram of a text that is counted once in the corpus has no need to come back to its
+    chunk: with least = 1 what does not come back counts 1.
     """
     spark = docs.sparkSession
     table = cut(token_table(docs, vocabulary, id_col, text_col), "tokens")
     base = len(compiled(read_vocabulary(vocabulary), True).labels)
-    if base**top >= 1 << 63:
-        raise ValueError("n-grams of this order do not fit into 64 bits")
+    key_kind(top, base)
 
     def singles(batches):
-        release()
         sums = np.zeros(base, np.int64)
         for _, ids, _ in _rows(batches):
             sums += np.bincount(ids.astype(np.int64), minlength=base)
@@ -218,7 +236,7 @@ def backoff_scores(docs: DataFrame, vocabulary: str, top: int = 3, least: int =
     total = int(single.sum())
     held = spark.sparkContext.broadcast(single)
     buckets = 1 + total // BUCKET_TOKENS
-    found = corpus_totals(chunk_counts(table, range(2, top + 1), base, buckets), max(least, 2))
+    found = corpus_totals(chunk_counts(table, range(2, top + 1), base, buckets), max(least, 2), buckets, base)
 
     def score(left: pa.Table, right: pa.Table) -> pa.Table:
         tables = {}
@@ -226,7 +244,7 @@ def backoff_scores(docs: DataFrame, vocabulary: str, top: int = 3, least: int =
         keys, totals = right.column("keys").to_pylist(), right.column("totals").to_pylist()
         for order in np.unique(orders):
             rows = np.flatnonzero(orders == order)
-            k, n = (np.concatenate([unpack(x[i]) for i in rows]) for x in (keys, totals))
+            k, n = np.concatenate([unpack(keys[i], key_kind(int(order), base)) for i in rows]), np.concatenate([unpack(totals[i]) for i in rows])
             k, first = np.unique(k, return_index=True)  # a chunk read in two parts has asked twice
             tables[int(order)] = (k, n[first])
         del keys, totals

@@ -1,19 +1,25 @@
 """Byte-pair encoding by a deterministic automaton, and decoding by its arc labels.
 
-A state of the automaton is the last token read; an arc says which token may follow. It is built by one gadget for each
-merge u v -> w, in the order of the merges: arcs for w are added wherever u could be entered, w's state takes the exits
-that v's state has at that moment, and the arc v leaves u's state. What remains after all gadgets accepts, of all ways
-to spell a word in tokens, only the one that the merges produce. Written out, the arcs of 50,000 states would be
-50,000 x 50,000 bits, so a gadget is kept as three table entries (entered as, exits as, arc cut), and an arc is looked
-up by going back through the gadgets; arcs once looked up stay in a transition table.
-
-Encoding walks a word from left to right: from each position the token trie (a table of byte transitions) offers the
-tokens that start there, and the arc from the state decides. Words come from the tokenizer's own splitting rule.
+First an automaton over tokens. A state is the last token read; an arc says which token may follow. It is built by one
+gadget for each merge u v -> w, in the order of the merges: arcs for w are added wherever u could be entered, w's state
+takes the exits that v's state has at that moment, and the arc v leaves u's state. What remains after all gadgets accepts,
+of all ways to spell a word in tokens, only the one that the merges produce. Written out, the arcs of 50,000 states would
+be 50,000 x 50,000 bits, so a gadget is kept as three table entries (entered as, exits as, arc cut), and an arc is looked up
+by going back through the gadgets.
+
+Then an automaton over bytes, made deterministic from the first and the trie of the tokens' spellings. Its state stands for
+all ways in which the word may go on: the pairs (last token so far, place in the trie since). Every prefix of a word has one
+valid spelling, so that of the tokens that a byte completes just one may follow its pair's token: it is the arc's label, the
+last token of the prefix. Encoding is one table look-up per byte, without going back; the labels are then read from the
+word's end. The table is compiled once, on the driver, for all prefixes of all tokens, and broadcast. Arcs beyond (words that
+no token starts with can be of any length, and so can the states they need) are added by the worker that meets them, up to
+a limit, at which it returns to the compiled table.
+
+Words come from the tokenizer's own splitting rule.
 """
 
 from __future__ import annotations
 
-import gc
 import hashlib
 import json
 import re
@@ -45,16 +51,21 @@ def splitting_rule() -> re.Pattern:
     return re.compile(f"{short}| ?[{letters}]+| ?[{numbers}]+| ?[^{space}{letters}{numbers}]+|[{space}]+(?![^{space}])|[{space}]+")
 
 
+#: Labels take this many bits of a table entry.
+LABEL_BITS = 24
+_LABEL = (1 << LABEL_BITS) - 1
+
+
 class TokenAutomaton:
     """merges: pairs of token ids and the id of the token they make, in order. base: id of each symbol (a byte)."""
 
-    def __init__(self, spelling: list[bytes], base: list[int], merges: list[tuple[int, int, int]]):
+    def __init__(self, spelling: list[bytes], base: list[int], merges: list[tuple[int, int, int]], most_extra: int = 200_000):
         n = len(spelling)
-        self.spelling = spelling
+        self.spelling, self.most_extra = spelling, most_extra
+        self.sizes = [len(x) for x in spelling]
         self.born = [0] * n
         self.enters_as, self.exits_as = list(range(n)), list(range(n))
         self.cut_at: dict[int, int] = {}
-        self.arcs: dict[int, bool] = {}
         self.size = n
         self.trie: dict[int, int] = {}
         self.token_at: list[int] = [-1]
@@ -62,6 +73,73 @@ class TokenAutomaton:
             self._spell(token)
         for number, (u, v, w) in enumerate(merges, 1):
             self._gadget(number, u, v, w)
+        self.inner = {key >> 8 for key in self.trie}  # trie nodes from which a byte leads on
+        self.states: list[tuple[int, ...]] = []
+        self.number: dict[tuple[int, ...], int] = {}
+        self.table: dict[int, int] = {}
+        self._state((0,))  # before the first byte: no last token (0, tokens count from 1), at the trie's root
+        self._compile()
+
+    def _compile(self) -> None:
+        """Arcs for every prefix of every token, walking the trie from its root."""
+        children: dict[int, list[tuple[int, int]]] = {}
+        for key, node in self.trie.items():
+            children.setdefault(key >> 8, []).append((key & 255, node))
+        todo = [(0, 0)]
+        while todo:
+            node, state = todo.pop()
+            for byte, child in children.get(node, ()):
+                todo.append((child, self._extend(state, byte) >> LABEL_BITS))
+        self.compiled_states, self.compiled_arcs = len(self.states), len(self.table)
+        self._base = dict(self.table)
+
+    def __getstate__(self):
+        own = dict(self.__dict__)
+        del own["_base"], own["number"], own["inner"]
+        own["table"] = tuple(np.fromiter(x, np.int64, self.compiled_arcs) for x in (self._base, self._base.values()))
+        own["states"] = self.states[: self.compiled_states]
+        return own
+
+    def __setstate__(self, own):
+        self.__dict__.update(own)
+        keys, values = own["table"]
+        self._base = dict(zip(keys.tolist(), values.tolist()))
+        self.inner = {key >> 8 for key in self.trie}
+        self._reset()
+
+    def _reset(self) -> None:
+        """Back to the compiled arcs."""
+        del self.states[self.compiled_states :]
+        self.table, self.number = dict(self._base), {pairs: i for i, pairs in enumerate(self.states)}
+
+    def _state(self, pairs: tuple[int, ...]) -> int:
+        found = self.number.get(pairs)
+        if found is None:
+            found = self.number[pairs] = len(self.states)
+            self.states.append(pairs)
+        return found
+
+    def _extend(self, state: int, byte: int) -> int:
+        """Make the arc of a state under a byte: its entry is the next state and the label."""
+        alive, label = [], -1
+        for pair in self.states[state]:
+            last, node = pair >> 32, pair & 0xFFFFFFFF
+            node = self.trie.get(node << 8 | byte)
+            if node is None:
+                continue
+            token = self.token_at[node]
+            if token >= 0 and (not last or self.arc(last - 1, token)):
+                label = token
+            if node in self.inner:
+                alive.append(last << 32 | node)
+        if label < 0:
+            raise ValueError(f"the vocabulary has no token for byte {byte}")
+        alive.append(label + 1 << 32)
+        if len(self.states) - getattr(self, "compiled_states", len(self.states)) > self.most_extra:
+            self._reset()
+            return self._state(tuple(alive)) << LABEL_BITS | label
+        entry = self.table[state << 8 | byte] = self._state(tuple(alive)) << LABEL_BITS | label
+        return entry
 
     def _gadget(self, number: int, u: int, v: int, w: int) -> None:
         self.born[w], self.enters_as[w], self.exits_as[w] = number, u, v
@@ -79,13 +157,6 @@ class TokenAutomaton:
 
     def arc(self, a: int, b: int) -> bool:
         """Whether token b may follow token a."""
-        key = a * self.size + b
-        known = self.arcs.get(key)
-        if known is None:
-            known = self.arcs[key] = self._look_up(a, b)
-        return known
-
-    def _look_up(self, a: int, b: int) -> bool:
         born, before = self.born, 1 << 60  # only gadgets with a smaller number have been applied
         while True:
             if self.cut_at.get(a * self.size + b, before) < before:
@@ -100,45 +171,21 @@ class TokenAutomaton:
                 a = self.exits_as[a]
 
     def encode_word(self, word: bytes) -> list[int]:
-        """Run along the word, the longest token first; where no arc leads on, go back and take the next shorter one.
-
-        As a prefix has one valid spelling, no position is reached twice, and the steps are bounded by the word's length
-        times that of the longest token.
-        """
-        n, trie, token_at, arcs, size = len(word), self.trie, self.token_at, self.arcs, self.size
-        path: list[int] = []
-        choices: list[list[tuple[int, int]]] = []
-        at, state = 0, -1
-        starts: list[int] = []
-        while at < n:
-            node, i, here = 0, at, []
-            while i < n:
-                node = trie.get(node << 8 | word[i])
-                if node is None:
-                    break
-                i += 1
-                if token_at[node] >= 0:
-                    here.append((token_at[node], i))
-            while True:
-                while here:
-                    token, end = here.pop()
-                    if state >= 0:
-                        ok = arcs.get(state * size + token)
-                        if ok is None:
-                            ok = self.arc(state, token)
-                        if not ok:
-                            continue
-                    break
-                else:
-                    here, at = choices.pop(), starts.pop()
-                    path.pop()
-                    state = path[-1] if path else -1
-                    continue
-                break
-            choices.append(here)
-            starts.append(at)
+        """One look-up per byte; then the last token of each prefix, from the whole word back to its start."""
+        get, state, last = self.table.get, 0, []
+        for byte in word:
+            entry = get(state << 8 | byte)
+            if entry is None:
+                entry = self._extend(state, byte)
+                get = self.table.get
+            state = entry >> LABEL_BITS
+            last.append(entry & _LABEL)
+        path, at = [], len(last)
+        while at:
+            token = last[at - 1]
             path.append(token)
-            at, state = end, token
+            at -= self.sizes[token]
+        path.reverse()
         return path
 
 
@@ -165,6 +212,13 @@ class ByteBpe:
         self._library = None
         self.source = source
 
+    def __getstate__(self):
+        return self.__dict__ | {"_library": None, "words": self.words.most}
+
+    def __setstate__(self, own):
+        self.__dict__.update(own)
+        self.words = _Words(self.automaton, own["words"])
+
     def _split(self, text: str) -> list[str]:
         if not _BEYOND.search(text):
             return self.rule.findall(text)
@@ -200,8 +254,6 @@ class _Words(dict):
     def __missing__(self, word: str) -> bytes:
         if len(self) >= self.most:
             self.clear()
-        if len(self.automaton.arcs) > 2 * self.most:
-            self.automaton.arcs.clear()
         wire = self.wire
         made = b"".join([wire[t] for t in self.automaton.encode_word(word.encode("utf-8", "surrogatepass"))])
         if len(word) <= 64:
@@ -211,15 +263,13 @@ class _Words(dict):
 
 @lru_cache(maxsize=4)
 def compiled(source: str, specials_are_text: bool = False) -> ByteBpe:
-    """One automaton per worker process, whatever the number of tasks."""
+    """The compiled automaton of a vocabulary, made once per driver."""
     return ByteBpe(source, specials_are_text)
 
 
-def release() -> None:
-    """Let go of compiled automata and their word tables in this worker, before a stage that needs the memory for arrays."""
-    if compiled.cache_info().currsize:
-        compiled.cache_clear()
-        gc.collect()
+def sent(spark, vocabulary: str, specials_are_text: bool = False):
+    """The compiled automaton of the vocabulary file as a broadcast variable; its size does not depend on the data."""
+    return spark.sparkContext.broadcast(compiled(read_vocabulary(vocabulary), specials_are_text))
 
 
 def read_vocabulary(path: str) -> str:
@@ -230,16 +280,16 @@ def read_vocabulary(path: str) -> str:
 def encode_digests(docs, vocabulary: str, id_col: str = "doc_id", text_col: str = "text"):
     """id, n_tokens, ids_sha256 and decoded_sha256 of every whole text. Null is empty: no tokens, digests of nothing.
 
-    vocabulary: path of the JSON file, read by the driver and broadcast (its size does not depend on the data).
+    vocabulary: path of the JSON file, read and compiled by the driver.
     """
     from pyspark.sql import functions as F
 
-    held = docs.sparkSession.sparkContext.broadcast(read_vocabulary(vocabulary))
+    held = sent(docs.sparkSession, vocabulary)
 
     def run(batches):
         import pyarrow as pa
 
-        bpe = compiled(held.value)
+        bpe = held.value
         for batch in (b.slice(i, 500) for b in batches for i in range(0, b.num_rows, 500)):
             rows = []
             for text in batch.column("text").to_pylist():
@@ -259,10 +309,10 @@ def encode_texts(docs, vocabulary: str, text_col: str = "text", out_col: str = "
     import pandas as pd
     from pyspark.sql import functions as F
 
-    held = docs.sparkSession.sparkContext.broadcast(read_vocabulary(vocabulary))
+    held = sent(docs.sparkSession, vocabulary)
 
     def run(batches: Iterator[pd.Series]) -> Iterator[pd.Series]:
-        bpe = compiled(held.value)
+        bpe = held.value
         for texts in batches:
             yield pd.Series([np.frombuffer(bpe.encode(t or ""), "<u4").astype(np.int32) for t in texts])
 
@@ -277,10 +327,10 @@ def decode_texts(docs, vocabulary: str, ids_col: str = "token_ids", out_col: str
     import pandas as pd
     from pyspark.sql import functions as F
 
-    held = docs.sparkSession.sparkContext.broadcast(read_vocabulary(vocabulary))
+    held = sent(docs.sparkSession, vocabulary)
 
     def run(batches: Iterator[pd.Series]) -> Iterator[pd.Series]:
-        bpe = compiled(held.value)
+        bpe = held.value
         for lists in batches:
             yield pd.Series(["" if x is None else bpe.decode(np.asarray(x, "<u4").tobytes()) for x in lists])
 

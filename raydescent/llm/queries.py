@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from raydescent.llm.common import table
+from raydescent.llm.common import new_folder, table
 from raydescent.llm.oracles import ORACLES  # noqa: F401
 
 
@@ -16,12 +16,14 @@ def op2_nn_descent(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op3_separator_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """documents as flat streams of the byte-level vocabulary with its end-of-text id, then counted by the scan."""
-    from raydescent.llm.separator_scan import count_tokens, flat_stream
+    """documents written as flat files of the byte-level vocabulary with its end-of-text id, then counted by the scan."""
+    from raydescent.llm.separator_scan import count_tokens, flat_files, write_flat
 
-    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
-    counted = count_tokens(flat_stream(docs, tokenizer("byte_bpe_50k.json"), 50_256), 50_256)
-    return counted.select(F.col("receipt").alias("doc_id"), "n_tokens")
+    folder = new_folder(spark, "flat")
+    written = write_flat(table(spark, sf_dir, "documents").select("doc_id", "text"), tokenizer("byte_bpe_50k.json"), 50_256, folder)
+    counted = count_tokens(flat_files(spark, f"{folder}/*.bin"), 50_256)
+    named = counted.withColumn("stream", F.substring_index("stream", "/", -1)).join(written, ["stream", "number"])
+    return named.select(F.col("id").alias("doc_id"), "n_tokens")
 
 
 def op4_bpe_automaton(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -74,7 +76,7 @@ def op8_histogram_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
 def op9_stupid_backoff(spark: SparkSession, sf_dir: str) -> DataFrame:
     from raydescent.llm.backoff_lm import backoff_scores
 
-    return backoff_scores(table(spark, sf_dir, "documents").select("doc_id", "text"), tokenizer("byte_bpe_50k.json"), least=1)
+    return backoff_scores(table(spark, sf_dir, "documents").select("doc_id", "text"), tokenizer("byte_bpe_50k.json"))
 
 
 def op10_language_bayes(spark: SparkSession, sf_dir: str) -> DataFrame:

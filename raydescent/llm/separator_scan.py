@@ -8,69 +8,99 @@ block its place in the file, the last end before it and the number of documents
 
 from __future__ import annotations
 
+import re
+import uuid
+
 import numpy as np
 import pyarrow as pa
-from pyspark import TaskContext
+from pyarrow import fs
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from raydescent.llm.bpe_automaton import compiled, read_vocabulary
+from raydescent.llm.bpe_automaton import sent
 from raydescent.llm.common import cut
 
 BLOCK_TOKENS = 1 << 16
 CHUNK_BLOCKS = 1024
+#: Bytes of a file that one row of the reading plan stands for, about.
+RANGE_BYTES = 16 << 20
+RECEIPT_DOCS = 1024
+
+
+def opened(path: str) -> tuple[fs.FileSystem, str]:
+    """The file system of a path as Spark writes it, and the path in it."""
+    if path.startswith("file:") or "://" not in path:
+        return fs.LocalFileSystem(), re.sub("^file:/*", "/", path)
+    return fs.FileSystem.from_uri(path)
 
 
 def flat_files(spark: SparkSession, path: str, width: int = 2, block_tokens: int = BLOCK_TOKENS) -> DataFrame:
-    """Blocks (stream, block, payload) of the flat files at path, ids of width bytes. Read by Spark's binaryFile source:
-    a file may have 2 GB at most, larger streams are kept as several files."""
+    """Blocks (stream, block, payload) of the flat files at path, ids of width bytes.
+
+    Spark lists the files and their sizes; ranges of them, of any file size, are then dealt to tasks, which open the
+    file at the range's offset. A file that does not hold whole ids ends the run with an error; an empty one has no blocks.
+    """
+    step = block_tokens * width
+    span = max(1, RANGE_BYTES // step) * step
+    files = spark.read.format("binaryFile").load(path).select("path", "length").where("length > 0")
+    ranges = files.select("path", "length", F.explode(F.sequence(F.lit(0).cast("long"), F.col("length") - 1, F.lit(span).cast("long"))).alias("first"))
+    many = files.agg(F.sum(F.ceil(F.col("length") / span))).first()[0] or 1
 
     def run(batches):
         for batch in batches:
-            for name, body in zip(batch.column("path").to_pylist(), batch.column("content").to_pylist()):
-                step = block_tokens * width
-                if len(body) % width:
+            for name, length, first in zip(*(batch.column(c).to_pylist() for c in ("path", "length", "first"))):
+                if length % width:
                     raise ValueError(f"{name} does not hold whole ids of {width} bytes")
-                for number, at in enumerate(range(0, len(body), step)):
-                    yield pa.RecordBatch.from_arrays([pa.array([name]), pa.array([number], pa.int64()), pa.array([body[at : at + step]], pa.binary())], ["stream", "block", "payload"])
+                store, place = opened(name)
+                with store.open_input_file(place) as f:
+                    f.seek(first)
+                    for at in range(first, min(first + span, length), step):
+                        body = f.read(min(step, length - at))
+                        if len(body) != min(step, length - at):
+                            raise OSError(f"{name} has become shorter")
+                        yield pa.RecordBatch.from_arrays([pa.array([name]), pa.array([at // step], pa.int64()), pa.array([body], pa.binary())], ["stream", "block", "payload"])
 
-    return spark.read.format("binaryFile").load(path).select("path", "content").mapInArrow(run, "stream string, block long, payload binary")
+    return ranges.repartition(int(many)).mapInArrow(run, "stream string, block long, payload binary")
 
 
-def flat_stream(docs: DataFrame, vocabulary: str, end_id: int, id_col: str = "doc_id", text_col: str = "text", block_tokens: int = BLOCK_TOKENS) -> DataFrame:
-    """The texts of docs as flat streams, one per input partition: stream, block, payload (16-bit ids, or 32-bit ones if
-    the vocabulary is larger), and receipt: the ids of the rows whose end went into the block. Special tokens in a text
-    are ordinary text, so that no text holds the end id; null is empty."""
-    held = docs.sparkSession.sparkContext.broadcast(read_vocabulary(vocabulary))
+def write_flat(docs: DataFrame, vocabulary: str, end_id: int, folder: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """Write the texts of docs as flat files into folder, one per input partition, and return (stream, number, id): which
+    row is the number-th document of which file. Ids have 16 bits, or 32 if the vocabulary is larger. Special tokens in a
+    text are ordinary text, so that no text holds the end id; null is empty.
 
-    def run(batches):
-        bpe, stream = compiled(held.value, True), str(TaskContext.get().partitionId())
-        width = id_width(max(len(bpe.labels), end_id + 1))
-        end, step = np.array([end_id], f"<u{width}").tobytes(), block_tokens * width
-        open_, block, receipt = bytearray(), 0, []
+    A task that is run again writes another file; only the files that the returned (written) table names are whole.
+    """
+    held = sent(docs.sparkSession, vocabulary, True)
+    width = id_width(max(len(held.value.labels), end_id + 1))
+    end = np.array([end_id], f"<u{width}").tobytes()
 
-        def row(payload, ids):
-            kinds = (pa.string(), pa.int64(), pa.binary(), pa.list_(pa.int64()))
-            return pa.RecordBatch.from_arrays([pa.array([x], k) for x, k in zip((stream, block, payload, ids), kinds)], ["stream", "block", "payload", "receipt"])
+    def row(name, first, ids):
+        kinds = (pa.string(), pa.int64(), pa.list_(pa.int64()))
+        return pa.RecordBatch.from_arrays([pa.array([x], k) for x, k in zip((name, first, ids), kinds)], ["stream", "first", "ids"])
 
+    def run(batches):
+        bpe, name, out, number, receipt = held.value, f"{uuid.uuid4().hex}.bin", None, 0, []
         for batch in batches:
             for doc, text in zip(batch.column("id").to_pylist(), batch.column("text").to_pylist()):
-                open_ += np.frombuffer(bpe.encode(text or ""), "<u4").astype(f"<u{width}").tobytes() + end
-                done = 0
-                while len(open_) - done > step:
-                    yield row(bytes(open_[done : done + step]), receipt)
-                    block, receipt, done = block + 1, [], done + step
-                del open_[:done]
+                if out is None:
+                    store, place = opened(folder)
+                    store.create_dir(place, recursive=True)
+                    out = store.open_output_stream(f"{place}/{name}")
+                out.write(np.frombuffer(bpe.encode(text or ""), "<u4").astype(f"<u{width}").tobytes() + end)
                 receipt.append(doc)
-                if len(open_) == step:
-                    yield row(bytes(open_), receipt)
-                    block, receipt, open_ = block + 1, [], bytearray()
-        if open_:
-            yield row(bytes(open_), receipt)
+                number += 1
+                if len(receipt) == RECEIPT_DOCS:
+                    yield row(name, number - len(receipt), receipt)
+                    receipt = []
+        if out is not None:
+            out.close()
+        if receipt:
+            yield row(name, number - len(receipt), receipt)
 
     rows = docs.select(F.col(id_col).cast("long").alias("id"), F.col(text_col).alias("text"))
-    return rows.mapInArrow(run, "stream string, block long, payload binary, receipt array<long>")
+    receipts = cut(rows.mapInArrow(run, "stream string, first long, ids array<long>"), "receipts")
+    return receipts.select("stream", "first", F.posexplode("ids").alias("_i", "id")).select("stream", (F.col("first") + F.col("_i")).alias("number"), "id")
 
 
 def id_width(vocabulary_size: int) -> int:
@@ -78,8 +108,7 @@ def id_width(vocabulary_size: int) -> int:
 
 
 def scan_blocks(blocks: DataFrame, end_id: int, width: int = 2) -> DataFrame:
-    """stream, block, n_tokens, ends (places of the end id in the block) and a receipt if blocks has one."""
-    carried = ["receipt"] if "receipt" in blocks.columns else []
+    """stream, block, n_tokens, ends (places of the end id in the block)."""
 
     def run(batches):
         for batch in batches:
@@ -88,11 +117,9 @@ def scan_blocks(blocks: DataFrame, end_id: int, width: int = 2) -> DataFrame:
                 ids = np.frombuffer(payload or b"", f"<u{width}")
                 n.append(len(ids))
                 ends.append(np.flatnonzero(ids == end_id))
-            kept = [batch.column(c) for c in ("stream", "block", *carried)]
-            yield pa.RecordBatch.from_arrays([*kept, pa.array(n, pa.int64()), pa.array(ends, pa.list_(pa.int64()))], ["stream", "block", *carried, "n_tokens", "ends"])
+            yield pa.RecordBatch.from_arrays([batch.column("stream"), batch.column("block"), pa.array(n, pa.int64()), pa.array(ends, pa.list_(pa.int64()))], ["stream", "block", "n_tokens", "ends"])
 
-    kept = ", receipt array<long>" if carried else ""
-    return blocks.select("stream", "block", *carried, "payload").mapInArrow(run, f"stream string, block long{kept}, n_tokens long, ends array<long>")
+    return blocks.select("stream", "block", "payload").mapInArrow(run, "stream string, block long, n_tokens long, ends array<long>")
 
 
 def stitch(scanned: DataFrame) -> DataFrame:
@@ -115,21 +142,20 @@ def stitch(scanned: DataFrame) -> DataFrame:
 
 
 def document_lengths(scanned: DataFrame) -> DataFrame:
-    """One row per document: stream, number (from 0), start, n_tokens (without the end id), ended, and receipt.
+    """One row per document: stream, number (from 0), start, n_tokens (without the end id), ended.
 
     Ids after a stream's last end are a last document with ended false; an empty stream has no documents.
     """
     rows = stitch(scanned)
-    carried = ["receipt"] if "receipt" in scanned.columns else []
     places = F.transform("ends", lambda e: e + F.col("at"))
     froms = F.concat(F.array("prior"), places)
-    zipped = F.arrays_zip(places.alias("stop"), froms.alias("from"), *[F.col(c) for c in carried])
+    zipped = F.arrays_zip(places.alias("stop"), froms.alias("from"))
     ended = rows.where(F.size("ends") > 0).select("stream", "documents", F.posexplode(zipped).alias("_i", "_d")).where("_d.stop IS NOT NULL")
     start = F.col("_d.from") + 1
-    out = ended.select("stream", (F.col("documents") + F.col("_i")).alias("number"), start.alias("start"), (F.col("_d.stop") - start).alias("n_tokens"), F.lit(True).alias("ended"), *[F.col("_d")[c].alias(c) for c in carried])
+    out = ended.select("stream", (F.col("documents") + F.col("_i")).alias("number"), start.alias("start"), (F.col("_d.stop") - start).alias("n_tokens"), F.lit(True).alias("ended"))
     total = rows.groupBy("stream").agg(F.max(F.col("at") + F.col("n_tokens")).alias("n"), F.max(F.when(F.size("ends") > 0, F.col("at") + F.element_at("ends", -1))).alias("last"), F.max(F.col("documents") + F.size("ends")).alias("number"))
     after = F.coalesce("last", F.lit(-1)) + 1
-    tail = total.where(F.col("n") > after).select("stream", "number", after.alias("start"), (F.col("n") - after).alias("n_tokens"), F.lit(False).alias("ended"), *[F.lit(None).cast("long").alias(c) for c in carried])
+    tail = total.where(F.col("n") > after).select("stream", "number", after.alias("start"), (F.col("n") - after).alias("n_tokens"), F.lit(False).alias("ended"))
     return out.union(tail)
 
 
