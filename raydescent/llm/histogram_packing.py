@@ -11,6 +11,7 @@ ranked within their part, and the parts of a length are added up, so that a leng
 from __future__ import annotations
 
 import json
+import math
 import os
 import re
 import zlib
@@ -26,13 +27,16 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from raydescent.llm.bpe_automaton import latin_class, read_vocabulary
-from raydescent.llm.common import cut
+from raydescent.llm.common import BROADCAST_ROWS, cut
 
 #: Characters below U+0180 keep to that range when lower-cased, but for U+0130, and are their own normal form.
 _SLOW = re.compile("[^\u0000-\u012f\u0131-\u017f]")
 
-#: Rows of one length that are ranked in one place, about.
-PART_ROWS = 2_000
+
+def rank_parts(n: int) -> int:
+    """In how many parts n pieces of one length are ranked: a quarter of the root, so that neither the rows of a part nor
+    the parts of a length are many."""
+    return 1 + math.isqrt(n) // 4
 
 
 def plan_slots(histogram: dict[int, int], capacity: int) -> list[tuple[int, int, int, int, int]]:
@@ -158,23 +162,25 @@ def pack_lengths(pieces: DataFrame, capacity: int = 4096) -> DataFrame:
     spark = pieces.sparkSession
     counts = {r["length"]: r["n"] for r in pieces.groupBy("length").agg(F.count("*").alias("n")).collect()}  # at most capacity rows
     slots = plan_slots(counts, capacity)
-    parts = 1 + max(counts.values(), default=0) // PART_ROWS
-    dealt = pieces.withColumn("_part", F.pmod(F.xxhash64("_row", "piece"), F.lit(parts)).cast("int"))
+    widths = {x: max(1, counts[x] // n) for x, n in Counter(x[0] for x in slots).items()}
+    per_length = spark.createDataFrame([(x, rank_parts(n), widths[x]) for x, n in counts.items()], "_wl long, _parts int, _width long")
+    dealt = pieces.join(F.broadcast(per_length), F.col("length") == F.col("_wl"))  # at most capacity rows
+    dealt = dealt.withColumn("_part", F.pmod(F.xxhash64("_row", "piece"), F.col("_parts")).cast("int"))
     sizes = dealt.groupBy("length", "_part").agg(F.count("*").alias("_n"))
     before = Window.partitionBy("length").orderBy("_part").rowsBetween(Window.unboundedPreceding, -1)
     bases = sizes.select(F.col("length").alias("_l"), F.col("_part").alias("_p"), F.coalesce(F.sum("_n").over(before), F.lit(0)).alias("_base"))
     own = Window.partitionBy("length", "_part").orderBy("_row", "piece")
     ranked = dealt.withColumn("_rank", F.row_number().over(own) - 1)
     ranked = ranked.join(bases, (F.col("length") == F.col("_l")) & (F.col("_part") == F.col("_p"))).withColumn("_rank", F.col("_rank") + F.col("_base"))
-    # The plan is as long as best fit has steps: that depends on the lengths that occur, not on how many pieces there are.
-    # Ranks of a length go by stretches of equal width, so that a piece meets the few slots of its stretch alone.
-    widths = {x: max(1, counts[x] // n) for x, n in Counter(x[0] for x in slots).items()}
+    # The plan is as long as best fit has steps: that depends on the lengths that occur, and hardly on how many pieces there
+    # are; it is broadcast if it is short enough. Ranks of a length go by stretches of equal width, so that a piece meets
+    # the few slots of its stretch alone.
     cells = [(s[0], b, *s[1:]) for s in slots for b in range(s[1] // widths[s[0]], (s[1] + s[2] - 1) // widths[s[0]] + 1)]
     plan = spark.createDataFrame(cells, "_len long, _stretch long, _from long, _many long, _first long, offset long")
-    width = spark.createDataFrame(list(widths.items()), "_wl long, _width long")
-    ranked = ranked.join(F.broadcast(width), F.col("length") == F.col("_wl")).withColumn("_at", F.floor(F.col("_rank") / F.col("_width")))
+    plan = F.broadcast(plan) if len(cells) <= BROADCAST_ROWS else plan
+    ranked = ranked.withColumn("_at", F.floor(F.col("_rank") / F.col("_width")))
     met = (F.col("length") == F.col("_len")) & (F.col("_at") == F.col("_stretch"))
-    taken = ranked.join(F.broadcast(plan), met & (F.col("_rank") >= F.col("_from")) & (F.col("_rank") < F.col("_from") + F.col("_many")))
+    taken = ranked.join(plan, met & (F.col("_rank") >= F.col("_from")) & (F.col("_rank") < F.col("_from") + F.col("_many")))
     return taken.select(*pieces.columns, (F.col("_first") + F.col("_rank") - F.col("_from")).alias("sequence_id"), "offset")
 
 
