@@ -67,6 +67,32 @@ def test_trie_keeps_every_string(keys):
     assert sorted((k, n) for k, _, n, _ in trie.items()) == sorted(Counter(keys).items())
 
 
+def test_trie_spills_leaves_and_keeps_one_long_string():
+    from raydescent.llm.patricia_dedup import PatriciaTrie
+
+    rng = random.Random(2)
+    keys = [bytes([c]) * 500 + bytes(rng.choices(b"xy", k=5)) for c in range(40)] + [b"p" * 5000, b"p" * 5000 + b"q" * 9000, b"p" * 4999]
+    trie = PatriciaTrie(2_000)
+    for i, k in enumerate(keys * 3):
+        trie.insert(k, i)
+        assert trie.held < 2_000 + 9_500 + 43 * 700  # what one string and the first bytes of the others take
+    assert sorted((k, o, n) for k, o, n, _ in trie.items()) == sorted((k, i, 3) for i, k in enumerate(keys))
+    alone = PatriciaTrie(10)
+    alone.insert(b"z" * 1000, 1)
+    alone.insert(b"z" * 1000, 0)
+    assert list(alone.items()) == [(b"z" * 1000, 0, 2, 1)]
+
+
+def test_exact_dedup_keeps_columns_of_its_own_names(spark, odd):
+    from raydescent.llm.patricia_dedup import exact_dedup
+
+    names = {"lang": "kept", "source": "group_size", "n_chars": "text_sha256"}
+    docs = odd.selectExpr("*", "'k' AS keep_id", "'t' AS _ties", "map('a', 1) AS m", "'dot' AS `a.b`", "1 AS _f", "2 AS _jk").withColumnsRenamed(names)
+    got = exact_dedup(docs)
+    assert got.schema == docs.schema
+    assert got.where("kept = 'en' AND keep_id = 'k' AND _ties = 't' AND m['a'] = 1 AND _f = 1 AND _jk = 2").count() == got.count() - 1 > 5
+
+
 def test_exact_dedup(spark, odd, empty):
     from raydescent.llm.patricia_dedup import assign_owners, exact_dedup
 
@@ -112,9 +138,84 @@ def test_urls(spark):
     assert judge_urls(pages, labels.limit(0), rules=(UrlRule.parse("block x.com/"),)).where("verdict = 'block'").count() == 2
 
 
+def test_domains_of_odd_hosts(spark):
+    from pyspark.sql import functions as F
+
+    from raydescent.llm.url_reputation import domain_parts, judge_urls
+
+    hosts = {"bad.example.net:80": ("example.net", "net"), "u@x.com": ("x.com", "com"), "u:p@a.b.co.uk:8080": ("b.co.uk", "co.uk"), "a.example.com.": ("example.com", "com"), "1.2.3.4:80": ("1.2.3.4", ""), "[::1]:80": ("[::1]", ""), "[2001:db8::2]": ("[2001:db8::2]", ""), "localhost": ("localhost", "localhost"), "": ("", "")}
+    rows = spark.createDataFrame([(h,) for h in hosts], "host string")
+    domain, suffix = domain_parts(F.col("host"))
+    assert {r.host: (r.d, r.s) for r in rows.select("host", domain.alias("d"), suffix.alias("s")).collect()} == hosts
+    own, _ = domain_parts(F.col("host"), ("example.net",))
+    assert rows.where("host LIKE 'bad%'").select(own.alias("d")).first().d == "bad.example.net"
+    pages = spark.createDataFrame([(i, f"http://h{i % 9}.spam.net:{80 + i % 3}/") for i in range(300)] + [(900, "http://new.spam.net:99/"), (901, "http://q.fine.org:99/")], "page_id long, url string")
+    labels = spark.createDataFrame([(i, 0) for i in range(300)], "page_id long, good int")
+    got = {r.page_id: r for r in judge_urls(pages, labels).collect()}
+    assert got[900].verdict == "block" and got[900].host == "new.spam.net:99"  # its domain's ports are one domain
+    assert all(0 <= r.good_upper <= 1 for r in got.values())
+
+
+def test_url_filter_keeps_columns_of_its_own_names(spark):
+    from raydescent.llm.url_reputation import filter_urls
+
+    pages = spark.createDataFrame([(1, "http://a.org/x", "h", "p", "n", "u", "f")], "page_id long, url string, _host string, _path string, _pages string, _upper string, _f string")
+    assert filter_urls(pages, spark.createDataFrame([], "page_id long, good int")).collect() == pages.collect()
+
+
 # Vectors
 
 
+def test_links_are_counted_by_cells(spark, monkeypatch):
+    """A chain of crowds in one component: cells far apart are not multiplied, and no link is lost."""
+    from pyspark.sql import functions as F
+
+    from raydescent.llm import nn_descent as m
+
+    rng = np.random.default_rng(6)
+    turn = np.linspace(0, 5.5, 600)
+    x = np.column_stack([np.cos(turn), np.sin(turn), *(rng.standard_normal((6, 600)) * 0.03)])
+    x = np.vstack([x, np.repeat(x[:1], 80, axis=0) + rng.standard_normal((80, 8)) * 0.02, rng.standard_normal((30, 8))])
+    u = x / np.linalg.norm(x, axis=1, keepdims=True)
+    rows = [(i, 7 if i < 680 else 1000 + i // 2, 1 + i % 3, bytearray(v.astype("<f8").tobytes())) for i, v in enumerate(x)]
+    members = spark.createDataFrame(rows, "node long, component long, members long, raw binary").select("component", "node", "members", "raw").repartition(4).persist()
+    comp, many = np.array([r[1] for r in rows]), np.array([r[2] for r in rows])
+    met = (u @ u.T >= 0.9) & (comp[:, None] == comp[None, :]) & ~np.eye(len(rows), dtype=bool)
+    for part, pivots in ((16, 8192), (16, 3), (16, 0), (4000, 8192)):
+        monkeypatch.setattr(m, "LEAST_PART", part)
+        monkeypatch.setattr(m, "PIVOTS", pivots)
+        seen = []
+        near = m._near_cells
+        monkeypatch.setattr(m, "_near_cells", lambda *a: seen.append(near(*a)) or seen[-1])
+        got = {r.node: r.linked for r in m.count_links(members, "<f8", 0.9).collect()}
+        monkeypatch.setattr(m, "_near_cells", near)
+        assert [got.get(i, 0) for i in range(len(rows))] == (met @ many).tolist()
+        if (part, pivots) == (16, 8192):
+            cells = len({r[1] for r in seen[0]})
+            assert cells > 20 and len(seen[0]) < 0.6 * cells * cells
+    members.unpersist()
+
+
+def test_tables_grow_with_the_rows(spark):
+    """Isolated pairs at the threshold, searched with the directions that a million rows would have."""
+    from raydescent.llm.nn_descent import audited_components, block_bits, block_tables
+
+    rng = np.random.default_rng(8)
+    base = rng.standard_normal((1500, 64))
+    base /= np.linalg.norm(base, axis=1, keepdims=True)
+    side = rng.standard_normal((300, 64))
+    side -= (side * base[:300]).sum(axis=1, keepdims=True) * base[:300]
+    side /= np.linalg.norm(side, axis=1, keepdims=True)
+    x = np.vstack([base, 0.905 * base[:300] + math.sqrt(1 - 0.905**2) * side])
+    df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<double>").repartition(4)
+    bits = block_bits(1_000_000)
+    assert bits == 11 and block_tables(bits, 0.9) < block_tables(block_bits(10**9), 0.9) < 150
+    result, recall = audited_components(df, bits=bits, tables=block_tables(bits, 0.9), rounds=1)
+    assert recall >= 0.9 and result.where("n_links > 0").count() >= 2 * 300 * 0.95
+    few, low = audited_components(df, bits=bits, tables=1, rounds=0, attempts=2, least_recall=0.99)
+    assert low < 0.99 and few.where("n_links > 0").count() < 600
+
+
 def test_vectors_against_brute_force(spark):
     from raydescent.llm.nn_descent import audit_recall, vector_components
 
@@ -233,31 +334,67 @@ def test_encode_query(spark, odd, empty, library):
     assert sorted(r.text for r in back.collect()) == sorted(t or "" for _, t in texts_of(odd))
 
 
-def test_separator_scan(spark, odd, empty, library, tmp_path):
-    from raydescent.llm.separator_scan import count_tokens, flat_files, flat_stream
+def test_each_byte_is_one_look_up(library):
+    """A word costs as many look-ups as it has bytes, and arcs beyond the compiled ones are found again or made anew."""
+    import pickle
+
+    from raydescent.llm.bpe_automaton import ByteBpe, compiled, read_vocabulary
+
+    bpe = pickle.loads(pickle.dumps(compiled(read_vocabulary(BYTE))))
+    auto, asked = bpe.automaton, []
+
+    class Counted(dict):
+        def get(self, key):
+            asked.append(key)
+            return dict.get(self, key)
+
+    auto.most_extra, resets = 300, []
+    reset = auto._reset
+    auto._reset = lambda: (resets.append(1), reset())
+    assert isinstance(bpe, ByteBpe) and auto.compiled_states >= 90_000
+    rng = random.Random(9)
+    for n in range(200):
+        word = "".join(rng.choices("abcdefghijklmnopqrstuvwxyzé", k=rng.randint(1, 40)))
+        auto.table = Counted(auto.table) if n % 20 == 0 or not isinstance(auto.table, Counted) else auto.table
+        asked.clear()
+        got = auto.encode_word(word.encode())
+        assert len(asked) <= len(word.encode()) and (resets or len(asked) == len(word.encode()))
+        assert got == library.encode(word, add_special_tokens=False).ids
+    assert resets and len(auto.states) <= auto.compiled_states + 302
+
+
+def test_separator_scan(spark, odd, empty, library, tmp_path, monkeypatch):
+    from raydescent.llm import separator_scan as m
 
     library.encode_special_tokens = True
     want = sorted((i is None, i or 0, len(library.encode(t or "", add_special_tokens=False).ids)) for i, t in texts_of(odd))
     library.encode_special_tokens = False
-    for size in (7, 64, 1 << 16):
-        blocks = flat_stream(odd.where("n_chars < 1000 OR n_chars IS NULL") if size == 7 else odd, BYTE, 50_256, block_tokens=size)
-        got = count_tokens(blocks, 50_256).collect()
+    written = m.write_flat(odd.withColumnRenamed("source", "stream"), BYTE, 50_256, f"file://{tmp_path}/flat")
+    for size in (64, 1 << 16):
+        counted = m.count_tokens(m.flat_files(spark, f"file://{tmp_path}/flat/*.bin", block_tokens=size), 50_256)
+        got = counted.selectExpr("substring_index(stream, '/', -1) stream", "number", "n_tokens", "ended").join(written, ["stream", "number"]).collect()
         assert all(r.ended for r in got)
-        if size != 7:
-            assert sorted((r.receipt is None, r.receipt or 0, r.n_tokens) for r in got) == want
-    assert count_tokens(flat_stream(empty, BYTE, 50_256), 50_256).count() == 0
+        assert sorted((r.id is None, r.id or 0, r.n_tokens) for r in got) == want
+    assert m.write_flat(empty, BYTE, 50_256, f"file://{tmp_path}/none").count() == 0
     rng = np.random.default_rng(0)
     for name, n in (("a", 1000), ("b", 0), ("c", 5)):
         rng.integers(0, 9, n).astype("<u2").tofile(tmp_path / f"{name}.bin")
-    got = count_tokens(flat_files(spark, f"file://{tmp_path}/*.bin", block_tokens=16), 8).collect()
-    for name in "abc":
-        ids = np.fromfile(tmp_path / f"{name}.bin", "<u2").tolist()
-        cuts, want, start = [i for i, x in enumerate(ids) if x == 8], [], 0
-        for number, c in enumerate([*cuts, len(ids)]):
-            if c < len(ids) or start < c:
-                want.append((number, start, c - start, c < len(ids)))
-            start = c + 1
-        assert sorted((r.number, r.start, r.n_tokens, r.ended) for r in got if r.stream.endswith(f"{name}.bin")) == want
+    for span in (1 << 24, 64):  # the whole file, or ranges of two blocks
+        monkeypatch.setattr(m, "RANGE_BYTES", span)
+        blocks = m.flat_files(spark, f"file://{tmp_path}/*.bin", block_tokens=16)
+        got = m.count_tokens(blocks, 8).collect()
+        assert blocks.count() == 63 + 1
+        for name in "abc":
+            ids = np.fromfile(tmp_path / f"{name}.bin", "<u2").tolist()
+            cuts, want, start = [i for i, x in enumerate(ids) if x == 8], [], 0
+            for number, c in enumerate([*cuts, len(ids)]):
+                if c < len(ids) or start < c:
+                    want.append((number, start, c - start, c < len(ids)))
+                start = c + 1
+            assert sorted((r.number, r.start, r.n_tokens, r.ended) for r in got if r.stream.endswith(f"{name}.bin")) == want
+    (tmp_path / "odd.bin").write_bytes(b"abc")
+    with pytest.raises(Exception, match="whole ids"):
+        m.flat_files(spark, f"file://{tmp_path}/odd.bin").count()
 
 
 # Licences
@@ -477,6 +614,61 @@ def test_components_of_a_path_and_a_star(spark):
     assert connected_components(spark.createDataFrame([], "a long, b long")).count() == 0
 
 
+def test_sorted_groups_hold_a_portion_at_a_time():
+    import pyarrow as pa
+
+    from raydescent.llm.common import sorted_groups
+
+    rng = np.random.default_rng(0)
+    keys = np.sort(rng.integers(0, 300, 5000))
+    second = np.arange(5000) // 7
+    read = []
+
+    def batches():
+        for at in [0, *range(0, 5000, 61)]:
+            read.append(at)
+            size = 0 if len(read) == 1 else 61
+            yield pa.RecordBatch.from_pydict({"k": keys[at : at + size], "s": second[at : at + size], "v": np.arange(5000)[at : at + size]})
+
+    for names, least in ((["k"], 1), (["k", "s"], 1), (["k"], 200), (["k"], 10**6)):
+        read.clear()
+        seen, ends = [], []
+        for t in sorted_groups(batches(), names, least):
+            v = t.column("v").to_pylist()
+            assert least == 10**6 or len(v) < least + 100
+            assert least == 10**6 or 61 * len(read) <= v[-1] + 200  # batches stream past, nothing is read ahead
+            seen += v
+            ends.append(tuple(int(c[v[-1]]) for c in (keys, second)[: len(names)]))
+        assert seen == list(range(5000)) and len(set(ends)) == len(ends)
+        if least == 1:
+            assert len(ends) == len({tuple(int(c[i]) for c in (keys, second)[: len(names)]) for i in range(5000)})
+
+
+def test_near_copies_among_boilerplate(spark):
+    """Three thousand pages that share three quarters of their words, and a hundred planted copies."""
+    from raydescent.llm.simhash_dedup import near_dedup
+
+    rng = random.Random(21)
+    page = [f"b{i}" for i in range(300)]
+    own = lambda n: [f"w{rng.randrange(10**9)}" for _ in range(n)]
+    pages = [page + own(40) for _ in range(3000)]
+    texts = pages + [p[:-1] + own(1) if i % 2 else p[:100] + own(1) + p[101:] for i, p in enumerate(pages[:100])]
+    texts = [" ".join(t) for t in texts]
+    got = {r.doc_id for r in near_dedup(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(8), least=0.9).collect()}
+    gone = set(range(3100)) - got
+    assert len(gone & set(range(3000, 3100))) >= 95 and not gone & set(range(3000))
+
+
+def test_near_copies_of_a_table_against_brute_force(spark):
+    from raydescent.llm.simhash_dedup import near_dedup
+
+    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
+    rows = sorted(texts_of(docs))
+    want = {rows[i][0] for i in near_copies([t for _, t in rows])}
+    gone = {i for i, _ in rows} - {r.doc_id for r in near_dedup(docs).collect()}
+    assert gone <= want and len(gone) >= 0.95 * len(want)
+
+
 # Packing
 
 
@@ -521,7 +713,7 @@ def test_packing(spark, odd, empty, tmp_path, monkeypatch):
 
     from raydescent.llm import histogram_packing as m
 
-    monkeypatch.setattr(m, "PART_ROWS", 3)
+    monkeypatch.setattr(m, "rank_parts", lambda n: 1 + n // 3)
     library = Tokenizer.from_file(WORD)
     got = m.pack_documents(odd.withColumnRenamed("source", "piece"), WORD)
     rows = got.collect()
@@ -583,7 +775,7 @@ def test_backoff_scores(spark, data, odd, empty, monkeypatch):
                 return math.log(counts[n][g] / counts[n - 1][g[:-1]]) + (min(3, i + 1) - n) * math.log(0.4)
         return math.log(counts[1][(x[i],)] / total) + (min(3, i + 1) - 1) * math.log(0.4)
 
-    got = m.backoff_scores(docs, BYTE).collect()
+    got = m.backoff_scores(docs, BYTE, least=2).collect()
     assert len(got) == len(ids)
     want = sorted((i is None, i or 0, len(x), round(sum(score(x, j) for j in range(len(x))), 4)) for i, x in ids)
     for g, w in zip(sorted((r.doc_id is None, r.doc_id or 0, r.n_tokens, r.log_score) for r in got), want):
@@ -618,8 +810,39 @@ def test_backoff_scores_with_ngrams_seen_once(spark, data, monkeypatch):
         assert abs(got[i] - sum(score(x, j) for j in range(len(x)))) < 1e-3
 
 
+def test_backoff_scores_of_order_five(spark, empty):
+    """Keys of 128 bits: five-grams of a vocabulary of 50,000."""
+    from raydescent.llm import backoff_lm as m
+    from raydescent.llm.bpe_automaton import compiled, read_vocabulary
+
+    rng = random.Random(3)
+    texts = [" ".join(rng.choices(["the", "cat", "sat", "on", "a", "mat"], k=rng.randint(0, 60))) for _ in range(60)]
+    bpe = compiled(read_vocabulary(BYTE), True)
+    ids = [np.frombuffer(bpe.encode(t), "<u4").tolist() for t in texts]
+    assert m.key_kind(5, 50_257) == m.WIDE and m.key_kind(4, 50_257) != m.WIDE
+    counts = {n: Counter(tuple(x[i : i + n]) for x in ids for i in range(len(x) - n + 1)) for n in range(1, 6)}
+    total = sum(counts[1].values())
+    for least in (1, 3):
+        known = {n: {g: c for g, c in counts[n].items() if n == 1 or c >= least} for n in counts}
+
+        def score(x, i):
+            longest = min(5, i + 1)
+            for n in range(longest, 0, -1):
+                g = tuple(x[i - n + 1 : i + 1])
+                if g in known[n] and (n == 1 or g[:-1] in known[n - 1]):
+                    return math.log(known[n][g] / (known[n - 1][g[:-1]] if n > 1 else total)) + (longest - n) * math.log(0.4)
+
+        got = {r.doc_id: r.log_score for r in m.backoff_scores(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(3), BYTE, top=5, least=least).collect()}
+        for i, x in enumerate(ids):
+            assert abs(got[i] - sum(score(x, j) for j in range(len(x)))) < 1e-6
+
+
 def test_packed_numbers():
-    from raydescent.llm.backoff_lm import pack, unpack
+    from raydescent.llm.backoff_lm import WIDE, mix, pack, unpack
+
+    wide = np.sort(np.array([b"\0" * 16, b"a" * 16, b"\0" * 15 + b"\1", b"\1" + b"\0" * 15], WIDE))
+    assert np.array_equal(unpack(pack(wide), WIDE), wide) and len(set(mix(wide).tolist())) == 4
+    assert [int.from_bytes(x.ljust(16, b"\0"), "big") for x in wide.tolist()] == sorted(int.from_bytes(x.ljust(16, b"\0"), "big") for x in wide.tolist())
 
     x = np.array([0, 1, 2**63, 2**64 - 1, 12345], np.uint64)
     assert np.array_equal(unpack(pack(x)), x) and len(unpack(pack(x[:0]))) == 0
@@ -644,6 +867,49 @@ def test_language(spark, data, odd, empty):
     assert {r.lang_pred for r in predict(odd, fit(empty)).collect()} == {"und"}
 
 
+def test_language_scores_against_brute_force(spark):
+    """Counts, probabilities and posterior shares from their definitions, gram by gram."""
+    from raydescent.llm.language_bayes import fit, has_letter, identify
+
+    rng = random.Random(7)
+    train = [(i, "".join(rng.choices("abcdeé " if i % 2 else "xyzßa ", k=rng.randint(0, 40))), "AB"[i % 2]) for i in range(60)] + [(90, None, "A"), (91, "zzz", None)]
+    model = fit(spark.createDataFrame(train, "doc_id long, text string, lang string").repartition(3), buckets=1 << 8)
+
+    def grams(text):
+        for n in (2, 3):
+            for i in range(len(text) - n + 1):
+                h = n
+                for c in text[i : i + n]:
+                    h = (h ^ ord(c)) * 0x9E3779B1 & 0xFFFFFFFF
+                    h ^= h >> 15
+                yield h & 255
+
+    counts = {x: Counter(g for _, t, lang in train if lang == x and t is not None for g in grams(t.lower())) for x in "AB"}
+    sums = {x: sum(c.values()) for x, c in counts.items()}
+    texts = ["abc", "zyx ß", "", "ab" * 700 + "é", "½ ²", "Ⅷ ①", "x", "ʰ", "Ab1", None, "aé xyz " * 3]
+    want = []
+    for t in texts:
+        if t is None or not any(c.isalpha() for c in t):
+            want.append(("und", 0.0))
+            continue
+        s = {x: sum(math.log((counts[x][g] + 0.5) / (sums[x] + 128)) for g in grams(t.lower())) for x in "AB"}
+        best = max(s, key=s.get)
+        want.append((best, 1 / sum(math.exp(v - s[best]) for v in s.values())))
+    got = identify(texts, model)
+    assert [g[0] for g in got] == [w[0] for w in want] and want[4][0] == want[5][0] == "und" != want[7][0]
+    assert all(abs(g[1] - w[1]) < 1e-9 for g, w in zip(got, want))
+    assert not has_letter("½²Ⅷ①12_ ") and has_letter("1ª")
+
+
+def test_null_ids_are_learned_from(spark):
+    from pyspark.sql import functions as F
+
+    from raydescent.llm.language_bayes import learned_rows
+
+    rows = spark.createDataFrame([(None,), (1,)], "doc_id long")
+    assert [r.x for r in rows.select(learned_rows(F.col("doc_id")).alias("x")).collect()][0] is True
+
+
 def test_letters_of_a_step_boundary():
     from raydescent.llm import language_bayes as m
 

@@ -52,3 +52,26 @@ def test_hot_keys_are_spread(spark):
     got = skew_safe_lookup(rows, facts, "key", "n", 20_000)
     want = rows.join(facts, "key", "left").select("id", "key", "n", "low")
     assert got.exceptAll(want).isEmpty() and want.exceptAll(got).isEmpty() and got.count() == 20_000
+
+
+def test_hot_rows_go_by_their_own_values(spark):
+    """No running number decides where a row goes, so that a task that is run again deals its rows as before; and
+    helper columns give way to columns of rows."""
+    from pyspark.sql import functions as F
+
+    from raydescent.llm.common import skew_safe_lookup
+
+    rows = spark.range(3000).select(F.lit("hot").alias("key"), "id", F.lit(1).alias("_hk"), F.lit(2).alias("_f"), F.create_map(F.lit("a"), "id").alias("m"))
+    facts = spark.createDataFrame([("hot", 3000, 5)], "key string, n long, low long")
+    got = skew_safe_lookup(rows, facts, "key", "n", 3000)
+    assert "monotonically" not in got._jdf.queryExecution().toString().lower()
+    assert got.columns == ["key", "id", "_hk", "_f", "m", "n", "low"] and got.where("_hk = 1 AND _f = 2 AND low = 5").count() == 3000
+
+
+def test_owned_cuts_are_removed(spark):
+    from raydescent.llm.common import cut, cuts, owned_cuts
+
+    before = cuts(spark)
+    with owned_cuts(spark):
+        assert cut(spark.range(5), "mine").count() == 5 and len(cuts(spark)) == len(before) + 1
+    assert cuts(spark) == before
