@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from raydescent.llm.common import clear_cuts, cut, cuts, table
+from raydescent.llm.common import clear_cuts, cut, cuts, spare, table
 from raydescent.llm.histogram_packing import pack_documents
 from raydescent.llm.language_bayes import UNKNOWN, fit, learned_rows, predict
 from raydescent.llm.patricia_dedup import exact_dedup
@@ -23,9 +23,9 @@ def language_id(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     without a letter are rejected; texts in a language that was not learned, or of random letters, stay.
     """
     model = fit(docs.where(learned_rows(F.col("doc_id"))))
-    found = predict(docs.withColumnsRenamed({"score": "_score", "lang_pred": "_lang_pred"}), model)
-    kept = found.where((F.col("lang_pred") != UNKNOWN) & (F.col("score") >= LEAST_SHARE))
-    return kept.drop("lang_pred", "score").withColumnsRenamed({"_score": "score", "_lang_pred": "lang_pred"}).select(*docs.columns)
+    lang, share = spare(docs.columns, "lang_pred", "score")
+    found = predict(docs, model, names=(lang, share))
+    return found.where((F.col(lang) != UNKNOWN) & (F.col(share) >= LEAST_SHARE)).select(*[F.col(f"`{c}`") for c in docs.columns])
 
 
 def drop_exact_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -50,8 +50,8 @@ def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     """All stages on documents, each on what the one before has written. What a stage has written for itself, and its
     input, are removed when its output stands."""
     docs = table(spark, sf_dir, "documents")
-    before = set(cuts())
+    before = set(cuts(spark))
     for name, stage in STAGES[:-1]:
         docs = cut(stage(spark, docs, sf_dir), name)
-        clear_cuts(spark, [path for path in cuts()[:-1] if path not in before])
+        clear_cuts(spark, [path for path in cuts(spark)[:-1] if path not in before])
     return STAGES[-1][1](spark, docs, sf_dir)
