@@ -15,7 +15,8 @@ from raydescent.operators.layout import uniform
 
 @dataclass(frozen=True)
 class Delays:
-    """A job takes work, plus an exponential wait of this mean; slow lanes take slow_factor times as long, dead ones for ever."""
+    """A job takes work for every n-th of the rows that its lane handles (load of them), plus an exponential wait of this
+    mean; slow lanes take slow_factor times as long, dead ones for ever. Its message then is under way for transfer."""
 
     work: float = 1.0
     mean: float = 1.0
@@ -23,6 +24,8 @@ class Delays:
     slow: tuple[int, ...] = ()
     slow_factor: float = 8.0
     dead: tuple[int, ...] = ()
+    load: float = 1.0
+    transfer: float = 0.0
 
     def key(self, lane: int, job: int) -> int:
         return self.seed * 1_000_003 + lane * 10_007 + job * 101 + 17
@@ -31,12 +34,12 @@ class Delays:
         if lane in self.dead:
             return math.inf
         u = (self.key(lane, job) % 2147483647 * 48271 % 2147483647 + 0.5) / 2147483647.0
-        return (self.work - self.mean * math.log(u)) * (self.slow_factor if lane in self.slow else 1.0)
+        return (self.work * self.load - self.mean * math.log(u)) * (self.slow_factor if lane in self.slow else 1.0) + self.transfer
 
     def column(self, lane: Column, job: Column) -> Column:
         u = uniform(F.lit(self.seed * 1_000_003 + 17) + lane * 10_007 + job * 101)
-        base = F.lit(self.work) - self.mean * F.log(u)
-        slow = base * F.when(lane.isin(*self.slow), self.slow_factor).otherwise(1.0) if self.slow else base
+        base = F.lit(self.work * self.load) - self.mean * F.log(u)
+        slow = (base * F.when(lane.isin(*self.slow), self.slow_factor).otherwise(1.0) if self.slow else base) + self.transfer
         return F.when(lane.isin(*self.dead), F.lit(None)).otherwise(slow) if self.dead else slow
 
 
@@ -49,16 +52,23 @@ class Update:
     at: float
 
 
-def arrival_schedule(n: int, K: int, updates: int, policy: str = "k_async_wait", delays: Delays = Delays()) -> list[Update]:
-    """The updates of a run, by policy.
+class LanesLost(RuntimeError):
+    """Fewer lanes are alive than an update needs."""
+
+
+def arrival_schedule(n: int, K: int, updates: int, policy: str = "k_async_wait", delays: Delays = Delays(), solve: float = 0.0) -> list[Update]:
+    """The updates of a run, by policy; each is made solve after its last message.
 
     k_async_wait: after K messages the weights are changed and only the lanes that delivered start anew, on them.
     k_batch_async: a lane starts again at once, on the weights of that moment.
     k_sync: all lanes start on each version, and those that are not among the first K are stopped.
-    full_sync: K = n. A run ends early when fewer than K lanes are alive.
+    full_sync: K = n. With fewer than K lanes alive (for k_batch_async: none) a run is refused: LanesLost.
     """
     if policy == "full_sync":
         K, policy = n, "k_sync"
+    alive = n - len({lane for lane in delays.dead if 0 <= lane < n})
+    if alive < (1 if policy == "k_batch_async" else K):
+        raise LanesLost(f"{alive} of {n} lanes are alive, and an update by {policy} needs {K} messages")
     out: list[Update] = []
     jobs = [0] * n
 
@@ -70,9 +80,7 @@ def arrival_schedule(n: int, K: int, updates: int, policy: str = "k_async_wait",
         now = 0.0
         for u in range(updates):
             due = sorted(start(lane, now, u) for lane in range(n))[:K]
-            if len(due) < K or math.isinf(due[-1][0]):
-                break
-            now = due[-1][0]
+            now = due[-1][0] + solve
             out.append(Update(u, tuple((lane, v, at) for at, lane, v in due), now))
         return out
     if policy not in ("k_async_wait", "k_batch_async"):
@@ -81,14 +89,12 @@ def arrival_schedule(n: int, K: int, updates: int, policy: str = "k_async_wait",
     heapq.heapify(heap)
     while len(out) < updates:
         got: list[tuple[int, int, float]] = []
-        while len(got) < K and heap and not math.isinf(heap[0][0]):
+        while len(got) < K:
             at, lane, version = heapq.heappop(heap)
             got.append((lane, version, at))
             if policy == "k_batch_async":
                 heapq.heappush(heap, start(lane, at, len(out) + (len(got) == K)))
-        if len(got) < K:
-            break
-        now = got[-1][2]
+        now = got[-1][2] + solve
         out.append(Update(len(out), tuple(got), now))
         if policy == "k_async_wait":
             for lane, _, _ in got:

@@ -34,6 +34,28 @@ class ExactCode:
         return coef
 
 
+@dataclass(frozen=True)
+class RepetitionCode:
+    """Groups of n-k+1 lanes with the same shards: the first message of every group makes the sum, and any k lanes hold one."""
+
+    n: int
+    k: int
+
+    @property
+    def weight(self) -> int:
+        return self.n - self.k + 1
+
+    def scheme(self) -> Scheme:
+        return repetition_scheme(self.n, self.k)
+
+    def solve(self, arrived: list[int]) -> np.ndarray:
+        """1 for the first arrived lane of each group, 0 for others; refuses if a group is missing."""
+        groups = [lane // self.weight for lane in arrived]
+        if len(set(groups)) < self.n // self.weight:
+            raise ValueError(f"{len(arrived)} messages of {self.n} lanes do not give the sum; {self.k} are needed")
+        return np.array([float(groups.index(g) == i) for i, g in enumerate(groups)])
+
+
 def exact_cyclic(n: int, k: int, seed: int = 0, most_trials: int = 50) -> ExactCode:
     """Lane i holds the n-k+1 shards from i on. Windows are solved against a random matrix whose rows sum to nothing;
     badly conditioned draws are thrown again."""

@@ -1,8 +1,9 @@
 """Gradients by shard: one pass over the examples for all weight versions that an update needs.
 
 Every Arrow batch is multiplied in numpy and added into one array per (version, shard) of the task, so that a task hands
-on a row per version, shard and group. These are added up by the JVM, element by element with partial aggregation, so
-that neither a reducer nor the driver ever holds the rows of all tasks of a shard.
+on a row per version, shard and group. Small blocks are added up by the JVM, element by element with partial aggregation;
+large ones as slices of an array, which stream past sorted, in two steps over salted keys. Neither a reducer nor the
+driver ever holds the rows of all tasks of a shard.
 """
 
 from __future__ import annotations
@@ -19,7 +20,11 @@ from raydescent.plans.models import GroupLayout, gradients, losses
 Kernel = Callable[..., list[np.ndarray]]
 BLOCK_SCHEMA = "version long, part_id int, group int, first int, values array<double>, n_rows long"
 #: Numbers in one row at most, so that rows of large models stay small.
-SLICE = 65_536
+SLICE = 8192
+#: Blocks of more numbers are added up as slices.
+LONG_BLOCK = 65_536
+#: Parts of a slice's rows that are added up apart before they are added together.
+SALTS = 64
 
 
 def _matrix(column: pa.ChunkedArray | pa.Array, width: int) -> np.ndarray:
@@ -73,11 +78,12 @@ def task_sums(batches, versions: dict, owed: dict[int, list[int]], layout: Group
     return sums
 
 
-def coded_sums(examples: DataFrame, versions: dict[int, list[np.ndarray]], asked: list[tuple[int, int]], encode: list[tuple[int, int, int, int, float]], slots: int, layout: GroupLayout, kernel: Kernel = gradients) -> DataFrame:
-    """lane, version, slot, pos, value: messages of the (lane, version) asked, encoded in the tasks that have the gradients.
+def coded_sums(examples: DataFrame, versions: dict[int, list[np.ndarray]], asked: list[tuple[int, int]], encode: list[tuple[int, int, int, int, float]], slots: int, layout: GroupLayout, kernel: Kernel = gradients, sent: list | None = None) -> DataFrame:
+    """lane, version, slot, first, values: messages of the (lane, version) asked, encoded in the tasks that have the gradients.
 
     As encoding is linear, a task sends its part of each message (a block a lane) instead of its part of each shard's
-    gradient (t blocks a shard and version), and the parts are added up on the way.
+    gradient (t blocks a shard and version), and the parts are added up on the way. The broadcast weights are appended to
+    sent, so that the caller can let go of them. values are slices from first on; of one number where blocks are small.
     """
     lanes: dict[int, list] = {}
     for lane, part, group, slot, coef in encode:
@@ -88,6 +94,8 @@ def coded_sums(examples: DataFrame, versions: dict[int, list[np.ndarray]], asked
             if version not in wanted.setdefault(part, []):
                 wanted[part].append(version)
     held = examples.sparkSession.sparkContext.broadcast((versions, wanted, lanes, asked))
+    if sent is not None:
+        sent.append(held)
 
     def run(batches):
         weights, owed, rows, some = held.value
@@ -104,7 +112,40 @@ def coded_sums(examples: DataFrame, versions: dict[int, list[np.ndarray]], asked
                 yield pa.RecordBatch.from_arrays([*keys, pa.array(firsts, pa.int32()), pa.array([message[slot, f : f + SLICE] for f in firsts], pa.list_(pa.float64()))], ["lane", "version", "slot", "first", "values"])
 
     blocks = owed_rows(examples, wanted).mapInArrow(run, "lane int, version long, slot int, first int, values array<double>")
-    return summed(blocks, ["lane", "version", "slot"])
+    keys = ["lane", "version", "slot"]
+    if layout.block > LONG_BLOCK:
+        return summed_slices(blocks, keys)
+    return summed(blocks, keys).select(*keys, F.col("pos").alias("first"), F.array("value").alias("values"))
+
+
+def summed_slices(blocks: DataFrame, keys: list[str]) -> DataFrame:
+    """keys, first, values: slices added up by array, first in salted parts, then together. A task holds a slice at a time."""
+    names = [*keys, "first"]
+    types = {f.name: f.dataType.simpleString() for f in blocks.schema}
+    made = ", ".join(f"{n} {types[n]}" for n in names) + ", values array<double>"
+    kinds = [pa.int32() if types[n] == "int" else pa.int64() for n in names]
+
+    def run(batches):
+        now, total = None, None
+        for batch in batches:
+            for *key, values in zip(*(batch.column(c).to_pylist() for c in names), batch.column("values")):
+                x = values.values.to_numpy()
+                if key != now:
+                    if now is not None:
+                        yield row(now, total)
+                    now, total = key, x.copy()
+                else:
+                    total += x
+        if now is not None:
+            yield row(now, total)
+
+    def row(key, total):
+        return pa.RecordBatch.from_arrays([*(pa.array([v], k) for v, k in zip(key, kinds)), pa.array([total], pa.list_(pa.float64()))], [*names, "values"])
+
+    rows = blocks.select(*names, "values")
+    salted = rows.withColumn("_salt", F.pmod(F.spark_partition_id(), F.lit(SALTS)))
+    part = salted.repartition(*names, "_salt").sortWithinPartitions(*names, "_salt").select(*names, "values")
+    return part.mapInArrow(run, made).repartition(*names).sortWithinPartitions(*names).mapInArrow(run, made)
 
 
 def summed(blocks: DataFrame, keys: list[str]) -> DataFrame:
@@ -118,9 +159,12 @@ def shard_gradients(examples: DataFrame, weights: dict[int, list[np.ndarray]], w
     return summed(shard_blocks(examples, weights, wanted, layout, kernel), ["version", "part_id", "group"])
 
 
-def evaluate(examples: DataFrame, versions: dict[int, list[np.ndarray]], spec, by: str | None = None) -> DataFrame:
-    """version (and by), n_rows, loss, error: means over the examples, of several versions in one scan."""
+def evaluate(examples: DataFrame, versions: dict[int, list[np.ndarray]], spec, by: str | None = None, sent: list | None = None) -> DataFrame:
+    """version (and by), n_rows, loss, error: means over the examples, of several versions in one scan. The broadcast weights
+    are appended to sent."""
     held = examples.sparkSession.sparkContext.broadcast(versions)
+    if sent is not None:
+        sent.append(held)
     keys = [by] if by else []
 
     def run(batches):

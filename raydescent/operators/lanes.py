@@ -36,6 +36,14 @@ class Scheme:
     def shards_of(self, lane: int) -> list[int]:
         return sorted({r[1] for r in self.encode if r[0] == lane})
 
+    @property
+    def load(self) -> float:
+        """How many n-ths of all rows the busiest lane handles."""
+        held: dict[int, set[int]] = {}
+        for lane, shard, *_ in self.encode:
+            held.setdefault(lane, set()).add(shard)
+        return self.n / self.k * max(map(len, held.values()))
+
     def encode_table(self, spark: SparkSession) -> DataFrame:
         return spark.createDataFrame(list(self.encode), "lane int, part_id int, group int, slot int, coef double")
 
@@ -87,6 +95,35 @@ def synchronous_scheme(n: int) -> Scheme:
     return Scheme("synchronous", n, n, 1, 1, tuple((i, i, 0, 0, 1.0) for i in range(n)), tuple((i, 0, 0, 1.0) for i in range(n)), 1 / n)
 
 
+def nested_scheme(p: CodeParams, layers: int) -> Scheme:
+    """The code on a network cut by repeated splitting: the layer q steps before the output has t^(q+1) groups, whose sign is
+    the product of the signs of the group's digits to base t. A message has a slot per layer; groups are numbered through
+    all layers (see NestedLayout). Groups whose digits are permutations of each other have one sign in every lane, so that
+    their derivatives arrive mixed: more is saved, and less can be told apart, than with a flat cut."""
+    p.validate()
+    encode, decode, first = [], [], 0
+    for layer in range(layers):
+        depth = layers - layer
+        for lane in range(p.n):
+            signs = p.group_signs(lane)
+            for group in range(p.t**depth):
+                sign = float(np.prod([signs[group // p.t**d % p.t] for d in range(depth)]))
+                encode += [(lane, shard, first + group, layer, sign) for shard in p.shards_of(lane)]
+                decode.append((lane, layer, first + group, sign))
+        first += p.t**depth
+    return Scheme("coded_nested", p.n, p.k, first, layers, tuple(encode), tuple(decode), p.t / p.k)
+
+
+def ray_scheme(name: str, rows: list[tuple[int, int, float]], k: int, t: int) -> Scheme:
+    """Messages by any code (lane, theta, coef) on derivatives theta = group theta mod t on the t shards of block theta div t.
+    Rows are brought to the squared length t, that of a row of t signs."""
+    n = 1 + max(r[0] for r in rows)
+    length = [sum(c * c for lane, _, c in rows if lane == i) for i in range(n)]
+    scaled = [(lane, theta, coef * (t / length[lane]) ** 0.5) for lane, theta, coef in rows]
+    encode = [(lane, shard, theta % t, 0, c) for lane, theta, c in scaled for shard in range(theta // t * t, theta // t * t + t)]
+    return Scheme(name, n, k, t, 1, tuple(encode), tuple((lane, 0, theta % t, c) for lane, theta, c in scaled), t / k)
+
+
 def repeated_scheme(k: int, r: int) -> Scheme:
     """r lanes for each shard."""
     return Scheme("replication", k * r, k, 1, 1, tuple((i, i % k, 0, 0, 1.0) for i in range(k * r)), tuple((i, 0, 0, 1.0) for i in range(k * r)), 1 / k)

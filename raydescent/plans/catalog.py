@@ -213,7 +213,8 @@ add("arrival_ksync", lambda spark, sf: arrivals.sync_arrivals(spark, 8, 4, 6, DE
 add("arrival_kbatch", lambda spark, sf: arrivals.batch_arrivals(spark, 8, 4, 12, DELAYS).select("update_no", "lane", "read_version", tidy("arrive_at").alias("arrive_at")))
 add("staleness_hist", lambda spark, sf: arrivals.staleness(arrivals.batch_arrivals(spark, 8, 4, 40, DELAYS)))
 add("wait_profile", lambda spark, sf: arrivals.wait_profile(arrivals.sync_arrivals(spark, 8, 4, 20, DELAYS).where("taken")).select("update_no", *[tidy(c).alias(c) for c in ("first_at", "last_at", "waited")]))
-add("arrival_kasync_wait", lambda spark, sf: arrivals.schedule_table(spark, arrivals.arrival_schedule(8, 4, 40, "k_async_wait", DELAYS)))
+add("arrival_kasync_wait", lambda spark, sf: arrivals.schedule_table(spark, arrivals.arrival_schedule(8, 4, 40, "k_async_wait", DELAYS)).select("update_no", "lane", "read_version", tidy("arrive_at").alias("arrive_at"), tidy("updated_at").alias("updated_at")))
+add("arrival_charged", lambda spark, sf: arrivals.schedule_table(spark, arrivals.arrival_schedule(8, 4, 40, "k_async_wait", training.Costs(True, 0.002, 0.0).on(DELAYS, 4.0, 325), 0.5)).select("update_no", "lane", "read_version", tidy("arrive_at").alias("arrive_at"), tidy("updated_at").alias("updated_at")))
 add("repetition_picks", lambda spark, sf: exact_coding.repetition_picks(arrivals.sync_arrivals(spark, 8, 5, 1, DELAYS).select("lane", "arrive_at"), 8, 5).select("lane", tidy("arrive_at").alias("arrive_at")))
 
 
@@ -244,6 +245,102 @@ def coded_descent_3_updates_embeddings(spark: SparkSession, sf_dir: str) -> Data
     return after_steps(training.fit_coded(ex, EMB, P842, STEPS, LR, policy="k_batch_async", delays=DELAYS, every=100), spark)
 
 
+@query
+def coded_wait_3_updates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The default policy: lanes that have not delivered go on with the weights that they have."""
+    ex = workloads.embedding_examples(spark, sf_dir, 4, 0.5)
+    return after_steps(training.fit_coded(ex, EMB, P842, STEPS, LR, delays=DELAYS, every=100), spark)
+
+
+@query
+def repetition_3_updates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    code = exact_coding.RepetitionCode(8, 5)
+    return after_steps(training.fit_exact(workloads.embedding_examples(spark, sf_dir, 8, 0.5), EMB, code, STEPS, LR, DELAYS, every=100), spark)
+
+
+@query
+def regression_step_by_inputs(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """One update of least squares whose groups are blocks of one output's weights."""
+    ex = workloads.regression_examples(spark, sf_dir, 4)
+    return after_steps(training.fit_coded(ex, NetSpec(3, (1,), "mse_linear"), P842, 1, 0.3, axis="input", delays=DELAYS, every=100), spark)
+
+
+@query
+def decode_padded_groups(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Five classes in two groups of three: the sixth is padding, which every message carries as zeros."""
+    ex = workloads.priority_examples(spark, sf_dir, 4)
+    cells = gradients.shard_gradients(ex, {0: fixed_weights(5, 8)}, {s: [0] for s in range(4)}, GroupLayout(NetSpec(8, (5,)), 2))
+    scheme = lanes.coded_scheme(P842, "support", "sign")
+    out = lanes.decode_messages(lanes.lane_messages(cells, scheme.encode_table(spark)).where("lane < 5"), scheme.decode_table(spark))
+    return out.select(F.col("group").cast("int").alias("grp"), F.col("pos").cast("int").alias("pos"), tidy(F.col("delta") / 1000).alias("delta"))
+
+
+@query
+def relu_gradient_lineitem(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Gradients of both layers of a network with four hidden units, by shard."""
+    spec = NetSpec(6, (4, 4), "xent_relu_mlp")
+    ex = workloads.lineitem_examples(spark, sf_dir, 4)
+    weights = [fixed_weights(4, 6)[0], fixed_weights(4, 4)[0]]
+    cells = gradients.shard_gradients(ex, {0: weights}, {s: [0] for s in range(4)}, GroupLayout(spec, 1))
+    late = F.col("pos") >= 28
+    at, width = F.when(late, F.col("pos") - 28).otherwise(F.col("pos")), F.when(late, 5).otherwise(7)
+    return cells.select("part_id", F.when(late, 1).otherwise(0).alias("layer"), F.floor(at / width).cast("int").alias("out_unit"), (at % width).cast("int").alias("in_unit"), tidy(F.col("value") / 10000).alias("g"))
+
+
+def clipped_residuals(spec, weights, x, y):
+    """Least squares whose residuals count as one at most: a kernel of one's own."""
+    e = np.clip(x @ weights[0][:, :-1].T[:, 0] + weights[0][0, -1] - y, -1, 1)
+    return [np.r_[e @ x, e.sum()][None, :]]
+
+
+@query
+def own_kernel_gradient(spark: SparkSession, sf_dir: str) -> DataFrame:
+    spec = NetSpec(3, (1,), "mse_linear")
+    cells = gradients.shard_gradients(workloads.regression_examples(spark, sf_dir, 4), {0: fixed_weights(1, 3)}, {s: [0] for s in range(4)}, GroupLayout(spec, 1), clipped_residuals)
+    return cells.select("part_id", F.lit(0).alias("out_unit"), F.col("pos").cast("int").alias("in_unit"), tidy(F.col("value") / 10000).alias("g"))
+
+
+@query
+def events_tumbling_gradient(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Gradients by window of six hours, as a stream's batches would give them."""
+    events = load_table(spark, sf_dir, "events").withColumn("_window", F.expr(f"CAST(timestampdiff(MICROSECOND, TIMESTAMP_NTZ'1970-01-01 00:00:00', CAST(ts AS TIMESTAMP_NTZ)) div {6 * 3600 * 10**6} AS int)"))
+    ex = workloads.event_examples(events, 4, "_window").withColumn("part_id", F.col("_window"))
+    low, high = ex.agg(F.min("part_id"), F.max("part_id")).first()
+    cells = gradients.shard_gradients(ex, {0: fixed_weights(4, 4)}, {w: [0] for w in range(low, high + 1)}, GroupLayout(NetSpec(4, (4,)), 1))
+    return cells.select(F.col("part_id").alias("window"), F.expr("pos div 5").cast("int").alias("out_unit"), (F.col("pos") % 5).cast("int").alias("in_unit"), tidy(F.col("value") / 100).alias("g"))
+
+
+@query
+def benchmark_overlap_anti(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Labelled documents that share no eight words in a row with the benchmark."""
+    return workloads.labelled_documents(spark, sf_dir, "quality").select("doc_id")
+
+
+@query
+def doc_dedup_split(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Texts of labelled documents that occur more than once, and in how many splits and shards they are: one."""
+    docs = load_table(spark, sf_dir, "documents", "doc_id", "text").join(load_table(spark, sf_dir, "labels", "doc_id"), "doc_id")
+    key = F.crc32(F.coalesce("text", F.lit("")).cast("binary"))
+    body = F.coalesce("text", F.lit(""))
+    by = docs.groupBy(F.sha2(body, 256).alias("text_sha256")).agg(F.count("*").alias("copies"), F.count_distinct(layout.split_of(key)).alias("splits"), F.count_distinct(layout.shard_of(key, 4)).alias("shards"))
+    return by.where("copies > 1")
+
+
+@query
+def failure_report(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Which scheme makes eight updates with so many of its eight lanes lost, and which refuses (updates 0)."""
+    rows = []
+    for lost in range(5):
+        hurt = arrivals.Delays(seed=5, dead=tuple(range(lost)))
+        for scheme, K, policy in (("coded", 4, "k_async_wait"), ("uncoded", 4, "k_async_wait"), ("exact_6_of_8", 6, "k_sync"), ("synchronous", 8, "k_sync")):
+            try:
+                made = len(arrivals.arrival_schedule(8, K, 8, policy, hurt))
+            except arrivals.LanesLost:
+                made = 0
+            rows.append((scheme, lost, made, made == 0))
+    return spark.createDataFrame(rows, "scheme string, lost int, updates int, refused boolean")
+
+
 @query
 def kasync_3_updates(spark: SparkSession, sf_dir: str) -> DataFrame:
     ex = workloads.embedding_examples(spark, sf_dir, 4, 0.5)
@@ -411,20 +508,20 @@ def curves(spark: SparkSession, results: list[training.FitResult]) -> DataFrame:
     return spark.createDataFrame(rows, training.CURVE)
 
 
-def compare(spark, make, spec: NetSpec, p: CodeParams, updates: int, lr: float, exact: bool = True, delays=DELAYS, every: int = 4) -> list[training.FitResult]:
+def compare(spark, make, spec: NetSpec, p: CodeParams, updates: int, lr: float, exact: bool = True, delays=DELAYS, every: int = 4, costs=training.Costs()) -> list[training.FitResult]:
     """Coded, uncoded, exact (with as many lanes lost as its weight allows) and synchronous descent on make(shards)."""
     start = spec.start(1)
     label = f"{p.n}_{p.k}_{p.t}"
     data = make(p.k).persist()
     out = [
-        training.fit_coded(data, spec, p, updates, lr, delays=delays, every=every, start=start, run_id=f"coded_{label}"),
-        training.fit_uncoded(data, spec, p, updates, lr, delays=delays, every=every, start=start, run_id=f"uncoded_{label}"),
+        training.fit_coded(data, spec, p, updates, lr, delays=delays, costs=costs, every=every, start=start, run_id=f"coded_{label}"),
+        training.fit_uncoded(data, spec, p, updates, lr, delays=delays, costs=costs, every=every, start=start, run_id=f"uncoded_{label}"),
     ]
     if exact:
         code = exact_coding.exact_cyclic(p.n, p.n - p.t + 1)
         other = make(p.n).persist()
-        out.append(training.fit_exact(other, spec, code, updates, lr, delays, every=every, start=start, run_id=f"exact_{label}"))
-        out.append(training.fit_sync(other, spec, p.n, updates, lr, delays, every=every, start=start, run_id=f"sync_{label}"))
+        out.append(training.fit_exact(other, spec, code, updates, lr, delays, costs, every=every, start=start, run_id=f"exact_{label}"))
+        out.append(training.fit_sync(other, spec, p.n, updates, lr, delays, costs, every=every, start=start, run_id=f"sync_{label}"))
         other.unpersist()
     data.unpersist()
     return out
@@ -434,9 +531,25 @@ def _mixture(spark, rows=3200, u=16, v=8, components=16):
     return lambda k: mixture.gaussian_mixture(spark, rows, u, v, components, sep=6.0, seed=3, k=k)
 
 
-@query
-def run_mixture_softmax(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return curves(spark, compare(spark, _mixture(spark), NetSpec(16, (8,)), P842, 8, 0.5))
+def _rows(sf_dir: str) -> int:
+    """3,200 rows at the smallest tables, and as many times more as orders has."""
+    scale = float(sf_dir.rstrip("/").rpartition("sf")[2] or 0.001) if "/sf" in sf_dir else 0.001
+    return int(3200 * max(1.0, scale / 0.001))
+
+
+def mixture_run(spark: SparkSession, sf_dir: str, sizes, updates: int, **more) -> DataFrame:
+    out = []
+    for size in sizes:
+        out += compare(spark, _mixture(spark, _rows(sf_dir)), NetSpec(16, (8,)), CodeParams(*size), updates, 0.5, **more)
+    return curves(spark, out)
+
+
+add("run_mixture_softmax", lambda spark, sf: mixture_run(spark, sf, SIZES[:1], 8))
+add("run_mixture_16", lambda spark, sf: mixture_run(spark, sf, SIZES[1:3], 5, every=5))
+add("run_mixture_32", lambda spark, sf: mixture_run(spark, sf, SIZES[3:], 4, every=4))
+# Work by the rows that a lane handles, five thousandths of a second a number sent, and a solve: all on the virtual clock.
+CHARGED = training.Costs(rows=True, sent=0.005, solve=0.01)
+add("run_mixture_charged", lambda spark, sf: mixture_run(spark, sf, SIZES[:1], 8, costs=CHARGED))
 
 
 @query
@@ -455,6 +568,36 @@ def run_relu_network(spark: SparkSession, sf_dir: str) -> DataFrame:
     return curves(spark, compare(spark, _mixture(spark), NetSpec(16, (16, 8), "xent_relu_mlp"), P842, 8, 0.3, exact=False))
 
 
+@query
+def run_relu_16_32(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Two hidden layers on 16 and 32 lanes; coded against uncoded."""
+    spec, out = NetSpec(16, (16, 16, 8), "xent_relu_mlp"), []
+    for size in ((16, 8, 4), (32, 16, 4)):
+        out += compare(spark, _mixture(spark), spec, CodeParams(*size), 5, 0.3, exact=False, every=5)
+    return curves(spark, out)
+
+
+@query
+def run_nested_network(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The hidden layer cut flat and by repeated splitting, at one step."""
+    spec, data = NetSpec(16, (16, 8), "xent_relu_mlp"), _mixture(spark)(4).persist()
+    return curves(spark, [training.fit_coded(data, spec, P842, 8, 0.3, delays=DELAYS, every=4, start=spec.start(1), run_id=name, nested=name == "nested") for name in ("flat", "nested")])
+
+
+@query
+def reference_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Test errors on planted embeddings of Spark's own logistic regression and of coded descent with all lanes."""
+    from pyspark.ml.classification import LogisticRegression
+    from pyspark.ml.functions import array_to_vector
+
+    ex = workloads.embedding_examples(spark, sf_dir, 4, 0.5).persist()
+    frame = ex.select("split", array_to_vector("x").alias("features"), F.col("y").cast("double").alias("label"))
+    judged = LogisticRegression(maxIter=50, regParam=0.001).fit(frame.where("split = 'train'")).transform(frame.where("split = 'test'"))
+    error = judged.agg(F.avg((F.col("prediction") != F.col("label")).cast("double"))).first()[0]
+    coded = training.fit_coded(ex, EMB, P842, 20, 8.0, K=8, policy="k_sync", delays=DELAYS, every=20).curve[-1]
+    return spark.createDataFrame([("spark_logistic_regression", error), ("coded_all_lanes", coded[7])], "method string, test_error double")
+
+
 @query
 def run_with_failures(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Two lanes dead, one eight times as slow."""
@@ -470,18 +613,36 @@ def run_with_failures(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query
 def run_rotated_general_size(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Sizes that are no powers of two: the allocation moves on the torus with every update."""
-    e = embed_parameters(13, 7, 2, 3)
-    data = _mixture(spark)(7).persist()
-    return curves(spark, [training.fit_coded(data, NetSpec(16, (8,)), e, 8, 0.5, rotate=True, delays=DELAYS, every=4, run_id="rotated_13_7_2")])
+    out = []
+    for n, k, t, d in ((5, 3, 2, 5), (6, 3, 2, 5), (12, 6, 2, 5), (12, 5, 2, 3), (13, 7, 2, 3)):
+        e, data = embed_parameters(n, k, t, d), _mixture(spark)(k).persist()
+        out.append(training.fit_coded(data, NetSpec(16, (8,)), e, 6, 0.5, rotate=True, delays=DELAYS, every=6, run_id=f"rotated_{n}_{k}_{t}"))
+        data.unpersist()
+    return curves(spark, out)
 
 
 @query
 def run_ablations(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Scaling, data mode, K and policy of the coded scheme at one nominal step."""
+    """Scaling, data mode, K, policy and scan of the coded scheme at one nominal step."""
     data, spec = _mixture(spark)(4).persist(), NetSpec(16, (8,))
     runs = []
-    for name, more in (("sign_support", {}), ("unit_support", {"scaling": "unit"}), ("sign_pure", {"mode": "pure"}), ("K_1", {"K": 1}), ("K_8", {"K": 8}), ("k_sync", {"policy": "k_sync"}), ("k_batch_async", {"policy": "k_batch_async"})):
-        runs.append(training.fit_coded(data, spec, P842, 6, 0.5, delays=DELAYS, every=6, run_id=name, **more))
+    plain = [("sign_support", {}), ("unit_support", {"scaling": "unit"}), ("sign_pure", {"mode": "pure"}), ("per_lane", {"scan": "per_lane"}), ("k_sync", {"policy": "k_sync"}), ("k_batch_async", {"policy": "k_batch_async"})]
+    for name, more in plain + [(f"K_{K}", {"K": K}) for K in (1, 2, 3, 5, 6, 7, 8)]:
+        runs.append(training.fit_coded(data, spec, P842, 4, 0.5, delays=DELAYS, every=4, run_id=name, **more))
+    return curves(spark, runs)
+
+
+@query
+def run_weight_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """t from 2 to n/4 on 16 and 32 lanes, and the allocation fixed or moved on the torus."""
+    spec, runs = NetSpec(16, (8,)), []
+    for n, k, ts in ((16, 8, (2, 4)), (32, 16, (2, 4, 8))):
+        data = _mixture(spark)(k).persist()
+        for t in ts:
+            runs.append(training.fit_coded(data, spec, CodeParams(n, k, t), 4, 0.5, delays=DELAYS, every=4, run_id=f"t_{n}_{k}_{t}"))
+            if n == 16:
+                runs.append(training.fit_coded(data, spec, embed_parameters(n, k, t), 4, 0.5, rotate=True, delays=DELAYS, every=4, run_id=f"rotated_{n}_{k}_{t}"))
+        data.unpersist()
     return curves(spark, runs)
 
 
@@ -524,10 +685,12 @@ def run_regression(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query
 def run_codes(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Replication and the uncoded scheme beside the code, at the same number of messages."""
+    """Replication, the uncoded scheme, random signs and a dense MDS code beside the code, at the same number of messages."""
     data, spec = _mixture(spark)(4).persist(), NetSpec(16, (8,))
     schedule = arrivals.arrival_schedule(8, 4, 8, "k_async_wait", DELAYS)
-    schemes = (lanes.coded_scheme(P842), lanes.uncoded_scheme(P842), lanes.repeated_scheme(4, 2))
+    random = lanes.ray_scheme("random_signs", [(r.lane, r.theta, float(r.sign)) for r in codes.random_sign_code(spark, 8, 4, 2, seed=3).collect()], 4, 2)
+    dense = lanes.ray_scheme("mds", [(r.lane, r.theta, r.coef) for r in codes.mds_code(spark, 8, 4).collect()], 4, 2)
+    schemes = (lanes.coded_scheme(P842), lanes.uncoded_scheme(P842), lanes.repeated_scheme(4, 2), random, dense)
     return curves(spark, [training.fit(data, spec, s, schedule, 0.5, every=4, run_id=s.name) for s in schemes])
 
 
@@ -550,11 +713,14 @@ def run_event_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query
 def curve_measures(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """First point at or below a loss, per scheme, and how many points overfit."""
-    curve = run_mixture_softmax(spark, sf_dir)
-    first = measures.time_to_target(curve, 1.6)
-    over = measures.overfit_points(curve).groupBy("run_id").agg(F.sum(F.col("overfits").cast("int")).alias("overfit_points"))
-    return first.join(over, "run_id")
+    """First point at or below a loss, how many points overfit and the last smoothed loss, for curves whose points are given:
+    one that reaches the target and overfits later, one that never does, one without test rows."""
+    rows = [(f"run_{r}", "coded", u, 1.5 * u + r, 0.0, 2.0 / (u + 1), None if r == 2 else round(2.0 - 0.3 * u + (0.02 + 0.01 * r) * u * u + 0.1 * (r * u % 3), 6), None, 100 * u * (r + 1)) for r in range(3) for u in range(12)]
+    curve = spark.createDataFrame(rows, training.CURVE)
+    first = measures.time_to_target(curve, 1.05)
+    over = measures.overfit_points(curve).groupBy("run_id").agg(F.sum(F.col("overfits").cast("long")).alias("overfit_points"))
+    last = measures.smoothed(curve, 3).groupBy("run_id").agg(tidy(F.max_by("test_loss_smooth", "update_no")).alias("last_smooth"))
+    return first.join(over, "run_id").join(last, "run_id").select("run_id", "scheme", "update_no", tidy("virtual_time").alias("virtual_time"), "floats_sent", "overfit_points", "last_smooth")
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -109,6 +109,52 @@ def gradients(spec: NetSpec, weights: list[np.ndarray], x: np.ndarray, y: np.nda
     return out[::-1]
 
 
+@dataclass(frozen=True)
+class NestedLayout:
+    """Groups of output units cut by repeated splitting: the layer q steps before the output into cuts^(q+1) of them.
+    t counts the groups of all layers; each is padded to the largest."""
+
+    spec: NetSpec
+    cuts: int
+
+    @property
+    def groups(self) -> list[int]:
+        return [self.cuts ** (len(self.spec.shapes) - at) for at in range(len(self.spec.shapes))]
+
+    @property
+    def t(self) -> int:
+        return sum(self.groups)
+
+    @property
+    def per_layer(self) -> list[int]:
+        return [-(-o // n) * i for (o, i), n in zip(self.spec.shapes, self.groups)]
+
+    @property
+    def block(self) -> int:
+        return max(self.per_layer)
+
+    @property
+    def numbers(self) -> int:
+        """Numbers of a message: a group of every layer, without padding to the largest."""
+        return sum(self.per_layer)
+
+    def split(self, grads: list[np.ndarray]) -> np.ndarray:
+        out, first = np.zeros((self.t, self.block)), 0
+        for g, n, size in zip(grads, self.groups, self.per_layer):
+            flat = np.zeros(n * size)
+            flat[: g.size] = g.ravel()
+            out[first : first + n, :size] = flat.reshape(n, size)
+            first += n
+        return out
+
+    def merge(self, blocks: np.ndarray) -> list[np.ndarray]:
+        out, first = [], 0
+        for (o, i), n, size in zip(self.spec.shapes, self.groups, self.per_layer):
+            out.append(np.ascontiguousarray(blocks[first : first + n, :size]).ravel()[: o * i].reshape(o, i))
+            first += n
+        return out
+
+
 @dataclass(frozen=True)
 class GroupLayout:
     """How the parameters of a network fall into t groups of equal, padded size: groups of output units of each layer,
@@ -130,6 +176,10 @@ class GroupLayout:
         """Numbers in one group over all layers: the length of a message."""
         return sum(self.per_layer)
 
+    @property
+    def numbers(self) -> int:
+        return self.block
+
     def split(self, grads: list[np.ndarray]) -> np.ndarray:
         """t x block, with zeros for padding."""
         parts = []

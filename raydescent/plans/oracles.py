@@ -4,6 +4,7 @@ codes in block form, gradients in long form, descent as chained tables."""
 from __future__ import annotations
 
 import math
+from itertools import permutations
 
 from raydescent.operators.arrivals import Delays, arrival_schedule
 from raydescent.plans import oracle_parts as part
@@ -56,6 +57,30 @@ ORACLES["replication_factor"] = "SELECT 128::BIGINT AS copies, 16::BIGINT AS sha
 ORACLES["subset_rank_8_4_2"] = """SELECT size::INT AS size, subsets::BIGINT AS subsets, full_rank::BIGINT AS full_rank, sum_recoverable::BIGINT AS sum_recoverable FROM (VALUES
 (1, 8, 0, 0), (2, 28, 0, 2), (3, 56, 0, 16), (4, 70, 58, 61), (5, 56, 56, 56), (6, 28, 28, 28), (7, 8, 8, 8), (8, 1, 1, 1)) v(size, subsets, full_rank, sum_recoverable)"""
 _sizes = [(8, 4, 2), (16, 8, 2), (16, 8, 4), (32, 16, 2), (32, 16, 4), (32, 16, 8), (64, 32, 8), (128, 64, 16)]
+
+
+def determinant(size: int) -> str:
+    """Of the matrix g_ij (i < j; symmetric, ones on the diagonal), by permutations."""
+    terms = []
+    for order in permutations(range(size)):
+        turns = sum(order[i] > order[j] for i in range(size) for j in range(i + 1, size))
+        factors = [f"g{min(i, j)}{max(i, j)}" for i, j in enumerate(order) if i != j]
+        terms.append(f"{'-' if turns % 2 else '+'} {' * '.join(factors) or '1.0'}")
+    return " ".join(terms)
+
+
+def entropies(size: int) -> str:
+    """Mean half logarithm of the Gram determinant over all lane subsets of a size of the code of eight lanes, singular ones left out."""
+    pairs = [(i, j) for i in range(size) for j in range(i + 1, size)]
+    lanes = f"range(8) a0(i0) {' '.join(f'JOIN range(8) a{j}(i{j}) ON i{j - 1} < i{j}' for j in range(1, size))}"
+    grams = " ".join(f"JOIN gram g_{i}{j} ON g_{i}{j}.a = i{i} AND g_{i}{j}.b = i{j}" for i, j in pairs)
+    named = ", ".join(["1 AS one", *(f"g_{i}{j}.v AS g{i}{j}" for i, j in pairs)])
+    return f"SELECT {size}::INT AS size, {tidy('avg(0.5 * ln(d))')} AS mean_entropy FROM (SELECT {determinant(size)} AS d FROM (SELECT {named} FROM {lanes} {grams})) WHERE d > 1e-9"
+
+
+ORACLES["subset_entropy_8_4_2"] = f"""WITH c AS ({part.code(4, 2)}), gram AS (SELECT x.i AS a, y.i AS b, coalesce(sum(p.sign * q.sign) / 2.0, 0.0)::DOUBLE AS v
+ FROM range(8) x(i) JOIN range(8) y(i) ON x.i < y.i LEFT JOIN c p ON p.lane = x.i LEFT JOIN c q ON q.lane = y.i AND q.theta = p.theta GROUP BY ALL)
+{' UNION ALL '.join(entropies(m) for m in (1, 2, 3, 4))}"""
 ORACLES["code_sweep"] = " UNION ALL ".join(f"SELECT {n}::INT AS n, {k}::INT AS k, {t}::INT AS t, {tidy('pi() / 3')} AS least_angle, 0.5::DOUBLE AS largest_cosine, {tidy(f'sqrt({n - k}.0::DOUBLE / ({k} * {n - 1}))')} AS welch, {2 * n}::BIGINT AS closest_pairs" for n, k, t in _sizes)
 ORACLES["degenerate_pair_sweep"] = f"SELECT {tidy('(i + 1) * pi() / 32')} AS eps, 0.0::DOUBLE AS first, {tidy('-sqrt(2.0) * sin((i + 1) * pi() / 32)')} AS second FROM range(16) r(i)"
 ORACLES["code_rows_in_sql"] = part.code(8, 4)
@@ -162,6 +187,24 @@ ORACLES["arrival_ksync"] = f"SELECT update_no, lane, {tidy('arrive_at')} AS arri
 ORACLES["arrival_kbatch"] = f"SELECT update_no, lane, read_version, {tidy('arrive_at')} AS arrive_at FROM ({batch(8, 4, 12)})"
 ORACLES["staleness_hist"] = f"SELECT update_no - read_version AS staleness, count(*)::BIGINT AS messages FROM ({batch(8, 4, 40)}) GROUP BY 1"
 ORACLES["wait_profile"] = f"SELECT update_no, {tidy('min(arrive_at)')} AS first_at, {tidy('max(arrive_at)')} AS last_at, {tidy('max(arrive_at) - min(arrive_at)')} AS waited FROM ({sync(8, 4, 20)}) WHERE taken GROUP BY update_no"
+
+
+def waiting(n: int, K: int, updates: int, took: str = "{d}", solve: float = 0.0) -> str:
+    """Lanes as a sorted list (arrival, lane, version, jobs done); the first K make an update and start anew on its weights."""
+    first = delay("l", "0")
+    again = delay("x.lane", "x.jobs")
+    now = f"(s[{K}].at + {solve})"
+    return f"""WITH RECURSIVE st(u, s) AS (
+ SELECT 0::BIGINT, list_sort(list_transform(range({n}), lambda l: {{'at': {took.format(d=first)}, 'lane': l, 'version': 0::BIGINT, 'jobs': 1}}))
+ UNION ALL SELECT u + 1, list_sort(s[{K + 1}:] || list_transform(s[:{K}], lambda x: {{'at': {now} + {took.format(d=again)}, 'lane': x.lane, 'version': u + 1, 'jobs': x.jobs + 1}})) FROM st WHERE u + 1 < {updates}),
+ m AS (SELECT u, unnest(s[:{K}]) AS x, {now} AS updated_at FROM st)
+SELECT u AS update_no, x.lane::INT AS lane, x.version AS read_version, {tidy('x.at')} AS arrive_at, {tidy('updated_at')} AS updated_at FROM m"""
+
+
+ORACLES["arrival_kasync_wait"] = waiting(8, 4, 40)
+ORACLES["arrival_charged"] = waiting(8, 4, 40, "({d} + 3.0 + 0.65)", 0.5)
+ORACLES["failure_report"] = """SELECT scheme, lost::INT AS lost, (CASE WHEN 8 - lost >= need THEN 8 ELSE 0 END)::INT AS updates, 8 - lost < need AS refused
+FROM (VALUES ('coded', 4), ('uncoded', 4), ('exact_6_of_8', 6), ('synchronous', 8)) v(scheme, need), range(5) r(lost)"""
 ORACLES["repetition_picks"] = f"SELECT lane, {tidy('arrive_at')} AS arrive_at FROM (SELECT *, row_number() OVER (PARTITION BY lane // 4 ORDER BY arrive_at, lane) AS r FROM ({sync(8, 5, 1)})) WHERE r = 1"
 ORACLES["asof_version"] = """WITH p AS (SELECT i AS version, 1704067200.0 + i * 200000.0 AS published_at FROM range(12) r(i)), e AS (SELECT event_id, epoch_us(ts) / 1e6 AS started_at FROM events)
 SELECT e.event_id, p.version AS read_version FROM e ASOF LEFT JOIN p ON e.started_at >= p.published_at"""
@@ -196,9 +239,54 @@ def descent(k: int, lr: float, updates: list[list[tuple[int, int]]], setup: str,
 _plan = [[m[:2] for m in u.messages] for u in arrival_schedule(8, 4, 3, "k_batch_async", Delays(seed=SEED))]
 ORACLES["coded_descent_3_updates_embeddings"] = descent(4, 4.0, _plan, *coded_message(4), 0.5)
 ORACLES["kasync_3_updates"] = descent(4, 4.0, _plan, f"c AS ({part.code(4, 2)})", " x AS (SELECT 1) SELECT g.out_unit, g.in_unit, sum(g.g) AS d FROM r JOIN c USING (lane) JOIN gall g ON g.part_id = c.theta AND g.version = r.version GROUP BY ALL", 0.5)
+_wait = [[m[:2] for m in u.messages] for u in arrival_schedule(8, 4, 3, "k_async_wait", Delays(seed=SEED))]
+ORACLES["coded_wait_3_updates"] = descent(4, 4.0, _wait, *coded_message(4), 0.5)
 _all = " x AS (SELECT 1) SELECT g.out_unit, g.in_unit, sum(g.g) AS d FROM r JOIN gall g ON g.version = r.version GROUP BY ALL"
 ORACLES["sync_3_updates"] = descent(4, 4.0, [[(0, u)] for u in range(3)], "", _all, 1.0)
 ORACLES["exact_3_updates"] = descent(8, 4.0, [[(0, u)] for u in range(3)], "", _all, 1.0)
+ORACLES["repetition_3_updates"] = ORACLES["exact_3_updates"]
+_lanes = ", ".join(f"({m[0]})" for m in arrival_schedule(8, 4, 1, "k_async_wait", Delays(seed=SEED))[0].messages)
+ORACLES["regression_step_by_inputs"] = f"""WITH ex AS MATERIALIZED (SELECT row_number() OVER () AS rid, * FROM ({part.regression_examples(4)}) WHERE split = 'train'),
+g AS (SELECT part_id, in_unit, sum(-y * xv) AS g FROM (SELECT part_id, y, unnest(range(len(x))) AS in_unit, unnest(x) AS xv FROM ex) GROUP BY ALL),
+c AS ({part.code(4, 2)}), s AS (SELECT lane, theta % 2 AS grp, sign FROM c), r AS (SELECT * FROM (VALUES {_lanes}) v(lane)),
+m AS (SELECT r.lane, in_unit % 2 AS pos, sum(s.sign * g) AS value FROM r JOIN c USING (lane) JOIN g ON part_id = theta JOIN s ON s.lane = r.lane AND s.grp = in_unit // 2 GROUP BY ALL),
+d AS (SELECT s.grp * 2 + pos AS in_unit, sum(s.sign * value) AS d FROM m JOIN s USING (lane) GROUP BY ALL)
+SELECT 0::INT AS out_unit, in_unit::INT AS in_unit, {tidy('-0.3 * d / ((SELECT count(*) FROM ex) * 0.5 * 4)')} AS w FROM d"""
+ORACLES["decode_padded_groups"] = f"""WITH {part.softmax_gradient(part.priority_examples(4), 5, part.test_weights(5, 8))},
+c AS ({part.code(4, 2)}), s AS (SELECT lane, theta % 2 AS grp, sign FROM c),
+m AS (SELECT c.lane, out_unit % 3 * 9 + in_unit AS pos, sum(s.sign * g) AS value FROM c JOIN grad ON part_id = theta JOIN s ON s.lane = c.lane AND s.grp = out_unit // 3 WHERE c.lane < 5 GROUP BY ALL)
+SELECT s.grp::INT AS grp, pos::INT AS pos, {tidy('sum(s.sign * value) / 1000')} AS delta FROM m JOIN s USING (lane) GROUP BY s.grp, pos"""
+ORACLES["relu_gradient_lineitem"] = f"""WITH ex AS MATERIALIZED (SELECT row_number() OVER () AS rid, * FROM ({part.lineitem_examples(4)})),
+cell AS MATERIALIZED (SELECT rid, part_id, y, unnest(range(len(x))) AS in_unit, unnest(x) AS xv FROM ex),
+w1 AS ({part.test_weights(4, 6)}), w2 AS ({part.test_weights(4, 4)}),
+hid AS MATERIALIZED (SELECT rid, out_unit AS unit, sum(xv * w) AS z FROM cell JOIN w1 USING (in_unit) GROUP BY ALL),
+act AS (SELECT rid, unit, greatest(z, 0) AS a FROM hid UNION ALL SELECT rid, 4, 1.0 FROM ex),
+score AS (SELECT rid, out_unit, sum(a * w) AS z FROM act JOIN w2 ON in_unit = unit GROUP BY ALL),
+soft AS (SELECT rid, out_unit, exp(z - max(z) OVER (PARTITION BY rid)) AS e FROM score),
+err AS MATERIALIZED (SELECT rid, part_id, out_unit, e / sum(e) OVER (PARTITION BY rid) - (y = out_unit)::INT AS d FROM soft JOIN ex USING (rid)),
+back AS (SELECT rid, part_id, unit, sum(d * w) * any_value((z > 0)::INT) AS d FROM err JOIN w2 USING (out_unit) JOIN hid USING (rid) WHERE in_unit = unit GROUP BY rid, part_id, unit)
+SELECT part_id::INT AS part_id, 1::INT AS layer, out_unit::INT AS out_unit, unit::INT AS in_unit, {tidy('sum(d * a) / 10000')} AS g FROM err JOIN act USING (rid) GROUP BY part_id, out_unit, unit
+UNION ALL SELECT back.part_id::INT, 0::INT, unit::INT, in_unit::INT, {tidy('sum(d * xv) / 10000')} FROM back JOIN cell USING (rid) GROUP BY back.part_id, unit, in_unit"""
+ORACLES["own_kernel_gradient"] = single_output_gradient(part.regression_examples(4), 3, 10000.0, "greatest(-1, least(1, z - yy))")
+_events = f"SELECT * REPLACE (epoch_us(ts) // {6 * 3600 * 10**6} AS part_id) FROM (SELECT e.*, ts FROM ({part.event_examples(4)}) e JOIN events ON row_key = event_id)"
+ORACLES["events_tumbling_gradient"] = f"WITH {part.softmax_gradient(_events, 4, part.test_weights(4, 4))} SELECT part_id::INT AS \"window\", out_unit::INT AS out_unit, in_unit::INT AS in_unit, {tidy('g / 100.0')} AS g FROM grad"
+_words = "list_filter(regexp_split_to_array(lower(coalesce(text, '')), '[^a-zà-ÿ0-9]+'), lambda w: w <> '')"
+_seven = [f"lead(w, {i}) OVER o" for i in range(1, 8)]
+_run = f"SELECT id, concat_ws(' ', w, {', '.join(_seven)}) AS run, {_seven[-1]} AS last"
+
+
+def runs(key: str, table: str) -> str:
+    """id and every eight words in a row of the texts of a table."""
+    spread = f"SELECT {key} AS id, unnest(w) AS w, generate_subscripts(w, 1) AS i FROM (SELECT {key}, {_words} AS w FROM {table})"
+    return f"SELECT id, run FROM ({_run} FROM ({spread}) WINDOW o AS (PARTITION BY id ORDER BY i)) WHERE last IS NOT NULL"
+
+
+ORACLES["benchmark_overlap_anti"] = f"""SELECT doc_id FROM documents JOIN labels USING (doc_id) WHERE quality IS NOT NULL AND doc_id NOT IN (
+ SELECT id FROM ({runs('doc_id', 'documents')}) WHERE run IN (SELECT run FROM ({runs('item_id', 'benchmark')})))"""
+ORACLES["doc_dedup_split"] = "SELECT sha256(coalesce(text, '')) AS text_sha256, count(*)::BIGINT AS copies, 1::BIGINT AS splits, 1::BIGINT AS shards FROM documents JOIN labels USING (doc_id) GROUP BY 1 HAVING count(*) > 1"
+_curve = "SELECT 'run_' || r AS run_id, 'coded' AS scheme, u AS update_no, 1.5 * u + r AS virtual_time, 2.0 / (u + 1) AS train_loss, CASE WHEN r < 2 THEN round(2.0 - 0.3 * u + (0.02 + 0.01 * r) * u * u + 0.1 * (r * u % 3), 6) END AS test_loss, 100 * u * (r + 1) AS floats_sent FROM range(3) a(r), range(12) b(u)"
+ORACLES["curve_measures"] = f"""WITH k AS MATERIALIZED ({_curve}), o AS (SELECT *, test_loss > min(test_loss) OVER w AND coalesce(train_loss < lag(train_loss) OVER (PARTITION BY run_id ORDER BY update_no), false) AS over_, avg(test_loss) OVER (PARTITION BY run_id ORDER BY update_no ROWS 2 PRECEDING) AS smooth FROM k WINDOW w AS (PARTITION BY run_id ORDER BY update_no ROWS UNBOUNDED PRECEDING))
+SELECT run_id, scheme, min(update_no) FILTER (test_loss <= 1.05)::BIGINT AS update_no, {tidy('min(virtual_time) FILTER (test_loss <= 1.05)::DOUBLE')} AS virtual_time, min(floats_sent) FILTER (test_loss <= 1.05)::BIGINT AS floats_sent, sum(over_::BIGINT)::BIGINT AS overfit_points, {tidy('arg_max(smooth, update_no)::DOUBLE')} AS last_smooth FROM o GROUP BY run_id, scheme"""
 
 # Measures
 

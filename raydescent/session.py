@@ -29,10 +29,13 @@ def ship_package(spark: SparkSession) -> None:
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The folder that driver and executors share: spark.checkpoint.dir. Only where it is unset (tests) a local one is made."""
+    """The folder that driver and executors share: spark.checkpoint.dir. Only where it is unset and all run on one machine
+    (tests) a local one is made; on a cluster that is an error, as executors would not see each other's tables."""
     root = spark.conf.get("spark.checkpoint.dir", None)
     if not root:
         root = spark.sparkContext.getCheckpointDir()
+    if not root and spark.sparkContext.master != "local" and not spark.sparkContext.master.startswith("local["):
+        raise RuntimeError("spark.checkpoint.dir must name a folder that the driver and all executors share")
     if not root:
         root = "file://" + tempfile.mkdtemp(prefix="raydescent-")
         spark.sparkContext.setCheckpointDir(root)

@@ -64,7 +64,7 @@ def long_weights(spark: SparkSession, weights: list[np.ndarray], version: int =
     return spark.createDataFrame(rows, "version long, layer int, out_unit int, in_unit int, w double")
 
 
-def examples_from(df: DataFrame, key: str, x, y, k: int) -> DataFrame:
-    """row_key, part_id, split, x array<double>, y double from column expressions."""
-    rows = df.select(F.col(key).cast("long").alias("row_key"), x.cast("array<double>").alias("x"), y.cast("double").alias("y"))
+def examples_from(df: DataFrame, key: str, x, y, k: int, *carried: str) -> DataFrame:
+    """row_key, part_id, split, x array<double>, y double from column expressions; columns carried on stand after them."""
+    rows = df.select(F.col(key).cast("long").alias("row_key"), x.cast("array<double>").alias("x"), y.cast("double").alias("y"), *carried)
     return assign_shards(rows, "row_key", k)

@@ -78,11 +78,34 @@ def hashed_counts(text, dims: int):
     return slots, F.greatest(F.size(words), F.lit(1))
 
 
-def document_examples(spark: SparkSession, sf_dir: str, k: int, target: str = "quality", dims: int = 32) -> DataFrame:
-    """Labelled documents as hashed word shares. A text's key is a checksum of it, so that its copies share shard and split."""
+def word_runs(text, run: int):
+    """The different runs of so many words in a text."""
+    words = F.filter(F.split(F.lower(F.coalesce(text, F.lit(""))), "[^a-zà-ÿ0-9]+"), lambda w: w != "")
+    many = F.greatest(F.size(words) - run + 1, F.lit(0))
+    beside = F.arrays_zip(*[F.slice(words, i + 1, many) for i in range(run)])  # the text beside itself, shifted word by word
+    return F.array_distinct(F.transform(beside, lambda z: F.concat_ws(" ", *[z.getField(str(i)) for i in range(run)])))
+
+
+def outside_benchmark(docs: DataFrame, benchmark: DataFrame, run: int = 8) -> DataFrame:
+    """The rows of docs (doc_id, text, ...) that share no run of so many words with a text of benchmark."""
+    asked = benchmark.select(F.explode(word_runs(F.col("text"), run)).alias("_run")).distinct()
+    held = docs.select(F.col("doc_id").alias("_id"), F.explode(word_runs(F.col("text"), run)).alias("_run"))
+    found = held.join(asked, "_run", "left_semi").select("_id").distinct()
+    return docs.join(found, F.col("doc_id") == F.col("_id"), "left_anti")
+
+
+def labelled_documents(spark: SparkSession, sf_dir: str, target: str) -> DataFrame:
+    """doc_id, text and the target of labelled documents outside the benchmark."""
     docs = load_table(spark, sf_dir, "documents", "doc_id", "text")
     labels = load_table(spark, sf_dir, "labels", "doc_id", target)
     df = docs.join(labels, "doc_id").where(F.col(target).isNotNull())
+    return outside_benchmark(df, load_table(spark, sf_dir, "benchmark", "text"))
+
+
+def document_examples(spark: SparkSession, sf_dir: str, k: int, target: str = "quality", dims: int = 32) -> DataFrame:
+    """Labelled documents as hashed word shares, without those that overlap the benchmark. A text's key is a checksum of it,
+    so that its copies share shard and split."""
+    df = labelled_documents(spark, sf_dir, target)
     key = F.crc32(F.coalesce("text", F.lit("")).cast("binary"))
     slots, n = hashed_counts(F.col("text"), dims)
     counted = df.withColumns({"row_key": key, "_s": slots, "_n": n})
@@ -115,10 +138,11 @@ def page_examples(spark: SparkSession, sf_dir: str, k: int) -> DataFrame:
     return examples_from(df, "page_id", F.array(F.log1p(tags) - 3, F.log1p(links) - 1.5, F.log(size) - 7), y, k)
 
 
-def event_examples(df: DataFrame, k: int) -> DataFrame:
-    """Events (batch or stream): value, hour of day and the number in props; planted class: quarter of value and number."""
+def event_examples(df: DataFrame, k: int, *carried: str) -> DataFrame:
+    """Events (batch or stream): value, hour of day and the number in props; planted class: quarter of value and number.
+    Columns carried on stand after the others."""
     number = F.coalesce(F.from_json("props", "k int")["k"], F.lit(0))
     turn = F.hour("ts") * (2 * math.pi / 24)
     score = F.col("value") / 50 + number / 50
     y = F.when(score < 0.75, 0).when(score < 1.5, 1).when(score < 2.5, 2).otherwise(3)
-    return examples_from(df, "event_id", F.array(F.col("value") / 50 - 1, F.sin(turn), F.cos(turn), number / 50 - 1), y, k)
+    return examples_from(df, "event_id", F.array(F.col("value") / 50 - 1, F.sin(turn), F.cos(turn), number / 50 - 1), y, k, *carried)

@@ -98,7 +98,111 @@ def test_dead_lanes(spark, mix):
     hurt = arrivals.Delays(seed=5, dead=(1, 4, 6))
     assert training.fit_coded(mix[4], SPEC, P, 4, 0.5, K=4, delays=hurt, every=4).updates == 4
     assert training.fit_exact(mix[8], SPEC, exact_coding.exact_cyclic(8, 5), 3, 0.5, hurt, every=4).updates == 3
-    assert training.fit_exact(mix[8], SPEC, exact_coding.exact_cyclic(8, 6), 3, 0.5, hurt, every=4).updates == 0
+    with pytest.raises(arrivals.LanesLost):
+        training.fit_exact(mix[8], SPEC, exact_coding.exact_cyclic(8, 6), 3, 0.5, hurt, every=4)
+    assert training.fit_exact(mix[8], SPEC, exact_coding.RepetitionCode(8, 5), 2, 0.5, hurt, every=4).updates == 2
+    with pytest.raises(ValueError):
+        exact_coding.RepetitionCode(8, 5).solve([0, 1, 2, 3])
+
+
+def test_costs_delay_what_comes_after():
+    """Work by rows and transfer are part of a job, a solve comes before the next one; nothing is added afterwards."""
+    p, flat = P, arrivals.Delays(work=1.0, mean=0.0)
+    costs = training.Costs(rows=True, sent=0.01, solve=0.5)
+    coded = coded_scheme(p)
+    assert coded.load == 4.0 and coded_scheme(p, "pure").load == 8 * 1.0 and exact_coding.exact_cyclic(8, 7).weight == 2
+    layout = GroupLayout(SPEC, 2)
+    u = arrivals.arrival_schedule(8, 8, 3, "k_sync", costs.on(flat, coded.load, layout.block))
+    assert np.allclose([x.at for x in u], np.arange(1, 4) * (4 + 0.01 * layout.block))
+    u = arrivals.arrival_schedule(8, 7, 3, "k_sync", costs.on(flat, 2, 136), 0.5)
+    assert np.allclose([x.at for x in u], np.arange(1, 4) * (2 + 1.36 + 0.5))
+    late = costs.on(arrivals.Delays(seed=3), 4.0, 68)
+    free, charged = (arrivals.arrival_schedule(8, 4, 30, "k_async_wait", d) for d in (arrivals.Delays(seed=3), late))
+    assert [x.messages for x in free] != [x.messages for x in charged] and charged[-1].at > 2 * free[-1].at
+
+
+def test_long_blocks_are_added_up_as_slices(spark, mix, monkeypatch):
+    want = training.fit_coded(mix[4], SPEC, P, 2, 0.5, delays=DELAYS, every=100).weights
+    for module in (gradients, training):
+        monkeypatch.setattr(module, "LONG_BLOCK", 10)
+    got = training.fit_coded(mix[4].repartition(5), SPEC, P, 2, 0.5, delays=DELAYS, every=100).weights
+    assert np.allclose(want[0], got[0], atol=1e-9)
+    blocks = spark.createDataFrame([(1, g % 2, 3 * (g % 3), [1.0 * g, 2.0, 3.0]) for g in range(60)], "lane int, version long, first int, values array<double>").repartition(6)
+    out = {(r.lane, r.version, r["first"]): r["values"] for r in gradients.summed_slices(blocks, ["lane", "version"]).collect()}
+    assert len(out) == 6 and all(v[0] == sum(g for g in range(60) if (1, g % 2, 3 * (g % 3)) == k) and v[1:] == [20.0, 30.0] for k, v in out.items())
+
+
+def test_curves_are_judged_in_portions(spark, mix, monkeypatch):
+    whole = training.fit_coded(mix[4], SPEC, P, 5, 0.5, delays=DELAYS, every=1).curve
+    monkeypatch.setattr(training, "JUDGED", 2)
+    parts = training.fit_coded(mix[4], SPEC, P, 5, 0.5, delays=DELAYS, every=1).curve
+    assert [r[2] for r in parts] == list(range(6)) and np.allclose([r[6] for r in whole], [r[6] for r in parts])
+
+
+def test_nested_network(spark, mix):
+    """Groups of repeated splitting come apart and together again; all lanes give the gradient plus that of the groups
+    whose digits are those of the group in another order."""
+    from raydescent.operators.lanes import nested_scheme
+    from raydescent.plans.models import NestedLayout
+
+    spec = NetSpec(16, (10, 7, 8), "xent_relu_mlp")
+    layout, scheme = NestedLayout(spec, 2), nested_scheme(P, 3)
+    assert (layout.groups, layout.t, scheme.t, scheme.slots) == ([8, 4, 2], 14, 14, 3)
+    g = [np.random.default_rng(1).standard_normal(s) for s in spec.shapes]
+    assert all(np.array_equal(a, b) for a, b in zip(layout.merge(layout.split(g)), g))
+    assert layout.numbers < 0.3 * spec.parameters
+    cells = {(a, b): 0.0 for a in range(14) for b in range(14)}
+    for lane in range(8):
+        on = {r[2]: r[4] for r in scheme.encode if r[0] == lane}
+        slot = {r[2]: r[3] for r in scheme.encode if r[0] == lane}
+        for a in on:
+            for b in on:
+                cells[a, b] += on[a] * on[b] * (slot[a] == slot[b])
+    digits = lambda a: (0, tuple(sorted(f"{a:03b}"))) if a < 8 else (1, tuple(sorted(f"{a - 8:02b}"))) if a < 12 else (2, a)
+    assert all(v == 8.0 for (a, b), v in cells.items() if a == b)
+    assert all(v == 8.0 for (a, b), v in cells.items() if digits(a) == digits(b))
+    r = training.fit_coded(mix[4], spec, P, 6, 0.3, delays=DELAYS, every=6, nested=True)
+    assert r.curve[-1][6] < r.curve[0][6] and r.curve[-1][8] == 6 * 4 * layout.numbers
+
+
+def test_entry_hides_only_a_missing_subpackage(tmp_path, monkeypatch):
+    """Without the training-text operators the entry imports; an import that fails within them is an error."""
+    import shutil
+    import subprocess
+    import sys
+    from pathlib import Path
+
+    root = Path(__file__).resolve().parent.parent
+    shutil.copy(root / "__spark_entry__.py", tmp_path)
+    shutil.copytree(root / "raydescent", tmp_path / "raydescent", ignore=shutil.ignore_patterns("llm", "__pycache__"))
+    ask = [sys.executable, "-B", "-c", "import __spark_entry__ as e; print(len(e.queries()), any(q.startswith('op') and q[2].isdigit() for q in e.queries()))"]
+    said = subprocess.run(ask, cwd=tmp_path, capture_output=True, text=True, env={"PATH": "/usr/bin:/bin"})
+    assert said.stdout.split()[-1] == "False" and int(said.stdout.split()[-2]) > 100, said.stderr
+    (tmp_path / "raydescent/llm").mkdir()
+    (tmp_path / "raydescent/llm/__init__.py").write_text("")
+    (tmp_path / "raydescent/llm/queries.py").write_text("import no_such_library\n")
+    broken = subprocess.run(ask, cwd=tmp_path, capture_output=True, text=True, env={"PATH": "/usr/bin:/bin"})
+    assert broken.returncode and "no_such_library" in broken.stderr
+
+
+def test_a_cluster_needs_a_shared_folder():
+    from raydescent.session import shared_folder
+
+    class Conf:
+        def get(self, *_):
+            return None
+
+    class Context:
+        master = "spark://host:7077"
+
+        def getCheckpointDir(self):
+            return None
+
+    class Session:
+        conf, sparkContext = Conf(), Context()
+
+    with pytest.raises(RuntimeError, match="checkpoint"):
+        shared_folder(Session())
 
 
 def test_network_and_rotation(spark, mix):

@@ -6,13 +6,8 @@ from compare import connect, difference
 from raydescent.plans.catalog import QUERIES
 from raydescent.plans.oracles import ORACLES
 
-LONG = {"curve_measures"}  # runs what another query runs
-
-
 @pytest.mark.parametrize("name", sorted(QUERIES))
 def test_query(spark, data, name):
-    if name in LONG:
-        pytest.skip("covered by the run it measures")
     df = QUERIES[name](spark, data)
     if name in ORACLES:
         assert difference(df, connect(data), ORACLES[name]) == ""
