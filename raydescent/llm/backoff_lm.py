@@ -9,7 +9,8 @@ row per n-gram would not fit the disk that the job may use. A key is the n-gram'
 longer n-grams, of 128, so that different n-grams never share one.
 
 score(w) = count(h w) / count(h) for the longest history h whose n-gram is counted least times at least, times alpha
-for each word of history given up; a single id has count / total.
+for each word of history given up; a single id has count / total. In a corpus that is scored by itself a text vouches for
+itself: n-grams that nothing else has are counted by it. So each text is also scored by the counts of all other texts.
 """
 
 from __future__ import annotations
@@ -194,23 +195,44 @@ def looked_up(keys: np.ndarray, known: np.ndarray, totals: np.ndarray, unknown:
     return out
 
 
-def place_scores(ids: np.ndarray, sizes: np.ndarray, single: np.ndarray, total: int, tables: dict[int, tuple[np.ndarray, np.ndarray]], top: int, base: int, alpha: float, unknown: int = 0) -> np.ndarray:
-    """log of the stupid-backoff score of every place; an n-gram that is not in the tables was counted unknown times."""
-    score = np.log(single[ids.astype(np.int64)] / total)
-    history = single[ids.astype(np.int64)]
+def own_counts(keys: np.ndarray, doc: np.ndarray, order: int, base: int) -> np.ndarray:
+    """How often each place's n-gram occurs in the place's own document."""
+    if not len(keys):
+        return np.zeros(0)
+    many = int(doc[-1]) + 1
+    if base**order * many < 1 << 63:
+        cell = keys + doc.astype(np.uint64) * np.uint64(base**order)
+    else:
+        names, at = np.unique(keys, return_inverse=True)
+        cell = doc * len(names) + at
+    _, at, n = np.unique(cell, return_inverse=True, return_counts=True)
+    return n[at].astype(np.float64)
+
+
+def place_scores(ids: np.ndarray, sizes: np.ndarray, single: np.ndarray, total: int, tables: dict[int, tuple[np.ndarray, np.ndarray]], top: int, base: int, alpha: float, unknown: int = 0) -> tuple[np.ndarray, np.ndarray]:
+    """log of the stupid-backoff score of every place, by all texts and by all others; an n-gram that is not in the tables
+    was counted unknown times. An id that no other text has counts there as if it had been seen once."""
+    flat, doc = ids.astype(np.int64), np.repeat(np.arange(len(sizes)), sizes)
+    history = single[flat]
+    score = np.log(history / total)
+    before = history - own_counts(ids, doc, 1, base)
+    other = np.log(np.maximum(before, 1) / np.maximum(total - sizes[doc], 1))
     for order in range(2, top + 1):
         keys, ends = gram_keys(ids, sizes, order, base)
         counts = looked_up(keys, *tables.get(order, (keys[:0], np.zeros(0))), unknown)
-        seen = counts > 0
-        score[ends] += np.log(alpha)  # one more word of history given up, unless this order is known
-        score[ends[seen]] = np.log(counts[seen] / history[ends[seen] - 1])
-        history = np.zeros(len(ids))
-        history[ends] = counts
-    return score
+        others = np.maximum(counts - own_counts(keys, doc[ends], order, base), 0)
+        for out, n, had in ((score, counts, history), (other, others, before)):
+            seen = n > 0
+            out[ends] += np.log(alpha)  # one more word of history given up, unless this order is known
+            out[ends[seen]] = np.log(n[seen] / had[ends[seen] - 1])
+        history, before = np.zeros(len(ids)), np.zeros(len(ids))
+        history[ends], before[ends] = counts, others
+    return score, other
 
 
 def backoff_scores(docs: DataFrame, vocabulary: str, top: int = 3, least: int = 1, alpha: float = 0.4, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """id, n_tokens, log_score (sum over the places), mean_log_score (null without ids) of every row of docs.
+    """id, n_tokens, log_score (sum over the places), mean_log_score (null without ids) of every row of docs, and
+    others_log_score and mean_others_log_score by the counts of all other rows.
 
     Null and empty texts have no ids and log_score 0. Rows with one id are scored each by itself. top: longest n-gram
     (as long as 128 bits hold it: 8 for vocabularies of up to 65,536); with least above 1, n-grams counted less often are
@@ -250,16 +272,16 @@ def backoff_scores(docs: DataFrame, vocabulary: str, top: int = 3, least: int =
         del keys, totals
         docs_, many, out = [], [], []
         for row, (_, ids, sizes) in zip(left.column("ids").to_pylist(), _rows(left.to_batches())):
-            places = place_scores(ids, sizes, held.value, total, tables, top, base, alpha, int(least < 2))
-            sums, full = np.zeros(len(sizes)), np.flatnonzero(sizes)
+            sums, full = np.zeros((2, len(sizes))), np.flatnonzero(sizes)
             if len(full):
-                sums[full] = np.add.reduceat(places, (np.cumsum(sizes) - sizes)[full])
+                for i, places in enumerate(place_scores(ids, sizes, held.value, total, tables, top, base, alpha, int(least < 2))):
+                    sums[i, full] = np.add.reduceat(places, (np.cumsum(sizes) - sizes)[full])
             docs_ += row
             many.append(sizes)
             out.append(sums)
-        joined = [np.concatenate(x) if x else np.zeros(0) for x in (many, out)]
-        return pa.table({"id": pa.array(docs_, pa.int64()), "n_tokens": pa.array(joined[0], pa.int64()), "log_score": pa.array(joined[1], pa.float64())})
+        n, sums = (np.concatenate(many), np.concatenate(out, axis=1)) if many else (np.zeros(0), np.zeros((2, 0)))
+        return pa.table({"id": pa.array(docs_, pa.int64()), "n_tokens": pa.array(n, pa.int64()), "log_score": pa.array(sums[0]), "others_log_score": pa.array(sums[1])})
 
-    scored = table.groupBy("chunk").cogroup(found.groupBy("chunk")).applyInArrow(score, "id long, n_tokens long, log_score double")
-    mean = F.when(F.col("n_tokens") > 0, F.col("log_score") / F.col("n_tokens"))
-    return scored.select(F.col("id").alias(id_col), "n_tokens", "log_score", mean.alias("mean_log_score"))
+    scored = table.groupBy("chunk").cogroup(found.groupBy("chunk")).applyInArrow(score, "id long, n_tokens long, log_score double, others_log_score double")
+    mean = lambda c: F.when(F.col("n_tokens") > 0, F.col(c) / F.col("n_tokens")).alias(f"mean_{c}")
+    return scored.select(F.col("id").alias(id_col), "n_tokens", "log_score", mean("log_score"), "others_log_score", mean("others_log_score"))

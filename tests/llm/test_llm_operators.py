@@ -832,9 +832,30 @@ def test_backoff_scores_of_order_five(spark, empty):
                 if g in known[n] and (n == 1 or g[:-1] in known[n - 1]):
                     return math.log(known[n][g] / (known[n - 1][g[:-1]] if n > 1 else total)) + (longest - n) * math.log(0.4)
 
-        got = {r.doc_id: r.log_score for r in m.backoff_scores(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(3), BYTE, top=5, least=least).collect()}
+        got = {r.doc_id: r for r in m.backoff_scores(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(3), BYTE, top=5, least=least).collect()}
         for i, x in enumerate(ids):
-            assert abs(got[i] - sum(score(x, j) for j in range(len(x)))) < 1e-6
+            assert abs(got[i].log_score - sum(score(x, j) for j in range(len(x)))) < 1e-6
+        if least > 1:
+            continue
+        for i, x in enumerate(ids):  # by the counts of all other texts
+            rest = {n: counts[n] - Counter(tuple(x[j : j + n]) for j in range(len(x) - n + 1)) for n in counts}
+            want = 0.0
+            for j in range(len(x)):
+                longest = min(5, j + 1)
+                n = next((n for n in range(longest, 1, -1) if rest[n][tuple(x[j - n + 1 : j + 1])] > 0), 1)
+                g = tuple(x[j - n + 1 : j + 1])
+                want += math.log(rest[n][g] / rest[n - 1][g[:-1]] if n > 1 else max(rest[1][g], 1) / max(total - len(x), 1)) + (longest - n) * math.log(0.4)
+            assert abs(got[i].others_log_score - want) < 1e-6
+
+
+def test_scores_by_others_tell_copies(spark):
+    """A text that stands twice in the corpus is likely by the rest of it, a text that stands once is not."""
+    from raydescent.llm.backoff_lm import backoff_scores
+
+    rng = random.Random(5)
+    texts = [" ".join(rng.choice("abcdefghijklmnopqrstuvwxyz") + str(rng.randrange(100)) for _ in range(80)) for _ in range(60)]
+    got = {r.doc_id: r for r in backoff_scores(spark.createDataFrame(list(enumerate(texts + texts[:10])), "doc_id long, text string").repartition(3), BYTE).collect()}
+    assert min(got[i].mean_others_log_score for i in (*range(10), *range(60, 70))) > max(got[i].mean_others_log_score for i in range(10, 60)) + 1
 
 
 def test_packed_numbers():
