@@ -15,7 +15,7 @@ from raydescent.plans.models import GroupLayout, NetSpec
 from raydescent.plans.params import CodeParams, embed_parameters
 from raydescent.session import shared_folder
 from raydescent.sources import mixture, workloads
-from raydescent.sources.tables import load_table
+from raydescent.sources.tables import load_table, read_any
 from raydescent.streaming import master
 
 QUERIES: dict = {}
@@ -320,8 +320,8 @@ def benchmark_overlap_anti(spark: SparkSession, sf_dir: str) -> DataFrame:
 def doc_dedup_split(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Texts of labelled documents that occur more than once, and in how many splits and shards they are: one."""
     docs = load_table(spark, sf_dir, "documents", "doc_id", "text").join(load_table(spark, sf_dir, "labels", "doc_id"), "doc_id")
-    key = F.crc32(F.coalesce("text", F.lit("")).cast("binary"))
     body = F.coalesce("text", F.lit(""))
+    key = workloads.text_number(body)
     by = docs.groupBy(F.sha2(body, 256).alias("text_sha256")).agg(F.count("*").alias("copies"), F.count_distinct(layout.split_of(key)).alias("splits"), F.count_distinct(layout.shard_of(key, 4)).alias("shards"))
     return by.where("copies > 1")
 
@@ -421,6 +421,46 @@ def events_rolling(spark: SparkSession, sf_dir: str) -> DataFrame:
     return e.select("event_id", tidy(F.sum("value").over(w), 3).alias("day_value"))
 
 
+def through_a_stream(df: DataFrame, made, label: str) -> DataFrame:
+    """df written to the shared folder, read as a stream, put through made, and the sink's rows."""
+    spark, folder = df.sparkSession, f"{shared_folder(df.sparkSession)}/{label}-{uuid.uuid4().hex}"
+    df.write.parquet(f"{folder}/in")
+    out = made(spark.readStream.schema(df.schema).parquet(f"{folder}/in"))
+    out.writeStream.format("parquet").option("checkpointLocation", f"{folder}/checkpoint").trigger(availableNow=True).start(f"{folder}/out").awaitTermination()
+    return spark.read.schema(out.schema).parquet(f"{folder}/out")
+
+
+@query
+def stateful_master_steps(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Forty messages through the stateful master: which make a step, which are held, how far they are behind."""
+    groups, scheme = GroupLayout(NetSpec(2, (2,)), 2), lanes.coded_scheme(P842)
+    sent = arrivals.batch_arrivals(spark, 8, 4, 10, DELAYS).select(F.lit("r").alias("run_id"), "seq", "lane", "read_version", F.array_repeat(F.lit(1.0), groups.block).alias("payload"))
+    out = through_a_stream(sent.coalesce(1), lambda s: master.stateful_master(s, scheme, groups, 4, 0.1, 100, 100), "steps")
+    return out.select("lane", "version", "staleness", "outcome")
+
+
+@query
+def stream_notice_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Messages with the notices of the ten minutes before them, two streams joined by interval."""
+    folder, start = f"{shared_folder(spark)}/notices-{uuid.uuid4().hex}", F.lit(1704067200)
+    told = spark.range(3).select(F.lit("r").alias("run_id"), F.col("id").alias("version"), F.timestamp_seconds(start + F.col("id") * 600).alias("told_at"))
+    told.write.parquet(folder)
+    notices = spark.readStream.schema(told.schema).parquet(folder)
+    sent = spark.range(6).select(F.lit("r").alias("run_id"), F.col("id").cast("int").alias("lane"), F.timestamp_seconds(start + F.col("id") * 300).alias("sent_at"))
+    return through_a_stream(sent, lambda s: master.messages_with_notices(s, notices), "messages").select("lane", "version")
+
+
+@query
+def formats_round_trip(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """A table written and read with its schema in four file formats."""
+    nation, folder, out = load_table(spark, sf_dir, "nation"), f"{shared_folder(spark)}/formats-{uuid.uuid4().hex}", None
+    for fmt in ("json", "csv", "orc", "parquet"):
+        nation.write.format(fmt).option("header", True).save(f"{folder}/{fmt}")
+        row = read_any(spark, f"{folder}/{fmt}", fmt, nation.schema).agg(F.count("*").alias("n"), F.sum("n_nationkey").alias("keys"), F.max("n_name").alias("last_name")).withColumn("format", F.lit(fmt))
+        out = row if out is None else out.union(row)
+    return out
+
+
 # Relations around the methods
 
 
@@ -557,6 +597,14 @@ def run_embeddings_softmax(spark: SparkSession, sf_dir: str) -> DataFrame:
     return curves(spark, compare(spark, lambda k: workloads.embedding_examples(spark, sf_dir, k, 0.5), EMB, P842, 8, 4.0))
 
 
+@query
+def run_embeddings_16_32(spark: SparkSession, sf_dir: str) -> DataFrame:
+    out = []
+    for size in ((16, 8, 4), (32, 16, 4)):
+        out += compare(spark, lambda k: workloads.embedding_examples(spark, sf_dir, k, 0.5), EMB, CodeParams(*size), 4, 4.0)
+    return curves(spark, out)
+
+
 @query
 def run_lineitem_softmax(spark: SparkSession, sf_dir: str) -> DataFrame:
     return curves(spark, compare(spark, lambda k: workloads.lineitem_examples(spark, sf_dir, k), NetSpec(6, (4,)), P842, 8, 0.5))

@@ -284,6 +284,13 @@ def runs(key: str, table: str) -> str:
 ORACLES["benchmark_overlap_anti"] = f"""SELECT doc_id FROM documents JOIN labels USING (doc_id) WHERE quality IS NOT NULL AND doc_id NOT IN (
  SELECT id FROM ({runs('doc_id', 'documents')}) WHERE run IN (SELECT run FROM ({runs('item_id', 'benchmark')})))"""
 ORACLES["doc_dedup_split"] = "SELECT sha256(coalesce(text, '')) AS text_sha256, count(*)::BIGINT AS copies, 1::BIGINT AS splits, 1::BIGINT AS shards FROM documents JOIN labels USING (doc_id) GROUP BY 1 HAVING count(*) > 1"
+_documents = f"""SELECT row_key, {part.shard('row_key', 4)} AS part_id, list_append(list_transform(range(32), lambda j: sqrt(len(list_filter(slots, lambda s: s = j)) / n)), 1.0) AS x, quality AS y
+FROM (SELECT quality, ('0x' || substr(md5(coalesce(text, '')), 1, 8))::BIGINT AS row_key, list_transform(w, lambda v: ('0x' || substr(md5(v), 1, 8))::BIGINT % 32) AS slots, greatest(len(w), 1) AS n
+ FROM (SELECT doc_id, quality, text, {_words} AS w FROM documents JOIN labels USING (doc_id)) WHERE doc_id IN ({ORACLES['benchmark_overlap_anti']}))"""
+ORACLES["logistic_gradient_documents"] = single_output_gradient(_documents, 32, 10.0, "1 / (1 + exp(-z)) - yy")
+ORACLES["stateful_master_steps"] = f"SELECT lane, (update_no + (seq % 4 = 3)::INT)::BIGINT AS version, (update_no - read_version)::BIGINT AS staleness, CASE WHEN seq % 4 = 3 THEN 'step' ELSE 'held' END AS outcome FROM ({batch(8, 4, 10)})"
+ORACLES["stream_notice_join"] = "SELECT l::INT AS lane, v AS version FROM range(6) a(l), range(3) b(v) WHERE 5 * l - 10 * v BETWEEN 0 AND 10"
+ORACLES["formats_round_trip"] = "SELECT format, count(*)::BIGINT AS n, sum(n_nationkey)::BIGINT AS keys, max(n_name) AS last_name FROM nation, (VALUES ('json'), ('csv'), ('orc'), ('parquet')) v(format) GROUP BY format"
 _curve = "SELECT 'run_' || r AS run_id, 'coded' AS scheme, u AS update_no, 1.5 * u + r AS virtual_time, 2.0 / (u + 1) AS train_loss, CASE WHEN r < 2 THEN round(2.0 - 0.3 * u + (0.02 + 0.01 * r) * u * u + 0.1 * (r * u % 3), 6) END AS test_loss, 100 * u * (r + 1) AS floats_sent FROM range(3) a(r), range(12) b(u)"
 ORACLES["curve_measures"] = f"""WITH k AS MATERIALIZED ({_curve}), o AS (SELECT *, test_loss > min(test_loss) OVER w AND coalesce(train_loss < lag(train_loss) OVER (PARTITION BY run_id ORDER BY update_no), false) AS over_, avg(test_loss) OVER (PARTITION BY run_id ORDER BY update_no ROWS 2 PRECEDING) AS smooth FROM k WINDOW w AS (PARTITION BY run_id ORDER BY update_no ROWS UNBOUNDED PRECEDING))
 SELECT run_id, scheme, min(update_no) FILTER (test_loss <= 1.05)::BIGINT AS update_no, {tidy('min(virtual_time) FILTER (test_loss <= 1.05)::DOUBLE')} AS virtual_time, min(floats_sent) FILTER (test_loss <= 1.05)::BIGINT AS floats_sent, sum(over_::BIGINT)::BIGINT AS overfit_points, {tidy('arg_max(smooth, update_no)::DOUBLE')} AS last_smooth FROM o GROUP BY run_id, scheme"""

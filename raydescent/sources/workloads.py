@@ -71,10 +71,15 @@ def priority_examples(spark: SparkSession, sf_dir: str, k: int) -> DataFrame:
     return examples_from(df, "o_orderkey", x, F.substring("o_orderpriority", 1, 1).cast("int") - 1, k)
 
 
+def text_number(text):
+    """A number of 32 bits from a text's checksum, which SQL engines agree on."""
+    return F.conv(F.substring(F.md5(text.cast("binary")), 1, 8), 16, 10).cast("long")
+
+
 def hashed_counts(text, dims: int):
     """Square roots of hashed word counts, scaled to the text's length."""
     words = F.filter(F.split(F.lower(F.coalesce(text, F.lit(""))), "[^a-zà-ÿ0-9]+"), lambda w: w != "")
-    slots = F.transform(words, lambda w: F.pmod(F.crc32(w.cast("binary")), F.lit(dims)).cast("int"))
+    slots = F.transform(words, lambda w: F.pmod(text_number(w), F.lit(dims)).cast("int"))
     return slots, F.greatest(F.size(words), F.lit(1))
 
 
@@ -106,7 +111,7 @@ def document_examples(spark: SparkSession, sf_dir: str, k: int, target: str = "q
     """Labelled documents as hashed word shares, without those that overlap the benchmark. A text's key is a checksum of it,
     so that its copies share shard and split."""
     df = labelled_documents(spark, sf_dir, target)
-    key = F.crc32(F.coalesce("text", F.lit("")).cast("binary"))
+    key = text_number(F.coalesce("text", F.lit("")))
     slots, n = hashed_counts(F.col("text"), dims)
     counted = df.withColumns({"row_key": key, "_s": slots, "_n": n})
     counted = counted.select("doc_id", "row_key", target, "_n", F.explode_outer("_s").alias("_d")).groupBy("doc_id", "row_key", target, "_n", "_d").agg(F.count("_d").alias("_c"))

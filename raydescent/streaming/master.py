@@ -15,18 +15,26 @@ from raydescent.operators.gradients import shard_gradients
 from raydescent.plans.models import GroupLayout, NetSpec
 
 STEP_SCHEMA = "run_id string, version long, lane int, staleness long, outcome string, norm double"
+STEP_COLUMNS = [c.split()[0] for c in STEP_SCHEMA.split(", ")]
 
 
-def stateful_master(messages: DataFrame, scheme: Scheme, layout: GroupLayout, K: int, lr: float, n_train: int, most_stale: int = 8) -> DataFrame:
+def stateful_master(messages: DataFrame, scheme: Scheme, layout: GroupLayout, K: int, lr: float, n_train: int, most_stale: int = 8, idle: int | None = None) -> DataFrame:
     """messages (run_id, seq, lane, read_version, payload array<double>) as a stream to the steps they cause.
 
     State of a run: weights, version and the messages waiting. A step is made of K messages in order of seq. A message
-    more than most_stale versions behind is dropped and reported as such; a lane's repeated message (same seq) too.
+    more than most_stale versions behind is dropped and reported as such; a lane's repeated message (same seq) too. The
+    state of a run that sends nothing for idle milliseconds is let go, which is reported as expired; with idle, the stream
+    makes batches for ever, also under a trigger that takes what is there.
     """
     by_lane = {lane: [r[1:] for r in scheme.decode if r[0] == lane] for lane in range(scheme.n)}
     parameters = scheme.t * layout.block
 
     def run(key: tuple, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+        if state.hasTimedOut:
+            version, *_ = state.get
+            state.remove()
+            yield pd.DataFrame([(key[0], version, -1, 0, "expired", 0.0)], columns=STEP_COLUMNS)
+            return
         version, last, flat, waiting = state.get if state.exists else (0, -1, [0.0] * parameters, [0.0] * 0)
         weights = np.array(flat).reshape(scheme.t, layout.block)
         total, held = np.zeros_like(weights), 0
@@ -52,10 +60,12 @@ def stateful_master(messages: DataFrame, scheme: Scheme, layout: GroupLayout, K:
                 total, held, version, outcome = np.zeros_like(total), 0, version + 1, "step"
             out.append((key[0], version, r.lane, behind, outcome, float(np.sqrt((weights**2).sum()))))
         state.update((version, int(last), weights.ravel().tolist(), [float(held), *total.ravel().tolist()] if held else []))
-        yield pd.DataFrame(out, columns=["run_id", "version", "lane", "staleness", "outcome", "norm"])
+        if idle is not None:
+            state.setTimeoutDuration(idle)
+        yield pd.DataFrame(out, columns=STEP_COLUMNS)
 
     schema = "version long, last long, weights array<double>, waiting array<double>"
-    return messages.groupBy("run_id").applyInPandasWithState(run, STEP_SCHEMA, schema, "append", GroupStateTimeout.NoTimeout)
+    return messages.groupBy("run_id").applyInPandasWithState(run, STEP_SCHEMA, schema, "append", GroupStateTimeout.NoTimeout if idle is None else GroupStateTimeout.ProcessingTimeTimeout)
 
 
 class MiniBatchDescent:
