@@ -488,18 +488,19 @@ def test_near_copies_of_given_similarity(spark):
     texts += [" ".join(shared + [rng.choice(words) for _ in range(100)]) for _ in range(10)]  # similar in half: all stay
     sets = [set(shingle_hashes(t, 5).tolist()) for t in texts]
     linked = {j for j in range(120, 180) if len(sets[j] & sets[j - 120]) / len(sets[j] | sets[j - 120]) >= 0.8}
-    got = {r.doc_id for r in near_dedup(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).collect()}
+    got = {r.doc_id for r in near_dedup(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string"), cosine=False).collect()}
     assert len(linked) > 50 and len(got & linked) <= 1
     assert set(range(len(texts))) - linked <= got
 
 
-def near_copies(texts, least=0.8):
+def near_copies(texts, least=0.8, cosine=False):
     """Rows that are linked, directly or through others, to a row before them; by brute force."""
     from raydescent.llm.bit_planes import join_labels
     from raydescent.llm.simhash_dedup import shingle_hashes
 
     sets = [set(shingle_hashes(t, 5).tolist()) for t in texts]
-    pairs = [(i, j) for i in range(len(sets)) for j in range(i) if len(sets[i] & sets[j]) >= least * max(1, len(sets[i] | sets[j]))]
+    alike = lambda a, b, both: both >= least * math.sqrt(max(1, len(a) * len(b))) if cosine else both >= least * max(1, len(a) + len(b) - both)
+    pairs = [(i, j) for i in range(len(sets)) for j in range(i) if sets[i] and sets[j] and alike(sets[i], sets[j], len(sets[i] & sets[j]))]
     label = join_labels(np.arange(len(sets)), np.array([p[0] for p in pairs], int), np.array([p[1] for p in pairs], int))
     return {i for i in range(len(sets)) if label[i] < i}
 
@@ -551,7 +552,7 @@ def test_near_copies_in_a_dense_family(spark, monkeypatch):
     docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(4)
     for rows in (20_000, 150):
         monkeypatch.setattr(m, "FAMILY_ROWS", rows, raising=False)
-        got = {r.doc_id for r in m.near_dedup(docs, least=0.81).collect()}
+        got = {r.doc_id for r in m.near_dedup(docs, least=0.81, cosine=False).collect()}
         assert set(range(len(texts))) - got == want
 
 
@@ -567,8 +568,10 @@ def test_family_links_against_brute_force(monkeypatch):
         sets = [np.unique(np.r_[base[rng.random(90) < 0.9], rng.choice(10**6, rng.integers(0, 12))]).astype(np.uint64) for _ in range(n)]
         side = rng.integers(0, 2, n) if sides else None
         share = np.array([[len(np.intersect1d(x, y)) / len(np.union1d(x, y)) for y in sets] for x in sets])
-        i, j, s = m._family_links(sets, side, 0.8)
-        assert np.array_equal(s, share[i, j]) and (s >= 0.8).all()
+        angle = np.array([[len(np.intersect1d(x, y)) / math.sqrt(len(x) * len(y)) for y in sets] for x in sets])
+        for cosine, share in ((True, angle), (False, share)):
+            i, j, s = m._family_links(sets, side, 0.8, cosine)
+            assert np.allclose(s, share[i, j]) and (s >= 0.8).all()
         met = (share >= 0.8) & (True if side is None else side[:, None] != side[None, :])
         assert n < 100 or 0 < met.mean() < 0.9
         assert np.array_equal(join_labels(np.arange(n), i, j), join_labels(np.arange(n), *np.nonzero(met)))
@@ -654,7 +657,7 @@ def test_near_copies_among_boilerplate(spark):
     pages = [page + own(40) for _ in range(3000)]
     texts = pages + [p[:-1] + own(1) if i % 2 else p[:100] + own(1) + p[101:] for i, p in enumerate(pages[:100])]
     texts = [" ".join(t) for t in texts]
-    got = {r.doc_id for r in near_dedup(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(8), least=0.9).collect()}
+    got = {r.doc_id for r in near_dedup(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(8), least=0.9, cosine=False).collect()}
     gone = set(range(3100)) - got
     assert len(gone & set(range(3000, 3100))) >= 95 and not gone & set(range(3000))
 
@@ -664,9 +667,10 @@ def test_near_copies_of_a_table_against_brute_force(spark):
 
     docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
     rows = sorted(texts_of(docs))
-    want = {rows[i][0] for i in near_copies([t for _, t in rows])}
-    gone = {i for i, _ in rows} - {r.doc_id for r in near_dedup(docs).collect()}
-    assert gone <= want and len(gone) >= 0.95 * len(want)
+    for cosine in (True, False):
+        want = {rows[i][0] for i in near_copies([t for _, t in rows], cosine=cosine)}
+        gone = {i for i, _ in rows} - {r.doc_id for r in near_dedup(docs, cosine=cosine).collect()}
+        assert gone <= want and len(gone) >= 0.95 * len(want)
 
 
 # Packing
