@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 import uuid
 
 import numpy as np
@@ -573,8 +574,8 @@ def _mixture(spark, rows=3200, u=16, v=8, components=16):
 
 def _rows(sf_dir: str) -> int:
     """3,200 rows at the smallest tables, and as many times more as orders has."""
-    scale = float(sf_dir.rstrip("/").rpartition("sf")[2] or 0.001) if "/sf" in sf_dir else 0.001
-    return int(3200 * max(1.0, scale / 0.001))
+    scale = re.search(r"/sf([0-9]+\.?[0-9]*)/?$", sf_dir)
+    return int(3200 * max(1.0, float(scale[1]) / 0.001)) if scale else 3200
 
 
 def mixture_run(spark: SparkSession, sf_dir: str, sizes, updates: int, **more) -> DataFrame:
