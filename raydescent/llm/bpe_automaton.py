@@ -24,6 +24,7 @@ import hashlib
 import json
 import re
 import unicodedata
+from array import array
 from functools import lru_cache
 
 import numpy as np
@@ -74,10 +75,10 @@ class TokenAutomaton:
         for number, (u, v, w) in enumerate(merges, 1):
             self._gadget(number, u, v, w)
         self.inner = {key >> 8 for key in self.trie}  # trie nodes from which a byte leads on
-        self.states: list[tuple[int, ...]] = []
-        self.number: dict[tuple[int, ...], int] = {}
+        self.states: list[bytes] = []  # each the 64-bit numbers of its pairs
+        self.number: dict[bytes, int] = {}
         self.table: dict[int, int] = {}
-        self._state((0,))  # before the first byte: no last token (0, tokens count from 1), at the trie's root
+        self._state([0])  # before the first byte: no last token (0, tokens count from 1), at the trie's root
         self._compile()
 
     def _compile(self) -> None:
@@ -112,7 +113,8 @@ class TokenAutomaton:
         del self.states[self.compiled_states :]
         self.table, self.number = dict(self._base), {pairs: i for i, pairs in enumerate(self.states)}
 
-    def _state(self, pairs: tuple[int, ...]) -> int:
+    def _state(self, alive: list[int]) -> int:
+        pairs = array("q", alive).tobytes()
         found = self.number.get(pairs)
         if found is None:
             found = self.number[pairs] = len(self.states)
@@ -122,7 +124,7 @@ class TokenAutomaton:
     def _extend(self, state: int, byte: int) -> int:
         """Make the arc of a state under a byte: its entry is the next state and the label."""
         alive, label = [], -1
-        for pair in self.states[state]:
+        for pair in memoryview(self.states[state]).cast("q"):
             last, node = pair >> 32, pair & 0xFFFFFFFF
             node = self.trie.get(node << 8 | byte)
             if node is None:
@@ -137,8 +139,8 @@ class TokenAutomaton:
         alive.append(label + 1 << 32)
         if len(self.states) - getattr(self, "compiled_states", len(self.states)) > self.most_extra:
             self._reset()
-            return self._state(tuple(alive)) << LABEL_BITS | label
-        entry = self.table[state << 8 | byte] = self._state(tuple(alive)) << LABEL_BITS | label
+            return self._state(alive) << LABEL_BITS | label
+        entry = self.table[state << 8 | byte] = self._state(alive) << LABEL_BITS | label
         return entry
 
     def _gadget(self, number: int, u: int, v: int, w: int) -> None:

@@ -20,8 +20,8 @@ def op3_separator_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     from raydescent.llm.separator_scan import count_tokens, flat_files, write_flat
 
     folder = new_folder(spark, "flat")
-    written = write_flat(table(spark, sf_dir, "documents").select("doc_id", "text"), tokenizer("byte_bpe_50k.json"), 50_256, folder)
-    counted = count_tokens(flat_files(spark, f"{folder}/*.bin"), 50_256)
+    written = write_flat(table(spark, sf_dir, "documents").select("doc_id", "text"), tokenizer("byte_bpe_50k.json"), 50_256, folder, compress=True)
+    counted = count_tokens(flat_files(spark, f"{folder}/*.bin.zst"), 50_256)
     named = counted.withColumn("stream", F.substring_index("stream", "/", -1)).join(written, ["stream", "number"])
     return named.select(F.col("id").alias("doc_id"), "n_tokens")
 

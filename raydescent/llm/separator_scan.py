@@ -10,6 +10,7 @@ from __future__ import annotations
 
 import re
 import uuid
+from itertools import count
 
 import numpy as np
 import pyarrow as pa
@@ -39,34 +40,49 @@ def flat_files(spark: SparkSession, path: str, width: int = 2, block_tokens: int
     """Blocks (stream, block, payload) of the flat files at path, ids of width bytes.
 
     Spark lists the files and their sizes; ranges of them, of any file size, are then dealt to tasks, which open the
-    file at the range's offset. A file that does not hold whole ids ends the run with an error; an empty one has no blocks.
+    file at the range's offset. A compressed file (.zst) is one range and streams through its task. A file that does not
+    hold whole ids ends the run with an error; an empty one has no blocks.
     """
     step = block_tokens * width
     span = max(1, RANGE_BYTES // step) * step
     files = spark.read.format("binaryFile").load(path).select("path", "length").where("length > 0")
-    ranges = files.select("path", "length", F.explode(F.sequence(F.lit(0).cast("long"), F.col("length") - 1, F.lit(span).cast("long"))).alias("first"))
-    many = files.agg(F.sum(F.ceil(F.col("length") / span))).first()[0] or 1
+    last = F.when(F.col("path").endswith(".zst"), 0).otherwise(F.col("length") - 1)
+    ranges = files.select("path", "length", F.explode(F.sequence(F.lit(0).cast("long"), last, F.lit(span).cast("long"))).alias("first"))
+    many = files.agg(F.sum(1 + F.floor(last / span))).first()[0] or 1
+
+    def block(name, number, body):
+        if len(body) % width:
+            raise ValueError(f"{name} does not hold whole ids of {width} bytes")
+        return pa.RecordBatch.from_arrays([pa.array([name]), pa.array([number], pa.int64()), pa.array([body], pa.binary())], ["stream", "block", "payload"])
 
     def run(batches):
         for batch in batches:
             for name, length, first in zip(*(batch.column(c).to_pylist() for c in ("path", "length", "first"))):
-                if length % width:
-                    raise ValueError(f"{name} does not hold whole ids of {width} bytes")
                 store, place = opened(name)
+                if name.endswith(".zst"):
+                    with store.open_input_stream(place) as f:
+                        for number in count():
+                            body = f.read(step)
+                            while 0 < len(body) < step and (more := f.read(step - len(body))):
+                                body += more
+                            if not body:
+                                break
+                            yield block(name, number, body)
+                    continue
                 with store.open_input_file(place) as f:
                     f.seek(first)
                     for at in range(first, min(first + span, length), step):
                         body = f.read(min(step, length - at))
                         if len(body) != min(step, length - at):
                             raise OSError(f"{name} has become shorter")
-                        yield pa.RecordBatch.from_arrays([pa.array([name]), pa.array([at // step], pa.int64()), pa.array([body], pa.binary())], ["stream", "block", "payload"])
+                        yield block(name, at // step, body)
 
     return ranges.repartition(int(many)).mapInArrow(run, "stream string, block long, payload binary")
 
 
-def write_flat(docs: DataFrame, vocabulary: str, end_id: int, folder: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """Write the texts of docs as flat files into folder, one per input partition, and return (stream, number, id): which
-    row is the number-th document of which file. Ids have 16 bits, or 32 if the vocabulary is larger. Special tokens in a
+def write_flat(docs: DataFrame, vocabulary: str, end_id: int, folder: str, compress: bool = False, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """Write the texts of docs as flat files (.bin, or .bin.zst) into folder, one per input partition, and return (stream,
+    number, id): which row is the number-th document of which file. Ids have 16 bits, or 32 if the vocabulary is larger. Special tokens in a
     text are ordinary text, so that no text holds the end id; null is empty.
 
     A task that is run again writes another file; only the files that the returned (written) table names are whole.
@@ -80,7 +96,7 @@ def write_flat(docs: DataFrame, vocabulary: str, end_id: int, folder: str, id_co
         return pa.RecordBatch.from_arrays([pa.array([x], k) for x, k in zip((name, first, ids), kinds)], ["stream", "first", "ids"])
 
     def run(batches):
-        bpe, name, out, number, receipt = held.value, f"{uuid.uuid4().hex}.bin", None, 0, []
+        bpe, name, out, number, receipt = held.value, f"{uuid.uuid4().hex}.bin{'.zst' if compress else ''}", None, 0, []
         for batch in batches:
             for doc, text in zip(batch.column("id").to_pylist(), batch.column("text").to_pylist()):
                 if out is None:

@@ -375,6 +375,10 @@ def test_separator_scan(spark, odd, empty, library, tmp_path, monkeypatch):
         got = counted.selectExpr("substring_index(stream, '/', -1) stream", "number", "n_tokens", "ended").join(written, ["stream", "number"]).collect()
         assert all(r.ended for r in got)
         assert sorted((r.id is None, r.id or 0, r.n_tokens) for r in got) == want
+    squeezed = m.write_flat(odd, BYTE, 50_256, f"file://{tmp_path}/zst", compress=True)
+    counted = m.count_tokens(m.flat_files(spark, f"file://{tmp_path}/zst/*", block_tokens=100), 50_256)
+    got = counted.selectExpr("substring_index(stream, '/', -1) stream", "number", "n_tokens").join(squeezed, ["stream", "number"]).collect()
+    assert sorted((r.id is None, r.id or 0, r.n_tokens) for r in got) == want
     assert m.write_flat(empty, BYTE, 50_256, f"file://{tmp_path}/none").count() == 0
     rng = np.random.default_rng(0)
     for name, n in (("a", 1000), ("b", 0), ("c", 5)):
