@@ -10,6 +10,7 @@ from raydescent.plans.catalog import QUERIES
 
 #: The table that each reads.
 READS = {
+    "angle_profile_8_4_2": "lineitem",
     "angle_profile_64_32_8": "lineitem",
     "angle_profile_16_8_4": "lineitem",
 }
