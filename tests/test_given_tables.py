@@ -3,13 +3,17 @@
 import math
 from collections import Counter
 
+import duckdb
 import pytest
 
-from raydescent.operators import codes, geometry, layout
+from compare import difference
+from raydescent.operators import arrivals, codes, geometry, layout
 from raydescent.plans.catalog import QUERIES
+from raydescent.plans.oracles import ORACLES
 
 #: The table that each reads.
 READS = {
+    "arrival_charged": "events",
     "angle_profile_8_4_2": "lineitem",
     "angle_profile_64_32_8": "lineitem",
     "angle_profile_16_8_4": "lineitem",
@@ -49,3 +53,57 @@ def test_angles_without_rows(spark):
     none = layout.rows_by_shard(spark.createDataFrame([(None,)], "k long"), codes.F.col("k"), 4)
     got = [tuple(r) for r in geometry.row_angle_profile(codes.projective_code(spark, 4, 2), none, 8).collect()]
     assert got == [(0, round(math.pi / 2, 6), 28)]
+
+
+ARRIVALS = sorted(n for n in READS if n.startswith("arrival"))
+
+
+@pytest.mark.parametrize("name", ARRIVALS)
+def test_every_event_is_a_message(spark, data, name):
+    df = QUERIES[name](spark, data)
+    run = ["run", "update_no"] if "run" in df.columns else ["update_no"]
+    sizes = Counter(r["count"] for r in df.groupBy(*run).count().collect())
+    events = spark.read.parquet(f"{data}/events.parquet").count()
+    per = 8 if name == "arrival_ksync" else 4
+    assert sizes == Counter({per: events // per} | ({events % per: 1} if events % per else {}))
+
+
+@pytest.mark.parametrize("name", ARRIVALS)
+def test_odd_events(spark, tmp_path, name):
+    """Gaps, nulls, values that are no waits, equal values, and a first run without any job."""
+    odd = [None, math.nan, math.inf, -1.0, 2e9, 0.0, 50.0, 50.0]
+    rows = [(i if i % 11 else None, odd[i % 8] if i % 3 == 0 else float(i * 37 % 40)) for i in range(200, 900) if not 400 <= i < 470]
+    spark.createDataFrame(rows, "event_id long, value double").repartition(3).write.parquet(f"{tmp_path}/events.parquet")
+    con = duckdb.connect()
+    con.execute(f"CREATE VIEW events AS SELECT * FROM read_parquet('{tmp_path}/events.parquet/*.parquet')")
+    df = QUERIES[name](spark, str(tmp_path))
+    assert difference(df, con, ORACLES[name]) == ""
+    assert df.count() == sum(i is not None and v is not None and 0 <= v <= 1e9 for i, v in rows)
+
+
+def test_drain_is_the_schedule_of_a_queue():
+    took = [i * 48271 % 997 + 1 for i in range(60)]
+
+    class Queue:
+        dead = ()
+
+        def __init__(self):
+            self.left = iter(took)
+
+        def of(self, lane, job):
+            return next(self.left)
+
+    made = arrivals.drain(took, 8, 4, 5)
+    assert made[:13] == arrivals.arrival_schedule(8, 4, 13, "k_async_wait", Queue(), 5)
+    assert [len(u.messages) for u in made] == [4] * 15 and sorted(lane for lane, _, _ in made[-1].messages + made[-2].messages) == list(range(8))
+    assert [len(u.messages) for u in arrivals.drain(took[:10], 8, 4)] == [4, 4, 2] and arrivals.drain([], 8, 4) == []
+
+
+def test_charged_jobs_by_hand(spark):
+    """Work 3 and transfer 0.5 before a wait of value over 50: lanes 0 and 1 start, the first to deliver takes the third event."""
+    events = spark.createDataFrame([(0, 100.0), (1, 50.0), (2, 25.0)], "event_id long, value double")
+    jobs = arrivals.event_jobs(events, arrivals.Delays(load=3.0, transfer=0.5))
+    got = [tuple(r) for r in arrivals.event_wait_arrivals(jobs, 2, 1, 3, 0.25).orderBy("update_no").collect()]
+    assert got == [(0, 0, 1, 0, 4.5, 4.75), (0, 1, 0, 0, 5.5, 5.75), (0, 2, 1, 1, 8.75, 9.0)]
+    with pytest.raises(ValueError):
+        arrivals.event_jobs(events, arrivals.Delays(dead=(1,)))
