@@ -14,6 +14,7 @@ from raydescent.plans.oracles import ORACLES
 #: The table that each reads.
 READS = {
     "arrival_charged": "events",
+    "arrival_kasync_wait": "events",
     "angle_profile_8_4_2": "lineitem",
     "angle_profile_64_32_8": "lineitem",
     "angle_profile_16_8_4": "lineitem",
