@@ -15,6 +15,7 @@ from raydescent.plans.oracles import ORACLES
 READS = {
     "arrival_charged": "events",
     "arrival_kasync_wait": "events",
+    "arrival_kbatch": "events",
     "angle_profile_8_4_2": "lineitem",
     "angle_profile_64_32_8": "lineitem",
     "angle_profile_16_8_4": "lineitem",
@@ -108,3 +109,10 @@ def test_charged_jobs_by_hand(spark):
     assert got == [(0, 0, 1, 0, 4.5, 4.75), (0, 1, 0, 0, 5.5, 5.75), (0, 2, 1, 1, 8.75, 9.0)]
     with pytest.raises(ValueError):
         arrivals.event_jobs(events, arrivals.Delays(dead=(1,)))
+
+
+def test_batch_by_hand(spark):
+    """Two lanes, an update each two messages: lane 1 delivers at 1 and 2, lane 0 at 3 and 4."""
+    jobs = spark.createDataFrame([(8, 3_000_000), (9, 1_000_000), (10, 1_000_000), (11, 1_000_000)], "event_id long, took long")
+    got = [tuple(r) for r in arrivals.event_batch_arrivals(jobs, 2, 2, 2).orderBy("arrive_at").collect()]
+    assert got == [(2, 0, 1, 0, 1.0), (2, 0, 1, 0, 2.0), (2, 1, 0, 0, 3.0), (2, 1, 0, 1, 4.0)]
