@@ -16,6 +16,7 @@ READS = {
     "arrival_charged": "events",
     "arrival_kasync_wait": "events",
     "arrival_kbatch": "events",
+    "arrival_ksync": "events",
     "angle_profile_8_4_2": "lineitem",
     "angle_profile_64_32_8": "lineitem",
     "angle_profile_16_8_4": "lineitem",
@@ -116,3 +117,10 @@ def test_batch_by_hand(spark):
     jobs = spark.createDataFrame([(8, 3_000_000), (9, 1_000_000), (10, 1_000_000), (11, 1_000_000)], "event_id long, took long")
     got = [tuple(r) for r in arrivals.event_batch_arrivals(jobs, 2, 2, 2).orderBy("arrive_at").collect()]
     assert got == [(2, 0, 1, 0, 1.0), (2, 0, 1, 0, 2.0), (2, 1, 0, 0, 3.0), (2, 1, 0, 1, 4.0)]
+
+
+def test_sync_by_hand(spark):
+    """Equal arrivals go by lane; an update with a lane that never delivers has one place less."""
+    jobs = spark.createDataFrame([(0, 2_000_000), (1, 1_500_000), (2, 1_500_000), (4, 7), (3, 9_000_000)], "event_id long, took long")
+    got = sorted(tuple(r) for r in arrivals.event_sync_arrivals(jobs, 3, 2).collect())
+    assert got == [(0, 0, 2.0, 3, False), (0, 1, 1.5, 1, True), (0, 2, 1.5, 2, True), (1, 0, 9.0, 2, True), (1, 1, 0.000007, 1, True)]
