@@ -14,6 +14,7 @@ from raydescent.plans.oracles import ORACLES
 #: The table that each reads.
 READS = {
     "char_gram_is_identity": "lineitem",
+    "char_kron_equals_direct": "lineitem",
     "arrival_charged": "events",
     "arrival_kasync_wait": "events",
     "arrival_kbatch": "events",
@@ -152,3 +153,10 @@ def test_gram_gives_the_rows_back(spark):
     signed = codes.row_sign_table(counts, 4).select("beta", "alpha", "signed_rows")
     got = {tuple(r) for r in codes.hadamard_report(codes.sign_table(spark, 4), signed).collect()}
     assert got == {(a, b, 4 * n if a == b else 0) for b, n in SHARDS for a in range(b + 1)}
+
+
+@pytest.mark.parametrize("t", [1, 2, 8])
+def test_doubling_gives_the_same_signs(spark, t):
+    counts = spark.range(t).selectExpr("cast(id AS int) AS part_id", "id * id + 1 AS rows")
+    assert sorted(codes.row_sign_table_kron(counts, t).collect()) == sorted(codes.row_sign_table(counts, t).collect())
+    assert sorted(codes.sign_table_kron(spark, t).collect()) == sorted(codes.sign_table(spark, t).collect())
