@@ -15,6 +15,7 @@ from raydescent.plans.oracles import ORACLES
 READS = {
     "char_gram_is_identity": "lineitem",
     "char_kron_equals_direct": "lineitem",
+    "char_table_t16": "lineitem",
     "arrival_charged": "events",
     "arrival_kasync_wait": "events",
     "arrival_kbatch": "events",
