@@ -16,6 +16,7 @@ READS = {
     "char_gram_is_identity": "lineitem",
     "char_kron_equals_direct": "lineitem",
     "char_table_t16": "lineitem",
+    "char_table_t2": "lineitem",
     "arrival_charged": "events",
     "arrival_kasync_wait": "events",
     "arrival_kbatch": "events",
