@@ -17,6 +17,7 @@ READS = {
     "char_kron_equals_direct": "lineitem",
     "char_table_t16": "lineitem",
     "char_table_t2": "lineitem",
+    "char_table_t4": "lineitem",
     "arrival_charged": "events",
     "arrival_kasync_wait": "events",
     "arrival_kbatch": "events",
