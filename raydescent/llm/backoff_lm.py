@@ -15,6 +15,12 @@ itself: n-grams that nothing else has are counted by it. So each text is also sc
 
 from __future__ import annotations
 
+import json
+import os
+import unicodedata
+from codecs import charmap_decode
+from functools import lru_cache
+
 import numpy as np
 import pyarrow as pa
 import zstandard
@@ -22,7 +28,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from raydescent.llm.bpe_automaton import compiled, read_vocabulary, sent
+from raydescent.llm.bpe_automaton import LATIN_END, byte_symbols, read_vocabulary
 from raydescent.llm.common import cut, sorted_groups
 
 CHUNK_TOKENS = 4_000_000
@@ -60,25 +66,162 @@ def mix(keys: np.ndarray) -> np.ndarray:
     return x ^ (x >> np.uint64(27))
 
 
+#: Classes of the splitting rule for what UTF-8 writes in one byte or two: other, letter, number, white space. Only those below LATIN_END are used.
+_LETTER, _NUMBER, _SPACE = 1, 2, 3
+_KINDS = np.array([_SPACE if c in (*range(9, 14), 0x20, 0x85, 0xA0) else {"L": _LETTER, "N": _NUMBER}.get(unicodedata.category(chr(c))[0], 0) for c in range(0x800)], np.uint8)
+
+
+def word_starts(raw: np.ndarray, texts: np.ndarray) -> np.ndarray:
+    """Where the words of the byte-level splitting rule begin in raw, the UTF-8 of texts that stand one after the other and
+    begin at texts. Right for texts of characters below LATIN_END.
+
+    Words are runs of letters, of numbers or of others, with a space in front if there is one. White space before a word is cut
+    before its last character, and a word's quote begins one of 's 't 're 've 'm 'll 'd where it is followed so.
+    """
+    n = len(raw)
+    padded = np.r_[raw, np.zeros(3, np.uint8)]
+    text = np.zeros(n + 3, bool)
+    text[texts], text[n:] = True, True
+    kind = _KINDS[raw]
+    lead = np.flatnonzero(raw >= 0xC2)
+    kind[lead] = kind[lead + 1] = _KINDS[(raw[lead] & 0x1F).astype(np.int64) << 6 | raw[lead + 1] & 0x3F]
+    start = text.copy()
+    start[1:n] |= kind[1:] != kind[:-1]
+    space = kind == _SPACE
+    word = np.flatnonzero(space[:-1] & ~space[1:] & ~text[1:n]) + 1
+    before = raw[word - 1]
+    start[word - 1 - (before >= 0x80)] = True
+    start[word[before == 0x20]] = False
+    quote = np.flatnonzero(raw == 0x27)
+    quote = quote[start[quote]]
+    one, two = padded[quote + 1], padded[quote + 2]
+    short = np.isin(one, np.frombuffer(b"stmd", np.uint8)) & ~text[quote + 1]
+    long = ((one == 0x6C) & (two == 0x6C) | np.isin(one, np.frombuffer(b"rv", np.uint8)) & (two == 0x65)) & ~text[quote + 1] & ~text[quote + 2]
+    start[quote[short | long] + 1] = False
+    start[quote[short] + 2] = start[quote[long] + 3] = True
+    return np.flatnonzero(start[:n])
+
+
+#: Bytes of text that are split at once, so that the arrays for it are bounded but for a longer text.
+AT_ONCE = 4_000_000
+#: Masks of the first 0 to 8 bytes of a little-endian number.
+_FIRST = np.array([(1 << 8 * i) - 1 for i in range(9)], np.uint64)
+
+
+class WordIds(dict):
+    """Ids of a byte-level vocabulary file (its JSON text), remembered by word; emptied when full.
+
+    Words come from word_starts, a batch of texts at once, and from the library for texts with characters beyond; the library
+    merges them. Special tokens count as text. Short words are first looked for in arrays, all at once: a slot for each hash
+    holds the whole spelling (15 bytes and how many there are), so that no word is taken for another, and its ids.
+    """
+
+    def __init__(self, source: str, most: int = 400_000, slots: int = 1 << 18):
+        os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")  # a task has one core, and words come one by one
+        from tokenizers import Tokenizer
+
+        library = Tokenizer.from_str(json.dumps(json.loads(source) | {"added_tokens": [], "post_processor": None}))
+        self.merged, self.split = library.model.tokenize, library.pre_tokenizer.pre_tokenize_str
+        self.codes, size = byte_symbols(), vocabulary_size(source)
+        self.symbols = "".join(sorted(self.codes, key=self.codes.get))
+        self.kind = np.dtype("<u2" if size <= 65_536 else "<u4")
+        self.wire = [i.to_bytes(self.kind.itemsize, "little") for i in range(size)]
+        self.most = most
+        self.slot_head, self.slot_tail = np.zeros(slots, np.uint64), np.zeros(slots, np.uint64)
+        self.slot_many, self.slot_ids = np.zeros(slots, np.int64), np.zeros((slots, 8), self.kind)
+
+    def __missing__(self, word: bytes) -> bytes:
+        if len(self) >= self.most:
+            self.clear()
+        wire = self.wire
+        made = b"".join([wire[t.id] for t in self.merged(charmap_decode(word, "strict", self.symbols)[0])])
+        if len(word) <= 64:
+            self[word] = made
+        return made
+
+    def encode(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+        """The ids of all texts (null has none), one text after the other, and how many each has."""
+        texts = texts.cast(pa.large_string()).fill_null("")
+        edges = np.frombuffer(texts.buffers()[1], "<i8")[texts.offset : texts.offset + len(texts) + 1] if len(texts) else np.zeros(1, np.int64)
+        if edges[0] == edges[-1]:
+            return np.zeros(0, self.kind), np.zeros(len(texts), np.int64)
+        if len(texts) > 1 and edges[-1] - edges[0] > AT_ONCE:
+            halves = [self.encode(x) for x in (texts[: len(texts) // 2], texts[len(texts) // 2 :])]
+            return tuple(np.concatenate(x) for x in zip(*halves))
+        data = texts.buffers()[2][int(edges[0]) : int(edges[-1])].to_pybytes()
+        raw, edges = np.frombuffer(data, np.uint8), edges - edges[0]
+        beyond = np.flatnonzero(raw >= (0xC0 | LATIN_END >> 6))
+        beyond = beyond[(raw[beyond] > (0xC0 | LATIN_END >> 6)) | ((raw[beyond + 1] & 0x3F) >= (LATIN_END & 0x3F))]
+        if len(beyond):
+            return self._with_library(texts, np.unique(np.searchsorted(edges, beyond, "right") - 1))
+        starts = word_starts(raw, edges[:-1])
+        flat, many = self._looked_up(data, starts, np.diff(np.r_[starts, len(raw)]))
+        return flat, np.diff(np.r_[0, np.cumsum(many)][np.searchsorted(starts, edges)])
+
+    def _with_library(self, texts: pa.Array, odd: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        left = np.ones(len(texts), bool)
+        left[odd] = False
+        flat, sizes = self.encode(texts.filter(pa.array(left)))
+        parts = np.split(flat, np.cumsum(sizes))  # the last is empty
+        for i in odd.tolist():  # ascending: what stands before is in place
+            words = [bytes(map(self.codes.__getitem__, w)) for w, _ in self.split(texts[i].as_py())]
+            parts.insert(i, np.frombuffer(b"".join(map(self.__getitem__, words)), self.kind))
+        return np.concatenate(parts), np.array([len(x) for x in parts[:-1]], np.int64)
+
+    def _looked_up(self, data: bytes, starts: np.ndarray, sizes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """The ids of all words, one word after the other, and how many each has."""
+        eight = np.ndarray(len(data) + 8, "<u8", data + bytes(16), strides=(1,))
+        head = eight[starts] & _FIRST[np.minimum(sizes, 8)]
+        tail = eight[np.minimum(starts + 8, len(data))] & _FIRST[np.clip(sizes - 8, 0, 7)] | sizes.astype(np.uint64) << np.uint64(56)
+        slot = (mix(head * np.uint64(0x9E3779B97F4A7C15) ^ tail) % np.uint64(len(self.slot_many))).astype(np.int64)
+        fits = sizes <= 15
+        hit = (self.slot_head[slot] == head) & (self.slot_tail[slot] == tail) & fits
+        miss = np.flatnonzero(~hit)
+        made = list(map(self.__getitem__, map(data.__getitem__, map(slice, starts[miss].tolist(), (starts + sizes)[miss].tolist()))))
+        many = self.slot_many[slot]
+        many[miss] = np.fromiter(map(len, made), np.int64, len(made)) // self.kind.itemsize
+        begin = np.cumsum(many) - many
+        out, fresh = np.empty(int(many.sum()), self.kind), np.frombuffer(b"".join(made), self.kind)
+        hit, cells = np.flatnonzero(hit), np.arange(8)
+        full = cells < many[hit][:, None]
+        out[(begin[hit][:, None] + cells)[full]] = self.slot_ids[slot[hit]][full]
+        before = np.cumsum(many[miss]) - many[miss]
+        out[np.repeat(begin[miss] - before, many[miss]) + np.arange(len(fresh))] = fresh
+        keep = np.flatnonzero(fits[miss] & (many[miss] <= 8))
+        to, first = np.unique(slot[miss[keep]], return_index=True)
+        keep, held = keep[first], miss[keep[first]]
+        self.slot_head[to], self.slot_tail[to], self.slot_many[to] = head[held], tail[held], many[held]
+        if len(fresh):
+            self.slot_ids[to] = fresh[np.minimum(before[keep][:, None] + cells, len(fresh) - 1)]
+        return out, many
+
+
+def vocabulary_size(source: str) -> int:
+    return max(json.loads(source)["model"]["vocab"].values()) + 1
+
+
+@lru_cache(maxsize=2)
+def _word_ids(source: str) -> WordIds:
+    return WordIds(source)
+
+
 def token_table(docs: DataFrame, vocabulary: str, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """chunk, ids, sizes, n_tokens, tokens: rows of some documents that stand together, with all their ids compressed
     (null text has none). Chunks are of rows that follow each other."""
-    held = sent(docs.sparkSession, vocabulary, True)
+    held = docs.sparkSession.sparkContext.broadcast(read_vocabulary(vocabulary))
 
     def run(batches):
-        bpe, chunk, size = held.value, TaskContext.get().partitionId() << 32, 0
+        bpe, chunk, size = _word_ids(held.value), TaskContext.get().partitionId() << 32, 0
         squeeze = zstandard.ZstdCompressor(3)
         for batch in batches:
             for at in range(0, batch.num_rows, ROW_DOCS):
                 part = batch.slice(at, ROW_DOCS)
-                made = [bpe.encode(t or "") for t in part.column("text").to_pylist()]
-                n = [len(x) // 4 for x in made]
-                flat = np.frombuffer(b"".join(made), "<u4")
-                body = squeeze.compress(flat.astype("<u2").tobytes() if len(bpe.labels) <= 65_536 else flat.tobytes())
+                flat, n = bpe.encode(part.column("text"))
+                body = squeeze.compress(flat.tobytes())
                 kinds = (pa.int64(), pa.list_(pa.int64()), pa.list_(pa.int64()), pa.int64(), pa.binary())
-                row = (chunk, part.column("id").to_pylist(), n, sum(n), body)
+                row = (chunk, part.column("id").to_pylist(), n.tolist(), len(flat), body)
                 yield pa.RecordBatch.from_arrays([pa.array([v], k) for v, k in zip(row, kinds)], ["chunk", "ids", "sizes", "n_tokens", "tokens"])
-                size += sum(n)
+                size += len(flat)
                 if size > CHUNK_TOKENS:
                     chunk, size = chunk + 1, 0
 
@@ -183,30 +326,33 @@ def corpus_totals(counts: DataFrame, least: int, buckets: int, base: int) -> Dat
     return dealt.mapInArrow(run, "chunk long, gram_order int, keys binary, totals binary")
 
 
-def looked_up(keys: np.ndarray, known: np.ndarray, totals: np.ndarray, unknown: int = 0) -> np.ndarray:
-    """The totals of keys, unknown where there is none."""
-    if not len(known):
-        return np.full(len(keys), float(unknown))
-    order = np.argsort(keys)  # sorted keys walk through the table once instead of searching it all over
-    asked = keys[order]
-    at = np.minimum(np.searchsorted(known, asked), len(known) - 1)
-    out = np.empty(len(keys))
-    out[order] = np.where(known[at] == asked, totals[at], unknown)
-    return out
-
-
-def own_counts(keys: np.ndarray, doc: np.ndarray, order: int, base: int) -> np.ndarray:
-    """How often each place's n-gram occurs in the place's own document."""
+def counts_of(keys: np.ndarray, doc: np.ndarray, base: int, known: np.ndarray, totals: np.ndarray, unknown: int = 0) -> tuple[np.ndarray, np.ndarray]:
+    """For each place, the total of its key (below base; unknown where there is none) and how often the key occurs in the
+    place's own document. doc ascends. One sort serves both: known keys are asked for once each, in order."""
     if not len(keys):
-        return np.zeros(0)
-    many = int(doc[-1]) + 1
-    if base**order * many < 1 << 63:
-        cell = keys + doc.astype(np.uint64) * np.uint64(base**order)
+        return np.zeros(0), np.zeros(0)
+    bits = int(doc[-1]).bit_length()
+    if base << bits < 1 << 63:
+        cells = keys << np.uint64(bits) | doc.astype(np.uint64)
+        by = np.argsort(cells)
+        cells = cells[by]
+        asked = cells >> np.uint64(bits)
+        new, other = (np.r_[True, x[1:] != x[:-1]] for x in (asked, cells))
     else:
-        names, at = np.unique(keys, return_inverse=True)
-        cell = doc * len(names) + at
-    _, at, n = np.unique(cell, return_inverse=True, return_counts=True)
-    return n[at].astype(np.float64)
+        by = np.argsort(keys, kind="stable")
+        asked, of = keys[by], doc[by]
+        new = np.r_[True, asked[1:] != asked[:-1]]
+        other = new | np.r_[True, of[1:] != of[:-1]]
+    first = np.flatnonzero(new)
+    total = np.full(len(first), float(unknown))
+    if len(known):
+        at = np.minimum(np.searchsorted(known, asked[first]), len(known) - 1)
+        total = np.where(known[at] == asked[first], totals[at], total)
+    counts, own = np.empty(len(keys)), np.empty(len(keys))
+    counts[by] = np.repeat(total, np.diff(np.r_[first, len(keys)]))
+    runs = np.diff(np.r_[np.flatnonzero(other), len(keys)])
+    own[by] = np.repeat(runs, runs)
+    return counts, own
 
 
 def place_scores(ids: np.ndarray, sizes: np.ndarray, single: np.ndarray, total: int, tables: dict[int, tuple[np.ndarray, np.ndarray]], top: int, base: int, alpha: float, unknown: int = 0) -> tuple[np.ndarray, np.ndarray]:
@@ -214,17 +360,17 @@ def place_scores(ids: np.ndarray, sizes: np.ndarray, single: np.ndarray, total:
     was counted unknown times. An id that no other text has counts there as if it had been seen once."""
     flat, doc = ids.astype(np.int64), np.repeat(np.arange(len(sizes)), sizes)
     history = single[flat]
-    score = np.log(history / total)
-    before = history - own_counts(ids, doc, 1, base)
+    score = np.log(single / total, where=single > 0, out=np.zeros(len(single)))[flat]
+    before = history - counts_of(ids, doc, base, ids[:0], history[:0])[1]
     other = np.log(np.maximum(before, 1) / np.maximum(total - sizes[doc], 1))
     for order in range(2, top + 1):
         keys, ends = gram_keys(ids, sizes, order, base)
-        counts = looked_up(keys, *tables.get(order, (keys[:0], np.zeros(0))), unknown)
-        others = np.maximum(counts - own_counts(keys, doc[ends], order, base), 0)
+        counts, own = counts_of(keys, doc[ends], base**order, *tables.get(order, (keys[:0], np.zeros(0))), unknown)
+        others = np.maximum(counts - own, 0)
         for out, n, had in ((score, counts, history), (other, others, before)):
             seen = n > 0
-            out[ends] += np.log(alpha)  # one more word of history given up, unless this order is known
-            out[ends[seen]] = np.log(n[seen] / had[ends[seen] - 1])
+            less = out[ends] + np.log(alpha)  # one more word of history given up, unless this order is known
+            out[ends] = np.log(np.divide(n, had[ends - 1], where=seen, out=np.ones(len(n))), where=seen, out=less)
         history, before = np.zeros(len(ids)), np.zeros(len(ids))
         history[ends], before[ends] = counts, others
     return score, other
@@ -241,10 +387,11 @@ def backoff_scores(docs: DataFrame, vocabulary: str, top: int = 3, least: int =
     """
     spark = docs.sparkSession
     table = cut(token_table(docs, vocabulary, id_col, text_col), "tokens")
-    base = len(compiled(read_vocabulary(vocabulary), True).labels)
+    base = vocabulary_size(read_vocabulary(vocabulary))
     key_kind(top, base)
 
     def singles(batches):
+        _word_ids.cache_clear()  # the table is written: the worker has no more words to remember
         sums = np.zeros(base, np.int64)
         for _, ids, _ in _rows(batches):
             sums += np.bincount(ids.astype(np.int64), minlength=base)

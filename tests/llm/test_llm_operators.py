@@ -762,6 +762,76 @@ def test_word_ids_on_every_latin_character():
 # Language model
 
 
+def word_ids(*sizes):
+    from raydescent.llm.backoff_lm import WordIds
+    from raydescent.llm.bpe_automaton import read_vocabulary
+
+    return WordIds(read_vocabulary(BYTE), *sizes)
+
+
+def test_ids_of_whole_batches_equal_the_library(monkeypatch):
+    """Words split and looked up a batch at once: contractions, white space of all kinds, text edges, other scripts, full slots."""
+    import json
+
+    import pyarrow as pa
+    from tokenizers import Tokenizer
+
+    from raydescent.llm import backoff_lm as m
+    from raydescent.llm.bpe_automaton import read_vocabulary
+
+    library = Tokenizer.from_str(json.dumps(json.loads(read_vocabulary(BYTE)) | {"added_tokens": []}))  # special tokens count as text
+    few, rng = word_ids(300, 64), random.Random(12)
+
+    def check(texts):
+        flat, sizes = few.encode(pa.array(["'s not read", *texts], pa.string())[1:])
+        assert [x.tolist() for x in np.split(flat, np.cumsum(sizes))[:-1]] == [library.encode(t or "", add_special_tokens=False).ids for t in texts]
+
+    for alphabet in (" \t\n\xa0\x85é'st1.!rveldm", " \n\u3000\u180e\x1c\xa0aé日'st1.!", "'strevemlld a", "\U0001f600\u024f\u0250Éa '"):
+        for most in (4_000_000, 40):  # bytes that are split at once
+            monkeypatch.setattr(m, "AT_ONCE", most)
+            for _ in range(60):
+                check([None if rng.random() < 0.1 else "".join(rng.choices(alphabet, k=rng.randint(0, 12))) for _ in range(40)])
+    check([f"a{c} {c}b {c} {c}{c} 1{c} {c}'s a" for c in map(chr, range(0x300))])
+    check(["x" * 7, "x" * 8, "x" * 9, "x" * 15, "x" * 16, "x" * 70, "\0", "\0\0", "<|endoftext|>", "qzjxkvw" * 2] * 2)
+    check([])
+    check([None, ""])
+
+
+def test_words_of_a_batch_are_looked_up_at_once():
+    """A word is merged once, and does not come to the dictionary again while its slot holds it."""
+    import pyarrow as pa
+
+    held, asked = word_ids(), []
+    merged = held.merged
+    held.merged = lambda word: (asked.append(word), merged(word))[1]
+    texts = pa.array([" ".join(f"w{chr(97 + i % 26)}{chr(97 + i // 26)}" for i in range(300))] * 20)
+    first = held.encode(texts)
+    assert len(asked) == len(set(asked)) == len(held) == 300
+    held.clear()
+    asked.clear()
+    again = held.encode(texts)
+    assert len(asked) < 10 and np.array_equal(first[0], again[0]) and np.array_equal(first[1], again[1])  # but for words whose slots others took
+
+
+def test_ids_of_new_words_cost_less_than_by_the_automaton():
+    """CPU seconds for documents whose words are mostly their own, with nothing remembered before."""
+    import pickle
+    import time
+
+    import pyarrow.parquet as pq
+
+    from raydescent.llm.bpe_automaton import compiled, read_vocabulary
+
+    texts = pq.read_table("/root/testdata/sf0.01/documents.parquet", columns=["text"]).column("text").combine_chunks()
+    texts = texts if hasattr(texts, "buffers") else texts.chunk(0)
+    ours, bpe, took = word_ids(), pickle.loads(pickle.dumps(compiled(read_vocabulary(BYTE), True))), []
+    for f in (lambda: b"".join(ours.encode(texts.slice(i, 200))[0].tobytes() for i in range(0, len(texts), 200)), lambda: b"".join(bpe.encode(t or "") for t in texts.to_pylist())):
+        began = time.process_time()
+        ids = f()
+        took.append((time.process_time() - began, np.frombuffer(ids, "<u4" if took else "<u2").tolist()))
+    assert took[0][1] == took[1][1] and took[0][0] < 0.7 * took[1][0], (took[0][0], took[1][0])
+
+
 def test_backoff_scores(spark, data, odd, empty, monkeypatch):
     from raydescent.llm import backoff_lm as m
     from raydescent.llm.bpe_automaton import compiled, read_vocabulary
